@@ -73,7 +73,7 @@ def fit_bits(x: np.ndarray, y: np.ndarray, rounds: int = 150, l2: float = 1e-5)
     """Logistic regressions for all bits at once: accelerated full gradients. Last row: intercepts."""
     x = np.hstack([x, np.ones((len(x), 1), np.float32)])
     w = np.zeros((x.shape[1], y.shape[1]), np.float32)
-    back, rate = w.copy(), 4.0 / 1.5
+    back, rate = w.copy(), 4.0 / float((x * x).sum(axis=1).mean())  # from the curvature's bound
     for t in range(rounds):
         ahead = w + (t / (t + 3)) * (w - back)
         margin = np.clip((x @ ahead) * y, -30, 30)

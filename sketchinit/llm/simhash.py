@@ -112,7 +112,7 @@ def _forest(a: np.ndarray, b: np.ndarray, tau: int, segments: int) -> tuple[np.n
     rows = max(1, 4_000_000 // max(1, len(b)))
     for lo in range(0, len(a), rows):
         x = a[lo : lo + rows, None] ^ b[None, :]
-        i, j = np.nonzero(np.bitwise_count(x) <= 2 * tau if segments < 2 else _near(x, tau, segments))
+        i, j = np.nonzero(_near(x, tau, segments))
         i, j = at_a[i + lo], at_b[j]
         keep = i != j
         i, j = i[keep], j[keep]
@@ -223,8 +223,56 @@ def groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", word
     return own.join(named.join(low, "root").select("fp", "component_id"), "fp").select("doc_id", "fp", "component_id")
 
 
-def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, tau: int = 3) -> DataFrame:
-    """The rows of docs that stay: one for each group, that of the smallest id; all columns pass through."""
-    stays = groups(docs, id_col, text_col, words, tau).where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias(id_col)).distinct()
-    kept = docs.join(stays, id_col, "left_semi")
-    return kept.dropDuplicates([id_col])
+def shingle_set(text: str | None, words: int) -> np.ndarray:
+    """Distinct 64-bit hashes of a text's word shingles, lower-cased like the fingerprint."""
+    w = (text or "").encode("utf-8", "surrogatepass").lower().split()
+    k = min(words, len(w)) or 1
+    return np.unique(np.array([xxhash.xxh64_intdigest(b" ".join(w[i : i + k])) for i in range(max(1, len(w) - k + 1))], np.uint64)).astype(np.int64)
+
+
+def verified(pairs: DataFrame, reps: DataFrame, docs: DataFrame, id_col: str, text_col: str, words: int, similarity: float) -> DataFrame:
+    """The links (src, dst) whose representatives' word shingles have a Jaccard similarity of at least `similarity`.
+
+    Only texts that stand at a link are read; they move by id, one link's two shingle sets meet in one row.
+    """
+    ends = pairs.select("src").unionAll(pairs.select(F.col("dst").alias("src"))).distinct().join(reps.select(F.col("fp").alias("src"), "doc_id"), "src")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            sets = [shingle_set(t, words).astype("<i8").tobytes() for t in b.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(sets, pa.binary())], names=["fp", "shingles"])
+
+    texts = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")).join(ends, "doc_id").select(F.col("src").alias("fp"), "text")
+    sets = stash(texts.mapInArrow(run, "fp long, shingles binary"), "shingles").dropDuplicates(["fp"])
+    both = pairs.join(sets.select(F.col("fp").alias("src"), F.col("shingles").alias("x")), "src").join(sets.select(F.col("fp").alias("dst"), F.col("shingles").alias("y")), "dst")
+
+    def check(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            ok = []
+            for x, y in zip(b.column(2).to_pylist(), b.column(3).to_pylist()):
+                u, v = np.frombuffer(x, "<i8"), np.frombuffer(y, "<i8")
+                common = len(np.intersect1d(u, v, assume_unique=True))
+                ok.append(common >= similarity * (len(u) + len(v) - common))
+            m = pa.array(ok, pa.bool_())
+            yield pa.RecordBatch.from_arrays([b.column(0).filter(m), b.column(1).filter(m)], names=["src", "dst"])
+
+    return both.select("src", "dst", "x", "y").mapInArrow(check, "src long, dst long")
+
+
+def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, similarity: float = 0.8, tau: int = 7) -> DataFrame:
+    """The rows of docs that stay: one for each group, that of the smallest id; all columns pass through.
+
+    Candidates are fingerprints of 3-word shingles within `tau` bits (at a
+    word-shingle similarity of 0.8 the median distance is 6 bits); a
+    candidate link counts if the texts' `words`-word shingles reach
+    `similarity`. Rows with a null id stay.
+    """
+    own = stash(fingerprints(docs, id_col, text_col, 3), "simhash")
+    first = own.where("doc_id is not null").groupBy("fp").agg(F.min("doc_id").alias("doc_id"))
+    first = stash(first, "simhash")
+    pairs = stash(links(first.select("fp"), tau, tau + 1, 3), "links")
+    label = connected(verified(pairs.distinct(), first, docs, id_col, text_col, words, similarity))
+    named = first.join(label.withColumnRenamed("node", "fp"), "fp", "left").select("doc_id", F.coalesce("root", "fp").alias("root"))
+    stays = named.groupBy("root").agg(F.min("doc_id").alias(id_col)).select(id_col)
+    kept = docs.join(stays, id_col, "left_semi").dropDuplicates([id_col])
+    return kept.unionByName(docs.where(F.col(id_col).isNull()))

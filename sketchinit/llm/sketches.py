@@ -25,8 +25,8 @@ IDS_PER_RANGE = 20_000
 
 
 def threshold(bits: int = FRACTION_BITS) -> int:
-    """Signed hashes below it are kept."""
-    return -(1 << 63) + (1 << (64 - bits))
+    """The largest signed hash that is kept."""
+    return -(1 << 63) + (1 << (64 - bits)) - 1
 
 
 def sketch(text: Column, words: int = WORDS, bits: int = FRACTION_BITS) -> Column:
@@ -40,7 +40,7 @@ def sketch(text: Column, words: int = WORDS, bits: int = FRACTION_BITS) -> Colum
 
     # a one-element transform binds the word array once
     h = F.flatten(F.transform(F.array(w), hashes))
-    kept = lambda a: F.array_sort(F.array_distinct(F.filter(a, lambda v: v < F.lit(threshold(bits)))))
+    kept = lambda a: F.array_sort(F.array_distinct(F.filter(a, lambda v: v <= F.lit(threshold(bits)))))
     one = lambda a: F.transform(F.array(kept(a)), lambda k: F.when(F.size(k) > 0, k).otherwise(F.array(F.array_min(a))))
     return F.flatten(F.transform(F.array(h), lambda a: F.flatten(one(a))))
 
@@ -48,7 +48,7 @@ def sketch(text: Column, words: int = WORDS, bits: int = FRACTION_BITS) -> Colum
 def merge(a: Column, b: Column, bits: int = FRACTION_BITS) -> Column:
     """Sketch of the union of two documents' shingles."""
     both = F.array_sort(F.array_union(a, b))
-    real = F.filter(both, lambda v: v < F.lit(threshold(bits)))
+    real = F.filter(both, lambda v: v <= F.lit(threshold(bits)))
     return F.when(F.size(real) > 0, real).otherwise(F.slice(both, 1, 1))
 
 

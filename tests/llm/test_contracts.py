@@ -1,0 +1,371 @@
+"""The contract queries against brute-force versions, on a small table with every odd case."""
+
+from __future__ import annotations
+
+import hashlib
+import random
+import re
+import zlib
+
+import pytest
+import xxhash
+from pyspark.sql import Row, SparkSession
+
+from sketchinit.llm import media, packing, queries, secrets, simhash, sketches, suffixes
+
+SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, sequence_id long, size string"
+
+
+def _rows() -> list[dict]:
+    rng = random.Random(4)
+    words = {k: [f"{a}{b}" for a in v for b in v] for k, v in (("en", ["the", "ing", "th", "at", "or"]), ("de", ["sch", "ung", "ü", "ver"]), ("fr", ["eau", "é", "oi", "que"]))}
+    say = lambda k, n: " ".join(rng.choice(words[k]) for _ in range(n))
+    passage = say("en", 60)
+    out = []
+    for i in range(60):
+        lang = ("en", "de", "fr")[i % 3]
+        text = say(lang, rng.randint(1, 120))
+        if i % 7 == 0:
+            text += "\n" + passage + " " + say(lang, 5)
+        if i % 9 == 0:
+            text += ' token = "' + hashlib.sha1(str(i).encode()).hexdigest() + '" key AKIA' + "ABCD1234" * 2 + " x9Kq2Lm8Zr4Tv6Wp1Yb3Nd5Hg7Jf"
+        out.append({"doc_id": i * 3, "text": text, "lang": lang, "source": ("a", "b", None, "c")[i % 4]})
+    base = out[5]["text"]
+    w = base.split()
+    out += [{"doc_id": 500 + i, "text": t, "lang": g, "source": "b"} for i, (t, g) in enumerate([
+        (base, "fr"), (" ".join([*w[:-1], "changed"]), "fr"), (None, "en"), ("", None), ("   \t\n", "en"), ("12 34 !!", "de"), ("a", "en"),
+        ("Und " * 3000, "de"), ("it's İstanbul ΣΑΣ ② <|endoftext|> naïve á \x1c x", "en"), ("😀 emoji — text " * 40, "en"), (passage, "en"), ("ab" * 60, None), ("ba" * 60, None),
+    ])]
+    return [{**r, "n_chars": len(r["text"] or ""), "sequence_id": 7, "size": "x"} for r in out]
+
+
+@pytest.fixture(scope="module")
+def docs() -> list[dict]:
+    return _rows()
+
+
+@pytest.fixture(scope="module")
+def sf_dir(spark: SparkSession, docs: list[dict], tmp_path_factory) -> str:
+    d = str(tmp_path_factory.mktemp("sf"))
+    spark.createDataFrame([Row(**r) for r in docs], SCHEMA).repartition(3).write.parquet(f"{d}/documents.parquet")
+    spark.createDataFrame([Row(doc_id=r["doc_id"], quality=int("!!" not in (r["text"] or "")), toxic=0) for r in docs if r["doc_id"] % 2 == 0], "doc_id long, quality int, toxic int").write.parquet(f"{d}/labels.parquet")
+    return d
+
+
+@pytest.fixture(scope="module")
+def empty_dir(spark: SparkSession, tmp_path_factory) -> str:
+    d = str(tmp_path_factory.mktemp("empty"))
+    spark.createDataFrame([], SCHEMA).write.parquet(f"{d}/documents.parquet")
+    spark.createDataFrame([], "doc_id long, quality int, toxic int").write.parquet(f"{d}/labels.parquet")
+    return d
+
+
+def test_packing(spark, sf_dir, docs):
+    tok = packing.WordCache(packing.public_tokenizer()).tok
+    rows = queries.op1_packing(spark, sf_dir).collect()
+    by, seq = {}, {}
+    for r in rows:
+        by.setdefault(r.doc_id, []).append(r)
+        seq.setdefault(r.sequence_id, []).append(r)
+    for d in docs:
+        ids = [*tok.encode(d["text"] or "", add_special_tokens=False).ids, 1]
+        at = 0
+        for r in sorted(by[d["doc_id"]], key=lambda r: r.start):
+            assert (r.start, r.doc_tokens) == (at, len(ids))
+            assert r.ids_crc32 == zlib.crc32(b"".join(i.to_bytes(4, "little") for i in ids[at : at + r.length]))
+            at += r.length
+        assert at == len(ids)
+    for parts in seq.values():
+        at = 0
+        for r in sorted(parts, key=lambda r: r.offset):
+            assert r.offset == at
+            at += r.length
+        assert at <= 2048
+    whole = packing.pack(spark.read.parquet(f"{sf_dir}/documents.parquet"), packing.public_tokenizer())
+    for r in packing.sequences(whole).collect():
+        assert len(r.ids) == 2048 or len(r.ids) & (len(r.ids) - 1) == 0
+
+
+def test_simhash(spark, sf_dir, docs):
+    def slow(text):
+        t = "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in text or "")
+        w = re.findall(r"[^\x20\x09-\x0D]+", t)
+        if not w:
+            return 0
+        hs = [xxhash.xxh64(" ".join(w[i : i + 3]).encode(), seed=42).intdigest() for i in range(max(1, len(w) - 2))]
+        return sum(1 << b for b in range(64) if 2 * sum(h >> b & 1 for h in hs) > len(hs))
+
+    fp = {d["doc_id"]: slow(d["text"]) for d in docs}
+    root = {i: i for i in fp}
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for a in fp:
+        for b in fp:
+            if a < b and bin(fp[a] ^ fp[b]).count("1") <= 3 and find(a) != find(b):
+                root[max(find(a), find(b))] = min(find(a), find(b))
+    got = {r.doc_id: (r.fingerprint, r.component_id) for r in queries.op3_simhash(spark, sf_dir).collect()}
+    assert got == {i: (f"{fp[i]:016x}", find(i)) for i in fp}
+
+
+@pytest.mark.parametrize("tau,segments,chain", [(3, 4, 2), (3, 4, 3), (7, 8, 3)])
+def test_pigeonring_loses_no_link(spark, tau, segments, chain):
+    rng = random.Random(tau)
+    fps = set()
+    for _ in range(25):
+        c = rng.getrandbits(64)
+        for _ in range(8):
+            x = c
+            for b in rng.sample(range(64), rng.randint(0, tau)):
+                x ^= 1 << b
+            fps.add(x)
+    signed = lambda x: x - (1 << 64) if x >> 63 else x
+    df = spark.createDataFrame([(signed(x),) for x in fps], "fp long")
+    from sketchinit.operators.components import connected
+
+    got = {r.node % (1 << 64): r.root % (1 << 64) for r in connected(simhash.links(df, tau, segments, chain)).collect()}
+    root = {x: x for x in fps}
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for a in fps:
+        for b in fps:
+            if a < b and bin(a ^ b).count("1") <= tau:
+                root[find(a)] = find(b)
+    for a in fps:
+        for b in fps:
+            assert (find(a) == find(b)) == (got.get(a, a) == got.get(b, b))
+
+
+def test_suffixes(spark, sf_dir, docs):
+    first: dict[bytes, int] = {}
+    for d in sorted(docs, key=lambda d: d["doc_id"]):
+        b = (d["text"] or "").encode()
+        for i in range(len(b) - 49):
+            first.setdefault(b[i : i + 50], d["doc_id"])
+    got = {r.doc_id: tuple(r)[1:] for r in queries.op4_suffixes(spark, sf_dir).collect()}
+    for d in docs:
+        b = (d["text"] or "").encode()
+        gone = bytearray(len(b))
+        for i in range(len(b) - 49):
+            if first[b[i : i + 50]] < d["doc_id"]:
+                gone[i : i + 50] = b"\1" * 50
+        kept = bytes(x for x, g in zip(b, gone) if not g)
+        spans = sum(1 for i, g in enumerate(gone) if g and (i == 0 or not gone[i - 1]))
+        assert got[d["doc_id"]] == (len(b), sum(gone), spans, hashlib.sha256(kept).hexdigest())
+
+
+def test_hot_anchors_give_the_same(spark, sf_dir, monkeypatch):
+    base = {r.doc_id: tuple(r) for r in queries.op4_suffixes(spark, sf_dir).collect()}
+    monkeypatch.setattr(suffixes, "HOT", 0)
+    assert {r.doc_id: tuple(r) for r in queries.op4_suffixes(spark, sf_dir).collect()} == base
+
+
+def test_suffix_array():
+    rng = random.Random(9)
+    for letters in (1, 2, 4, 20):
+        for n in (0, 1, 2, 9, 60, 300):
+            s = bytes(rng.randrange(letters) for _ in range(n))
+            assert suffixes.suffix_array(s) == sorted(range(n), key=lambda i: s[i:])
+
+
+def test_secrets(spark, sf_dir, docs):
+    kinds = ("assign", "access", "hex")
+    rules = (
+        (re.compile(r"""(?:[Pp][Aa][Ss][Ss][Ww][Oo][Rr][Dd]|[Pp][Aa][Ss][Ss][Ww][Dd]|[Ss][Ee][Cc][Rr][Ee][Tt]|[Tt][Oo][Kk][Ee][Nn]|[Aa][Pp][Ii]_?[Kk][Ee][Yy])["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)"""), 1, 6),
+        (re.compile("AKIA[A-Z0-9]+"), 0, 20),
+        (re.compile("[0-9a-f]+"), 0, 24),
+    )
+    got = {r.doc_id: r for r in queries.op5_secrets(spark, sf_dir).collect()}
+    assert any("entropy" in r.spans for r in got.values())
+    for d in docs:
+        spans = [(m.start(), k, m.end()) for k, (p, g, n) in enumerate(rules) for m in p.finditer(d["text"] or "") if len(m[g]) >= n]
+        said = ",".join(f"{kinds[k]}:{s}:{e}" for s, k, e in sorted(spans))
+        r = got[d["doc_id"]]
+        assert r.base_sha256 == hashlib.sha256(said.encode()).hexdigest()
+        assert (r.n_assign, r.n_access, r.n_hex) == tuple(sum(1 for _, k, _ in spans if k == i) for i in range(3))
+        assert set(filter(None, said.split(","))) <= set(r.spans.split(","))
+
+
+def test_entropy_windows():
+    assert secrets.windows_over("a" * 40, 20, 1.0) == []
+    s = "aaaaaaaaaa" + "x9Kq2Lm8Zr4Tv6Wp1Yb3" + "aaaaaaaaaa"
+    (a, b), = secrets.windows_over(s, 20, 4.0)
+    assert a <= 10 and b >= 30
+
+
+def test_mixing(spark, sf_dir, docs):
+    rows = queries.op6_mixing(spark, sf_dir).collect()
+    assert sorted(map(tuple, rows), key=str) == sorted(map(tuple, queries.op6_mixing(spark, sf_dir).collect()), key=str)
+    assert len(rows) == len(docs)
+    size = lambda t: len(re.findall(r"[^\x20\x09-\x0D]+", t or ""))
+    total, by = 0, {}
+    for d in docs:
+        total += size(d["text"])
+        by[d["source"]] = by.get(d["source"], 0) + size(d["text"])
+    names = sorted(by, key=lambda s: (s is None, s))
+    weight = {s: 1 + i % 3 for i, s in enumerate(names)}
+    full: set = set()
+    while True:
+        level = (total - sum(3 * by[s] for s in full)) / sum(weight[s] for s in names if s not in full)
+        more = {s for s in names if s not in full and level * weight[s] > 3 * by[s]}
+        if not more:
+            break
+        full |= more
+    text = {d["doc_id"]: d for d in docs}
+    taken: dict = {}
+    for r in rows:
+        d = text[r.doc_id]
+        assert r["size"] == size(d["text"]) and r.source_size == by[d["source"]]
+        want = 3 * by[d["source"]] if d["source"] in full else level * weight[d["source"]]
+        assert r.target == pytest.approx(want)
+        assert 0 <= r.taken <= 3 * r["size"] and (r["size"] == 0 or r.taken % r["size"] == 0)
+        taken[d["source"]] = taken.get(d["source"], 0) + r.taken
+    for s in names:
+        want = 3 * by[s] if s in full else level * weight[s]
+        assert abs(taken[s] - want) <= max(size(d["text"]) for d in docs if d["source"] == s)
+
+
+def test_langid(spark, sf_dir, docs):
+    rows = {r.doc_id: r for r in queries.op8_langid(spark, sf_dir).collect()}
+    right = tried = 0
+    for d in docs:
+        r = rows[d["doc_id"]]
+        assert r.held_out == (zlib.crc32(str(d["doc_id"]).encode()) % 4 == 2)
+        assert 0 <= r.score <= 1
+        if not any(c.isalpha() for c in d["text"] or ""):
+            assert r.lang_pred == "und"
+        elif r.held_out and d["doc_id"] < 500:
+            tried += 1
+            right += r.lang_pred == d["lang"]
+    assert tried > 5 and right >= 0.9 * tried
+
+
+def test_sketches(spark, sf_dir, docs):
+    got = {r.doc_id: r for r in queries.op9_sketches(spark, sf_dir).collect()}
+    ids = sorted(got, reverse=True)
+    text = {d["doc_id"]: d["text"] or "" for d in docs}
+    fp = {}
+    for i, k in enumerate(ids):
+        t, nxt = text[k], text[ids[(i + 1) % len(ids)]]
+        half = len(t) // 2
+        edited = t[: len(t) - half] + nxt[:half]
+        r = got[k]
+        assert (r.n_chars, r.edited_sha256) == (len(t), hashlib.sha256(edited.encode()).hexdigest())
+        assert 0 <= r.near_edited <= 1 and 0 <= r.near_next <= 1
+        assert fp.setdefault(t, r.fingerprint) == r.fingerprint
+        if edited == t:
+            assert r.near_edited == 1
+    assert set(fp.values()) != {""}
+
+
+def test_sketch_union(spark):
+    a, b = "one two three four five six seven eight nine ten", "one two three four five six seven zwei drei vier"
+    df = spark.createDataFrame([(a, b)], "a string, b string")
+    s = df.select(sketches.sketch(df.a, bits=0).alias("x"), sketches.sketch(df.b, bits=0).alias("y"))
+    m = s.select(sketches.merge(s.x, s.y, bits=0).alias("m"), sketches.jaccard(s.x, s.y).alias("j"), sketches.containment(s.x, s.y).alias("c")).first()
+    assert (len(m.m), m.j, m.c) == (9, pytest.approx(3 / 9), 0.5)
+
+
+def test_media(spark, sf_dir, docs):
+    got = {r.doc_id: r for r in queries.op10_media(spark, sf_dir).collect()}
+    for d in docs:
+        raw = (d["text"] or "").encode()
+        p = raw.ljust(max(64, -(-len(raw) // 64) * 64), b"\0")
+        r = got[d["doc_id"]]
+        file = media.write_avi(p)
+        assert (r.n_bytes, r.payload_bytes, r.payload_sha256, r.tail_crc32) == (len(raw), len(p), hashlib.sha256(p).hexdigest(), zlib.crc32(p[-64:]))
+        assert (r.media_bytes, r.media_sha256) == (len(file), hashlib.sha256(file).hexdigest()) and r.feature
+
+
+def test_shots_find_scene_changes():
+    import numpy as np
+
+    scenes = [bytes([20] * media.FRAME)] * 9 + [bytes([200] * media.FRAME)] * 7 + [bytes([90] * media.FRAME)] * 8
+    samples = np.frombuffer(b"".join(scenes), np.uint8).reshape(-1, media.FRAME)
+    assert media.shots(media.histograms(samples)) == [(0, 9), (9, 16), (16, 24)]
+    with pytest.raises(ValueError):
+        media.parse_avi(b"RIFFxxxxWAVE")
+
+
+@pytest.mark.parametrize("name", list(queries.queries()))
+def test_empty_table(spark, empty_dir, name):
+    assert queries.queries()[name](spark, empty_dir).count() == 0
+
+
+def test_surrogates(spark):
+    from sketchinit.llm import surrogates as s
+
+    text = "Mail anna.19@mail5.example.com or +1 (743) 555-3824, host 10.23.22.57. Frau Anna Schmidt met Dr. Schmidt and Mr Ivan Petrov. 4111 1111 1111 1111."
+    df = spark.createDataFrame([(1, text, 9), (2, "clean text, v1.2.3 of 2024-01-02", 9), (3, None, 9), (4, "again anna.19@mail5.example.com", 9)], "doc_id long, text string, n_entities int")
+    rows = {r.doc_id: r for r in s.replace(df).collect()}
+    new = rows[1].text
+    for gone in ("anna.19", "743) 555-3824", "10.23.22.57", "Anna", "Schmidt", "Petrov", "4111 1111"):
+        assert gone not in new
+    assert rows[2].text == "clean text, v1.2.3 of 2024-01-02" and rows[3].text is None
+    names = [new[e.start : e.end] for e in rows[1].entities if e.kind == "name"]
+    assert names[0].split()[1] == names[1]
+    mails = [r.text[e.start : e.end] for r in (rows[1], rows[4]) for e in r.entities if e.kind == "email"]
+    assert mails[0] == mails[1] and "@" in mails[0]
+    assert s.luhn("".join(c for e in rows[1].entities if e.kind == "card" for c in new[e.start : e.end] if c.isdigit()))
+    made = {s.surrogate(f"+1 (555) 555-{i:04d}", "phone") for i in range(300)}
+    assert len(made) == 300 and all(len(m) == 17 and m.startswith("+1 (") for m in made)
+    assert s.surrogate("Иван Петров", "name", "m").istitle()
+
+
+def test_clashing_surrogates_get_another_attempt(spark, monkeypatch):
+    from sketchinit.llm import surrogates as s
+
+    monkeypatch.setattr(s, "surrogate", lambda e, k, g="", a=0, key=b"", length=5: f"same{a}" if e in ("u", "v") and a < 1 else f"{e}-{a}")
+    found = spark.createDataFrame([("email", "", e) for e in ("u", "v", "w")], "kind string, gender string, entity string")
+    retried, _ = s.attempts(found)
+    assert list(retried.values()) == [1] and len(retried) == 1
+
+
+def test_cotraining_uses_the_other_view():
+    import numpy as np
+
+    from sketchinit.llm import cotrain
+
+    rng = np.random.default_rng(0)
+    y = rng.integers(0, 2, 900)
+    a = (y[:, None] * 2 - 1) * np.array([[1.0, 0.2]]) + rng.normal(0, 0.9, (900, 2))
+    b = (y[:, None] * 2 - 1) * np.array([[0.2, 1.0]]) + rng.normal(0, 0.9, (900, 2))
+    a, b = a.astype(np.float32), b.astype(np.float32)
+    m = cotrain.cotrain([a[:60], b[:60]], y[:60], [a[60:500], b[60:500]])
+    both = np.array([cotrain.combined(m, [u, v]) for u, v in zip(a[500:], b[500:])])
+    right = ((both > 0.5) == y[500:, None]).mean(axis=0)
+    assert right[0] >= max(right[1], right[2]) - 0.01 and right[0] > 0.85
+
+
+def test_quality(spark, sf_dir, docs):
+    rows = queries.op2_quality(spark, sf_dir).collect()
+    assert len(rows) == len(docs) and all(0 <= r.score <= 1 for r in rows)
+
+
+def test_pipeline(spark, sf_dir, docs):
+    import corpus_pipeline
+
+    table = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    one = corpus_pipeline.languages(spark, table, sf_dir)
+    assert {r.doc_id for r in one.collect()} == {d["doc_id"] for d in docs if any(c.isalpha() for c in d["text"] or "")}
+    two = corpus_pipeline.near_duplicates(spark, one, sf_dir)
+    left = {r.doc_id for r in two.collect()}
+    assert 15 in left and 500 not in left
+    def shingles(t):
+        w = t.lower().split()
+        return {tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))}
+    text = {d["doc_id"]: shingles(d["text"] or "") for d in docs}
+    for d in {r.doc_id for r in one.collect()} - left:
+        assert any(len(text[d] & text[o]) >= 0.8 * len(text[d] | text[o]) for o in text if o < d)
+    three = corpus_pipeline.without_secrets(spark, two, sf_dir)
+    assert three.columns == table.columns and three.count() == len(left)
+    assert not [r for r in three.collect() if "AKIAABCD" in (r.text or "")]
+    rows = queries.pipeline(spark, sf_dir).collect()
+    assert rows and max(r.length for r in rows) <= 2048
