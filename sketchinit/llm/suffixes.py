@@ -46,6 +46,7 @@ BATCH_BYTES = 4 << 20
 BUCKET_ENTRIES = 1_500_000
 HOT = 20_000  # open contexts of one anchor that one task settles
 BLOCK_BYTES = 2 << 20
+CHUNK = 1 << 16  # windows whose anchors are found at a time
 LAST = np.iinfo(np.int64).max
 
 # ---------------------------------------------------------------- suffix sorting
@@ -142,9 +143,10 @@ _powers: dict[int, tuple[np.ndarray, np.ndarray]] = {}
 
 
 def _power(n: int) -> tuple[np.ndarray, np.ndarray]:
-    size = 1 << max(16, (n + 1).bit_length())
+    size = 1 << max(17, (n + 1).bit_length())
     if size not in _powers:
-        _powers.clear()
+        if len(_powers) > 3:
+            _powers.clear()
         one = np.ones(1, np.uint64)
         _powers[size] = tuple(np.cumprod(np.concatenate([one, np.full(size - 1, b, np.uint64)]), dtype=np.uint64) for b in (_BASE, _BACK))
     return _powers[size]
@@ -185,29 +187,13 @@ class Runs:
         self.first_id = self.first_run = empty
         if len(raw) < WIDTH:
             return
-        sums = prefix_sums(raw)
-        g = np.arange(len(raw) - GRAM + 1)
-        h = slice_hash(sums, g, g + GRAM)
-        least, span = h, 1
-        wide = WIDTH - GRAM + 1
-        while span * 2 <= wide:
-            least = np.minimum(least[:-span], least[span:])
-            span *= 2
         n = len(raw) - WIDTH + 1
-        least = np.minimum(least[:n], least[wide - span : wide - span + n])
-        doc = np.repeat(np.arange(len(lengths)), lengths)[:n]
-        inside = np.arange(n) + WIDTH <= ends[doc]
-        new = np.ones(n, bool)
-        new[1:] = (least[1:] != least[:-1]) | (doc[1:] != doc[:-1])
-        new[::512] = True  # very repetitive text: no context grows without bound
-        begin = np.flatnonzero(new & inside)
-        stop = np.flatnonzero(new | ~inside)
-        nxt = np.searchsorted(stop, begin, side="right")
-        stops = np.append(stop, n)
-        self.lo, self.hi = begin, stops[nxt] - 1
-        self.doc = doc[begin]
-        self.anchor = least[begin]
-        self.context = slice_hash(sums, self.lo, self.hi + WIDTH)
+        doc = np.repeat(np.arange(len(lengths), dtype=np.int32), lengths)[:n]
+        found: list[tuple[np.ndarray, ...]] = []
+        for at in range(0, n, CHUNK):  # arrays that stay in the processor's cache
+            found.append(self._chunk(raw[at : at + CHUNK + WIDTH - 1], doc[at : at + CHUNK], at, ends))
+        self.lo, self.hi, self.anchor, self.context = (np.concatenate(c) for c in zip(*found))
+        self.doc = doc[self.lo].astype(np.int64)
         own = ids[self.doc]
         order = np.lexsort((own, self.context, self.anchor))
         a, c = self.anchor[order], self.context[order]
@@ -219,6 +205,28 @@ class Runs:
         self.first_id = own[self.first_run]
 
 
+    @staticmethod
+    def _chunk(raw: np.ndarray, doc: np.ndarray, base: int, ends: np.ndarray) -> tuple[np.ndarray, ...]:
+        """Runs of the windows that start in one chunk: (lo, hi, anchor, context)."""
+        n = len(doc)
+        sums = prefix_sums(raw)
+        _, back = _power(len(raw))
+        grams = len(raw) - GRAM + 1
+        least, span, wide = _mix((sums[GRAM:] - sums[:grams]) * back[:grams]), 1, WIDTH - GRAM + 1
+        while span * 2 <= wide:
+            least = np.minimum(least[:-span], least[span:])
+            span *= 2
+        least = np.minimum(least[:n], least[wide - span : wide - span + n])
+        new = np.ones(n, bool)
+        new[1:] = (least[1:] != least[:-1]) | (doc[1:] != doc[:-1])
+        new[::512] = True  # very repetitive text: no context grows without bound
+        begin = np.flatnonzero(new)
+        # a run's windows are of one document; those that would cross its end are no windows
+        last = np.minimum(np.append(begin[1:], n) - 1, ends[doc[begin]] - WIDTH - base)
+        begin, last = begin[last >= begin], last[last >= begin]
+        return begin + base, last + base, least[begin], slice_hash(sums, begin, last + WIDTH)
+
+
 def _blobs(docs: DataFrame) -> Iterator:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part, nth = TaskContext.get().partitionId(), 0
@@ -319,16 +327,21 @@ _TOLD = "batch long, at binary, least binary, open binary"
 
 
 def _settle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Step 2, batches: open contexts that this batch holds first, with their bytes."""
+    """Step 2, batches: open contexts that this batch holds first, with their bytes; and one row (at -1) of what is settled."""
     for b in batches:
         for i in range(b.num_rows):
             r = _runs_of(b, i)
             least, is_open = _answers(b.column("told")[i].as_py() or [], r)
-            mine = np.flatnonzero(is_open & (least == r.first_id))
-            rows: list[list] = [[], [], [], [], []]
-            blob = r.raw.tobytes()
+            own, low = r.ids[r.doc], least[r.entry]
+            whole = low < own
+            gone = _merged(r.lo[whole], r.hi[whole] + WIDTH, len(r.raw))
+            mine = is_open & (least == r.first_id)
+            waits = np.flatnonzero(mine[r.entry] & ~whole & (own == low))
+            state = np.concatenate([[len(gone)], gone.ravel(), r.entry[waits], r.lo[waits]]).astype("<i8").tobytes()
             batch = b.column("batch")[i].as_py()
-            for e in mine.tolist():
+            rows: list[list] = [[0], [batch], [-1], [0], [state]]
+            blob = r.raw.tobytes()
+            for e in np.flatnonzero(mine).tolist():
                 f = r.first_run[e]
                 for x, v in zip(rows, (int(r.anchor[f].astype(np.int64)), batch, e, int(least[e]), blob[r.lo[f] : r.hi[f] + WIDTH])):
                     x.append(v)
@@ -338,6 +351,13 @@ def _settle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 _OPEN = "anchor long, batch long, at int, id long, bytes binary"
 
 
+def _merged(starts: np.ndarray, ends: np.ndarray, n: int) -> np.ndarray:
+    """Disjoint (start, end) rows that cover the same places."""
+    d = np.bincount(starts, minlength=n + 1) - np.bincount(ends, minlength=n + 1) if len(starts) else np.zeros(n + 1, np.int64)
+    on = np.concatenate([[False], np.cumsum(d)[:-1] > 0, [False]])
+    return np.flatnonzero(on[1:] != on[:-1]).reshape(-1, 2)
+
+
 def _answers(told: list[dict], r: Runs) -> tuple[np.ndarray, np.ndarray]:
     """By entry: the smallest document of its context, and whether its anchor stands in other contexts too."""
     least, is_open = r.first_id.copy(), np.zeros(len(r.first_id), bool)
@@ -383,7 +403,25 @@ def settle_block(anchor: np.ndarray, ids: np.ndarray, strings: list[bytes]) -> l
     pieces: dict[bytes, list[tuple[int, int]]] = defaultdict(list)
     for s, e in zip(starts.tolist(), stops.tolist()):
         pieces[whole[w[s] : w[e] + WIDTH]].append((s, e))
-    texts = list(pieces)
+    # a piece none of whose windows stands in another piece is a class of its own: its smallest id settles it
+    piece = np.full(len(of), -1)
+    for k, at in enumerate(pieces.values()):
+        for s, e in at:
+            piece[s : e + 1] = k
+    heads = np.flatnonzero(head)
+    ps = piece[order]
+    mixed = np.minimum.reduceat(ps, heads) != np.maximum.reduceat(ps, heads)
+    shared = np.zeros(len(pieces), bool)
+    at = mixed[cls] & (ps >= 0)
+    shared[ps[at]] = True
+    texts = []
+    for k, (t, at) in enumerate(list(pieces.items())):
+        if shared[k]:
+            texts.append(t)
+            continue
+        low = min(int(ids[of[s]]) for s, _ in at)
+        for s, e in at:
+            flags[of[s]][s - first[of[s]] : e + 1 - first[of[s]]] |= low < ids[of[s]]
     if not texts:
         return flags
     least = [min(int(ids[of[s]]) for s, _ in pieces[t]) for t in texts]
@@ -468,39 +506,40 @@ def _hot_classes(hot: DataFrame) -> DataFrame:
     return told.mapInArrow(run, "batch long, at int, bits binary")
 
 
-def _removed(r: Runs, told: list[dict], found: list[dict]) -> np.ndarray:
-    """Which bytes of the batch go."""
-    least, _ = _answers(told, r)
-    gone = np.zeros(len(r.raw) + 1, np.int64)
-    own = r.ids[r.doc]
-    whole = least[r.entry] < own
-    np.add.at(gone, r.lo[whole], 1)
-    np.add.at(gone, r.hi[whole] + WIDTH, -1)
-    if found:
-        bits = {x["at"]: np.unpackbits(np.frombuffer(x["bits"], np.uint8)) for x in found}
-        for k in np.flatnonzero(np.isin(r.entry, np.fromiter(bits, np.int64, len(bits))) & ~whole).tolist():
-            if own[k] != least[r.entry[k]]:
-                continue
-            starts = np.flatnonzero(bits[int(r.entry[k])]) + r.lo[k]
-            np.add.at(gone, starts, 1)
-            np.add.at(gone, starts + WIDTH, -1)
-    return np.cumsum(gone)[:-1] > 0
+def _removed(n: int, state: bytes, found: list[dict]) -> np.ndarray:
+    """Which of the n bytes of a batch go."""
+    v = np.frombuffer(state, "<i8")
+    k = int(v[0])
+    gone = v[1 : 1 + 2 * k].reshape(-1, 2)
+    entry, lo = v[1 + 2 * k :].reshape(2, -1)
+    starts, ends = [gone[:, 0]], [gone[:, 1]]
+    if found and len(entry):
+        bits = {x["at"]: np.flatnonzero(np.unpackbits(np.frombuffer(x["bits"], np.uint8))) for x in found}
+        for e, at in zip(entry.tolist(), lo.tolist()):
+            if e in bits:
+                starts.append(bits[e] + at)
+                ends.append(bits[e] + at + WIDTH)
+    out = np.zeros(n, bool)
+    for s, e in _merged(np.concatenate(starts), np.concatenate(ends), n).tolist():
+        out[s:e] = True
+    return out
 
 
 def _finish(keep_text: bool):  # noqa: ANN202
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for i in range(b.num_rows):
-                r = _runs_of(b, i)
-                gone = _removed(r, b.column("told")[i].as_py() or [], b.column("found")[i].as_py() or [])
+                blob = b.column("blob")[i].as_py() or b""
+                gone = _removed(len(blob), b.column("state")[i].as_py(), b.column("found")[i].as_py() or [])
                 rows: list[list] = [[] for _ in range(7)]
-                blob = r.raw.tobytes()
+                raw = np.frombuffer(blob, np.uint8)
                 keys = b.column("ids")[i].as_py()
-                for d, (s, e) in enumerate(zip(r.begins.tolist(), r.ends.tolist())):
+                ends = np.cumsum(b.column("lengths")[i].as_py())
+                for d, (s, e) in enumerate(zip([0, *ends[:-1].tolist()], ends.tolist())):
                     g = gone[s:e]
                     n = int(g.sum())
                     edge = np.flatnonzero(np.diff(np.concatenate([[False], g, [False]]).astype(np.int8)))
-                    kept = blob[s:e] if not n else r.raw[s:e][~g].tobytes()
+                    kept = blob[s:e] if not n else raw[s:e][~g].tobytes()
                     for x, v in zip(rows, (keys[d], e - s, n, len(edge) // 2, hashlib.sha256(kept).hexdigest(), edge.tolist(), kept if keep_text else None)):
                         x.append(v)
                 kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.list_(pa.int64()), pa.binary())
@@ -524,7 +563,9 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     told = stash(blobs.mapInArrow(run, kind).groupBy("bucket").applyInArrow(_meet, _TOLD), "told")
     told = told.groupBy("batch").agg(F.collect_list(F.struct("at", "least", "open")).alias("told"))
     informed = blobs.join(told.hint("shuffle_hash"), "batch", "left")
-    open_ = stash(informed.mapInArrow(_settle, _OPEN), "open")
+    settled = stash(informed.mapInArrow(_settle, _OPEN), "open")
+    open_ = settled.where("at >= 0")
+    states = settled.where("at < 0").select("batch", F.col("bytes").alias("state"))
     crowds = open_.groupBy("anchor").agg(F.count("*").alias("n")).where(F.col("n") > HOT).select("anchor")
     crowds = stash(crowds, "hot")
     cold = open_.join(crowds, "anchor", "left_anti")
@@ -534,4 +575,5 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
         found = found.unionByName(_hot_classes(open_.join(crowds, "anchor", "left_semi")))
     found = stash(found, "found").groupBy("batch").agg(F.collect_list(F.struct("at", "bits")).alias("found"))
     run, kind = _finish(keep_text)
-    return informed.join(found.hint("shuffle_hash"), "batch", "left").mapInArrow(run, kind)
+    known = states.join(found, "batch", "left")
+    return blobs.join(known.hint("shuffle_hash"), "batch").mapInArrow(run, kind)
