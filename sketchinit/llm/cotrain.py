@@ -69,15 +69,16 @@ def _sigmoid(m: np.ndarray) -> np.ndarray:
 
 
 def calibrate(margin: np.ndarray, y: np.ndarray) -> tuple[float, float]:
-    """Slope and shift of a logistic curve through margins and labels (0 or 1), by Newton steps with a unit ridge around slope 1 and shift 0."""
+    """Slope and shift of a logistic curve through margins and labels (0 or 1), by bounded Newton steps with a unit ridge around slope 1 and shift 0."""
     a, b = 1.0, 0.0
-    for _ in range(30):
+    for _ in range(60):
         p = _sigmoid(a * margin + b)
         g = np.array([((p - y) * margin).sum() + (a - 1), (p - y).sum() + b])
         s = p * (1 - p)
         h = np.array([[(s * margin * margin).sum() + 1, (s * margin).sum()], [(s * margin).sum(), s.sum() + 1]])
         det = h[0, 0] * h[1, 1] - h[0, 1] * h[1, 0]
-        a, b = a - (h[1, 1] * g[0] - h[0, 1] * g[1]) / det, b - (h[0, 0] * g[1] - h[1, 0] * g[0]) / det
+        a -= float(np.clip((h[1, 1] * g[0] - h[0, 1] * g[1]) / det, -0.3, 0.3))
+        b -= float(np.clip((h[0, 0] * g[1] - h[1, 0] * g[0]) / det, -0.3, 0.3))
     return float(max(a, 0.05)), float(b)
 
 

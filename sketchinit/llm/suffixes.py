@@ -392,13 +392,12 @@ def settle_block(anchor: np.ndarray, ids: np.ndarray, strings: list[bytes]) -> l
     mixed = own[head] < own[tail]
     maybe = np.zeros(len(of), bool)
     maybe[order] = mixed[cls]
-    # maximal runs of such windows, equal ones once
-    run = maybe.copy()
-    run[1:] &= ~(maybe[:-1] & (of[1:] == of[:-1]))
-    starts = np.flatnonzero(run)
-    stop = maybe.copy()
-    stop[:-1] &= ~(maybe[1:] & (of[1:] == of[:-1]))
-    stops = np.flatnonzero(stop)
+    # maximal runs of such windows that stand equally often, equal ones once
+    often = np.zeros(len(of), np.int64)
+    often[order] = np.bincount(cls)[cls]
+    joins = maybe[1:] & maybe[:-1] & (of[1:] == of[:-1]) & (often[1:] == often[:-1])
+    starts = np.flatnonzero(maybe & ~np.concatenate([[False], joins]))
+    stops = np.flatnonzero(maybe & ~np.concatenate([joins, [False]]))
     whole = raw.tobytes()
     pieces: dict[bytes, list[tuple[int, int]]] = defaultdict(list)
     for s, e in zip(starts.tolist(), stops.tolist()):
