@@ -2,10 +2,16 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 
-def queries() -> dict:
-    return {}
+from . import graphs, learned, measures, streams
+
+Q = Callable
+
+
+def queries() -> dict[str, Q]:
+    return {k: v for m in (graphs, measures, learned, streams) for k, v in m.QUERIES.items()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {k: v for m in (graphs, measures, learned, streams) for k, v in m.ORACLES.items()}
