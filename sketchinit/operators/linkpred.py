@@ -61,7 +61,7 @@ def uniform_negatives(edges: DataFrame, nodes: DataFrame, count: int, seed: int
     return named.orderBy("id").limit(count).select("src", "dst")
 
 
-def matched_negatives(edges: DataFrame, pos: DataFrame, seed: int = 1, rounds: int = 12) -> tuple[DataFrame, int]:
+def matched_negatives(edges: DataFrame, pos: DataFrame, seed: int = 1, rounds: int = 20) -> tuple[DataFrame, int]:
     """(negatives, stubs left over): each node has as many negatives as positives.
 
     The positives' ends are shuffled by hash and zipped; what is an edge, a
@@ -71,11 +71,11 @@ def matched_negatives(edges: DataFrame, pos: DataFrame, seed: int = 1, rounds: i
     stubs = stash(arcs(pos).select(F.col("src").alias("node"), F.col("dst").alias("tag")), "stubs")
     done: DataFrame | None = None
     for r in range(rounds):
-        if r and r % 2 == 0 and done is not None:  # swap: give as many accepted pairs back as stubs are left
+        if r and r % 2 == 0 and done is not None:  # swap: give twice as many accepted pairs back as stubs are left
             left = stubs.count()
             if not left:
                 break
-            back = stash(done.orderBy(u32("swap", seed + r, F.col("src"), F.col("dst"))).limit(left), "back")
+            back = stash(done.orderBy(u32("swap", seed + r, F.col("src"), F.col("dst"))).limit(2 * left), "back")
             done = stash(done.join(back, ["src", "dst"], "left_anti"), "neg")
             more = back.select(F.explode(F.array("src", "dst")).alias("node")).withColumn("tag", F.lit(-1).cast("long"))
             stubs = stash(stubs.unionAll(more), "stubs")
