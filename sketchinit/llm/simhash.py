@@ -27,6 +27,7 @@ from pyspark.sql import DataFrame, functions as F
 from ..operators.components import connected
 from ..plans.storage import stash
 
+SMALL = 64  # fingerprints of a bucket whose pairs are all told
 BLOCK = 4096  # fingerprints of one candidate bucket that one task compares at a time
 
 
@@ -175,14 +176,20 @@ def links(fps: DataFrame, tau: int = 3, segments: int = 4, chain: int = 2) -> Da
             ends = np.r_[starts[1:], len(new)]
             f = col[5].astype(np.int64).view(np.uint64)
             src, dst = [], []
-            two = starts[ends - starts == 2]  # most buckets: one pair, all at once
-            if len(two):
-                x = f[two] ^ f[two + 1]
-                good = passes_ring(x, tau, segments) & (np.bitwise_count(x) <= tau)
-                src.append(f[two][good])
-                dst.append(f[two + 1][good])
+            # small buckets, all at once: each fingerprint with the one d places on, while that is in its bucket
+            size = ends - starts
+            end = np.repeat(np.where(size <= SMALL, ends, starts), size)
+            i, d = np.arange(len(f)), 0
+            while len(i):
+                d += 1
+                i = i[i + d < end[i]]
+                x = f[i] ^ f[i + d]
+                near = np.bitwise_count(x) <= tau
+                near[near] = passes_ring(x[near], tau, segments)
+                src.append(f[i[near]])
+                dst.append(f[i[near] + d])
             for s, e in zip(starts.tolist(), ends.tolist()):
-                if e - s > 2:
+                if e - s > SMALL:
                     first = col[4][s:e] == col[2][s]
                     a = f[s:e][first]
                     if col[2][s] == col[3][s]:
@@ -198,7 +205,7 @@ def links(fps: DataFrame, tau: int = 3, segments: int = 4, chain: int = 2) -> Da
         for b in batches:  # a bucket's rows may come in several batches: hold back the last one
             t = pa.Table.from_batches([b])
             held = t if held is None else pa.concat_tables([held, t])
-            if held.num_rows < 50_000:
+            if held.num_rows < 150_000:
                 continue
             keyed = [held.column(c).to_numpy() for c in range(4)]
             last = np.all([c == c[-1] for c in keyed], axis=0)
