@@ -21,7 +21,7 @@ from __future__ import annotations
 import itertools
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window, functions as F
 
 from ..plans.storage import stash
@@ -94,14 +94,16 @@ def land(p: np.ndarray, x: np.ndarray) -> np.ndarray:
 def sample(units: DataFrame, block: int = BLOCK, fan: int = FAN, seed: int = 5) -> DataFrame:
     """units(source, size, p, key, ...) with p moved to 0 or 1 for every row. key: a long that orders and draws."""
     schema = units.schema
+    names = list(schema.names)
 
     def fly(last: bool):  # noqa: ANN202
-        def run(pdf: pd.DataFrame) -> pd.DataFrame:
-            pdf = pdf.sort_values(["key", "size"], kind="stable").reset_index(drop=True)
-            u = (((pdf["key"].to_numpy(np.int64).view(np.uint64) + np.uint64(seed)) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(11)).astype(float) / 2.0**53
-            p = flight(pdf["p"].to_numpy(), pdf["size"].to_numpy(float), u)
-            pdf["p"] = land(p, pdf["size"].to_numpy(float)) if last else p
-            return pdf[[f.name for f in schema]]
+        def run(t: pa.Table) -> pa.Table:
+            key, size = t.column("key").to_numpy().astype(np.int64), t.column("size").to_numpy()
+            order = np.lexsort((size, key))
+            t, key, size = t.take(pa.array(order)), key[order], size[order].astype(float)
+            u = (((key.view(np.uint64) + np.uint64(seed)) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(11)).astype(float) / 2.0**53
+            p = flight(t.column("p").to_numpy(), size, u)
+            return t.set_column(t.column_names.index("p"), "p", pa.array(land(p, size) if last else p)).select(names if last else [*names, "_block"])
 
         return run
 
@@ -113,16 +115,11 @@ def sample(units: DataFrame, block: int = BLOCK, fan: int = FAN, seed: int = 5)
     joined = units.join(F.broadcast(counts) if counts.count() < 10_000 else counts, units["source"].eqNullSafe(counts["source"])).drop(counts["source"])
     dealt = joined.withColumn("_block", F.pmod(F.xxhash64(F.lit(seed), "key"), blocks)).drop("_n")
     if most == 1:
-        return dealt.groupBy("source").applyInPandas(fly(True), schema)
+        return dealt.groupBy("source").applyInArrow(fly(True), schema)
     with_block = dealt.select(*schema.names, "_block").schema
 
     def level(df: DataFrame) -> DataFrame:
-        def run(pdf: pd.DataFrame) -> pd.DataFrame:
-            out = fly(False)(pdf)
-            out["_block"] = pdf["_block"].iloc[0]
-            return out
-
-        return df.groupBy("source", "_block").applyInPandas(run, with_block)
+        return df.groupBy("source", "_block").applyInArrow(fly(False), with_block)
 
     done, state = [], stash(level(dealt), "fly")
     while True:
@@ -130,7 +127,7 @@ def sample(units: DataFrame, block: int = BLOCK, fan: int = FAN, seed: int = 5)
         left = state.where("p > 0 and p < 1").withColumn("_block", (F.col("_block") / fan).cast("long"))
         most = -(-most // fan)
         if most <= 1:
-            done.append(left.groupBy("source").applyInPandas(fly(True), schema))
+            done.append(left.groupBy("source").applyInArrow(fly(True), schema))
             break
         state = stash(level(left), "fly")
     out = done[0]

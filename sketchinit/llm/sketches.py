@@ -113,17 +113,18 @@ def edited_pairs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     lengths = stash(counted, "ids")
     repeated = (lengths.agg(F.max("rows")).first()[0] or 0) > 1
     order = stash(following(lengths.where("id is not null").select("id", "n")).select("id", "next_id", "asked"), "order")
-    ordered = base.join(order, "id", "left").withColumn("half", F.floor(F.col("n") / 2))
+    # both sides below read the same exchange of (id, text, n): texts move once by id, then only halves move
+    ordered = base.join(order.hint("merge"), "id", "left").withColumn("half", F.floor(F.col("n") / 2))
     own = ordered.select(
         F.col("id").alias("doc_id"), "next_id", F.col("n").alias("n_chars"), "half",
         sketch(F.col("text"), words, bits).alias("sketch"),
         F.substring("text", F.lit(1), F.col("n") - F.col("half")).alias("head"),
         F.when(F.col("next_id").isNull(), F.substring("text", F.lit(1), F.col("half"))).alias("self_given"),
     )
-    given = ordered.where("id is not null").select(F.col("id").alias("next_id"), sketch(F.col("text"), words, bits).alias("next_sketch"), F.substring("text", F.lit(1), F.floor(F.col("asked") / 2)).alias("given"))
+    given = ordered.where("id is not null").select(F.col("id").alias("next_id"), sketch(F.col("text"), words, bits).alias("next_sketch"), F.substring("text", F.lit(1), F.least(F.floor(F.col("asked") / 2), F.col("n"))).alias("given"))
     if repeated:
         given = given.groupBy("next_id").agg(F.max(F.struct("given", "next_sketch")).alias("v")).select("next_id", "v.given", "v.next_sketch")
-    both = own.join(given, "next_id", "left")
+    both = own.join(given.hint("merge"), "next_id", "left")
     tail = F.substring(F.coalesce("given", "self_given"), F.lit(1), F.col("half"))
     both = both.withColumn("edited", F.concat("head", tail)).withColumn("next_sketch", F.coalesce("next_sketch", "sketch"))
     return both.select("doc_id", "n_chars", "edited", "sketch", sketch(F.col("edited"), words, bits).alias("edited_sketch"), "next_sketch")
