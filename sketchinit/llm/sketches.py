@@ -21,7 +21,8 @@ from ..plans.storage import stash
 
 WORDS = 5
 FRACTION_BITS = 3  # one hash in 2 ** FRACTION_BITS is kept
-IDS_PER_RANGE = 20_000
+IDS_PER_RANGE = 4_000
+MAX_RANGES = 500_000  # bounds the one broadcast: two longs a range
 
 
 def threshold(bits: int = FRACTION_BITS) -> int:
@@ -68,63 +69,47 @@ def as_text(s: Column) -> Column:
     return F.array_join(F.transform(s, lambda v: F.lpad(F.lower(F.hex(v)), 16, "0")), "")
 
 
-def following(ids: DataFrame) -> DataFrame:
-    """(id, n, next_id, asked): for each id the next smaller one (after the smallest: the largest), and asked = the n of the id that precedes it.
+def ranges(docs: DataFrame) -> tuple[Column, DataFrame]:
+    """(range of a row, ends) for docs(id, ...): ends(top, to) holds the largest id of each range and the range that follows it.
 
-    ids(id, n). Ids are cut in ranges; a window runs inside each range, and
-    one row for each range links the ends, so no task sees all ids.
+    Ids are cut in ranges of equal width, at most MAX_RANGES of them, so that
+    ends may be broadcast whatever the table's size. After the last range
+    comes the first. Rows with a null id are dealt over ranges of their own.
     """
-    r = ids.agg(F.min("id"), F.max("id"), F.count("*")).first()
-    if not r[2]:
-        return ids.select("id", "n", F.col("id").alias("next_id"), F.col("n").alias("asked"))
-    ranges = max(1, -(-r[2] // IDS_PER_RANGE))
-    width = max(1, -(-(r[1] - r[0] + 1) // ranges))
-    cut = ids.withColumn("range", ((F.col("id").cast("double") - F.lit(float(r[0]))) / F.lit(float(width))).cast("long"))
-    ends = cut.groupBy("range").agg(F.max(F.struct("id", "n")).alias("top"), F.min("id").alias("low"))
+    r = docs.agg(F.min("id"), F.max("id"), F.count("id")).first()
+    low, count = r[0] or 0, max(1, min(MAX_RANGES, -(-r[2] // IDS_PER_RANGE)))
+    width = max(1, -(-((r[1] or 0) - low + 1) // count))
+    own = ((F.col("id").cast("double") - F.lit(float(low))) / F.lit(float(width))).cast("long")
+    ends = docs.where("id is not null").groupBy(own.alias("range")).agg(F.max("id").alias("top"))
     over = Window.orderBy("range")  # one row a range
-    whole = Window.orderBy("range").rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    ends = ends.select(
-        "range",
-        F.coalesce(F.lag("top.id").over(over), F.last("top.id").over(whole)).alias("after"),
-        F.coalesce(F.lead(F.struct("low")).over(over)["low"], F.first("low").over(whole)).alias("before_id"),
-    )
-    # n of the row before the range's largest id: the smallest id of the next range, or of the first
-    lows = cut.join(ends.select(F.col("before_id").alias("id"), F.col("range").alias("_to")).distinct(), "id").select(F.col("_to").alias("range"), F.col("n").alias("before_n"))
-    ends = ends.join(lows.groupBy("range").agg(F.max("before_n").alias("before_n")), "range")
-    inside = Window.partitionBy("range").orderBy(F.desc("id"))
-    return (
-        cut.withColumn("_next", F.lead("id").over(inside)).withColumn("_asked", F.lag("n").over(inside))
-        .join(ends, "range")
-        .select("id", "n", F.coalesce("_next", "after").alias("next_id"), F.coalesce("_asked", "before_n").alias("asked"))
-    )
+    whole = over.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    ends = ends.select("top", F.coalesce(F.lead("range").over(over), F.first("range").over(whole)).alias("to"))
+    return F.coalesce(own, -1 - F.pmod(F.xxhash64("text"), F.lit(count))), stash(ends, "ends")
 
 
 def edited_pairs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = WORDS, bits: int = FRACTION_BITS) -> DataFrame:
     """Each document beside its edited text: the last half of its code points replaced by the first as many of the next document.
 
     Returns (doc_id, n_chars, edited, sketch, edited_sketch, next_sketch).
-    Only halves of texts move: each document sends the head that it keeps and
-    the head that the document before it asks for. Where rows share a
-    doc_id, one of them (the largest text) stands as the next document; rows
-    with a null doc_id stand alone and are their own next document.
+    Texts move once, by range of id; inside a range the next document is the
+    row before in ascending order, and the last row of each range visits the
+    following one as a guest. Where rows share a doc_id, one of them (the
+    largest text) stands as the next document; rows with a null doc_id stand
+    alone and are their own next document.
     """
-    base = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text")).withColumn("n", F.char_length("text").cast("long"))
-    counted = base.groupBy("id").agg(F.max("n").alias("n"), F.count("*").alias("rows"))
-    lengths = stash(counted, "ids")
-    repeated = (lengths.agg(F.max("rows")).first()[0] or 0) > 1
-    order = stash(following(lengths.where("id is not null").select("id", "n")).select("id", "next_id", "asked"), "order")
-    # both sides below read the same exchange of (id, text, n): texts move once by id, then only halves move
-    ordered = base.join(order.hint("merge"), "id", "left").withColumn("half", F.floor(F.col("n") / 2))
-    own = ordered.select(
-        F.col("id").alias("doc_id"), "next_id", F.col("n").alias("n_chars"), "half",
-        sketch(F.col("text"), words, bits).alias("sketch"),
-        F.substring("text", F.lit(1), F.col("n") - F.col("half")).alias("head"),
-        F.when(F.col("next_id").isNull(), F.substring("text", F.lit(1), F.col("half"))).alias("self_given"),
-    )
-    given = ordered.where("id is not null").select(F.col("id").alias("next_id"), sketch(F.col("text"), words, bits).alias("next_sketch"), F.substring("text", F.lit(1), F.least(F.floor(F.col("asked") / 2), F.col("n"))).alias("given"))
-    if repeated:
-        given = given.groupBy("next_id").agg(F.max(F.struct("given", "next_sketch")).alias("v")).select("next_id", "v.given", "v.next_sketch")
-    both = own.join(given.hint("merge"), "next_id", "left")
-    tail = F.substring(F.coalesce("given", "self_given"), F.lit(1), F.col("half"))
-    both = both.withColumn("edited", F.concat("head", tail)).withColumn("next_sketch", F.coalesce("next_sketch", "sketch"))
+    base = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    home, ends = ranges(base)
+    placed = base.withColumn("home", home).join(F.broadcast(ends), F.col("id") == F.col("top"), "left")
+    visits = F.when(F.col("to").isNull(), F.array("home")).otherwise(F.array("home", "to"))
+    placed = placed.select("id", "text", F.posexplode(visits).alias("visit", "range")).select("id", "text", "range", (F.col("visit") == 0).alias("own"))
+    moved = placed.repartition("range").withColumn("sketch", sketch(F.col("text"), words, bits))
+    before = Window.partitionBy("range").orderBy("own", "id", "text")
+    alike = Window.partitionBy("range", "own", "id").orderBy("text")  # the same order: no further exchange or sort
+    lagged = moved.withColumn("_text", F.lag("text").over(before)).withColumn("_sketch", F.lag("sketch").over(before))
+    seen = lagged.withColumn("_text", F.first("_text").over(alike)).withColumn("_sketch", F.first("_sketch").over(alike)).where("own")
+    other = lambda mine: F.when(F.col("id").isNull(), F.col(mine)).otherwise(F.col(f"_{mine}"))
+    seen = seen.withColumn("n", F.char_length("text").cast("long"))
+    half = F.floor(F.col("n") / 2)
+    edited = F.concat(F.substring("text", F.lit(1), F.col("n") - half), F.substring(other("text"), F.lit(1), half))
+    both = seen.select(F.col("id").alias("doc_id"), F.col("n").alias("n_chars"), edited.alias("edited"), "sketch", other("sketch").alias("next_sketch"))
     return both.select("doc_id", "n_chars", "edited", "sketch", sketch(F.col("edited"), words, bits).alias("edited_sketch"), "next_sketch")
