@@ -45,7 +45,7 @@ GRAM = 24
 BATCH_BYTES = 4 << 20
 BUCKET_ENTRIES = 1_500_000
 HOT = 20_000  # open contexts of one anchor that one task settles
-BLOCK_BYTES = 2 << 20
+BLOCK_BYTES = 128 << 10  # strings sorted at a time: small lists stay in the processor's cache
 CHUNK = 1 << 16  # windows whose anchors are found at a time
 LAST = np.iinfo(np.int64).max
 
@@ -466,8 +466,8 @@ def _classes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         return pa.RecordBatch.from_arrays([pick.column("batch").combine_chunks(), pick.column("at").combine_chunks(), pa.array([np.packbits(flags[k]).tobytes() for k in some], pa.binary())], names=["batch", "at", "bits"])
 
     for b in batches:
-        for lo in range(0, b.num_rows, 4096):
-            t = pa.Table.from_batches([b.slice(lo, 4096)])
+        for lo in range(0, b.num_rows, 512):
+            t = pa.Table.from_batches([b.slice(lo, 512)])
             held.append(t)
             size += t.column("bytes").nbytes
             if size < BLOCK_BYTES:
