@@ -22,7 +22,7 @@ import itertools
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window, functions as F
+from pyspark.sql import Column, DataFrame, Window, functions as F
 
 from ..plans.storage import stash
 
@@ -31,9 +31,15 @@ FAN = 500  # blocks whose leftovers fly together at the next level
 WORD = r"[^\x20\x09-\x0D]+"
 
 
+def word_count(text: Column) -> Column:
+    """Words of the whole text (null: 0): each word becomes one letter, so no array of words is held."""
+    letters = F.translate(F.regexp_replace(text, WORD, "x"), " \t\n\x0b\f\r", "")
+    return F.coalesce(F.char_length(letters), F.lit(0)).cast("long")
+
+
 def sized(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
     """(doc_id, source, size): size counts the words of the whole text."""
-    size = F.coalesce(F.regexp_count(F.col(text_col), F.lit(WORD)), F.lit(0)).cast("long")
+    size = word_count(F.col(text_col))
     return docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), size.alias("size"))
 
 
@@ -156,7 +162,7 @@ def plan(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), most: int = 3, i
 
 def mix(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), most: int = 3, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
     """The rows of docs, each as often as the plan takes it (documents without words stay once); all columns pass through."""
-    size = F.coalesce(F.regexp_count(F.col(text_col), F.lit(WORD)), F.lit(0)).cast("long")
+    size = word_count(F.col(text_col))
     chosen = plan(docs, weights, most, id_col, text_col, source_col).withColumn("_times", F.when(F.col("size") > 0, F.col("taken") / F.col("size")).otherwise(1).cast("int"))
     chosen = chosen.where("_times > 0").select(F.col("doc_id").alias("_d"), F.col("source").alias("_s"), F.col("size").alias("_z"), F.col("nth").alias("_n"), "_times")
     numbered = docs.withColumn("_size", size).withColumn("_nth", F.row_number().over(Window.partitionBy(id_col, source_col, "_size").orderBy("_size")))
