@@ -265,6 +265,25 @@ def test_sketches(spark, sf_dir, docs):
     assert set(fp.values()) != {""}
 
 
+def test_edited_pairs_over_ranges(spark, monkeypatch):
+    """Many small ranges, ids that repeat or are null: the edited texts are those of a plain loop."""
+    monkeypatch.setattr(sketches, "IDS_PER_RANGE", 3)
+    rng = random.Random(1)
+    say = lambda: "".join(rng.choice("ab é😀 ") for _ in range(rng.randint(0, 30)))
+    rows = [(rng.choice([None, 1, 2, 3, 5, 8, 13, 21, 34, 100, 101, 102, 1000]), say()) for _ in range(60)]
+    by: dict[int, str] = {}
+    for i, t in rows:
+        if i is not None:
+            by[i] = max(by.get(i, ""), t, key=str.encode)
+    ids = sorted(by, reverse=True)
+    want = []
+    for i, t in rows:
+        after = t if i is None else by[ids[(ids.index(i) + 1) % len(ids)]]
+        want.append((-1 if i is None else i, t[: len(t) - len(t) // 2] + after[: len(t) // 2]))
+    got = sketches.edited_pairs(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert sorted((-1 if r.doc_id is None else r.doc_id, r.edited) for r in got) == sorted(want)
+
+
 def test_sketch_union(spark):
     a, b = "one two three four five six seven eight nine ten", "one two three four five six seven zwei drei vier"
     df = spark.createDataFrame([(a, b)], "a string, b string")
