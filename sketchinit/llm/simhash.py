@@ -17,18 +17,20 @@ columns are read, so extra columns cannot clash.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import Column, DataFrame, functions as F
 
 from ..operators.components import connected
 from ..plans.storage import stash
 
 SMALL = 64  # fingerprints of a bucket whose pairs are all told
 BLOCK = 4096  # fingerprints of one candidate bucket that one task compares at a time
+SAMPLE, RANKED = 10_000, 50_000  # texts read for the order of shingles, and shingles whose rank is sent to the tasks
 
 
 def fingerprint(text: str | None, words_per_shingle: int = 3, seed: int = 42) -> int:
@@ -234,24 +236,148 @@ def shingle_set(text: str | None, words: int) -> np.ndarray:
     """Distinct 64-bit hashes of a text's word shingles, lower-cased like the fingerprint."""
     w = (text or "").encode("utf-8", "surrogatepass").lower().split()
     k = min(words, len(w)) or 1
-    return np.unique(np.array([xxhash.xxh64_intdigest(b" ".join(w[i : i + k])) for i in range(max(1, len(w) - k + 1))], np.uint64)).astype(np.int64)
+    joined = b" ".join(w)
+    size = np.fromiter(map(len, w), np.int64, len(w))
+    ends = np.cumsum(size + 1) - 1
+    starts = (ends - size)[: max(0, len(w) - k + 1)].tolist() or [0]
+    ends = ends[k - 1 :].tolist() or [0]
+    digest = xxhash.xxh64_intdigest
+    return np.unique(np.array([digest(joined[s:e]) for s, e in zip(starts, ends)], np.uint64)).astype(np.int64)
+
+
+def text_key(text: Column) -> Column:
+    """64 bits of a text's md5 as a signed long; null counts as empty."""
+    h = F.md5(F.coalesce(text, F.lit("")).cast("binary"))
+    high, low = (F.conv(F.substring(h, at, 8), 16, 10).cast("long") for at in (1, 9))
+    return F.shiftleft(high, 32).bitwiseOR(low)
+
+
+def common_shingles(texts: DataFrame, words: int) -> tuple[np.ndarray, np.ndarray]:
+    """(shingles, ranks): those that several texts of a sample hold, sorted by hash. They only set an order, so a poor sample costs time, not links."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for t in b.column(0).to_pylist():
+                yield pa.RecordBatch.from_arrays([pa.array(shingle_set(t, words))], names=["h"])
+
+    step = max(1, -(-texts.count() // SAMPLE))
+    some = texts.where(F.pmod(F.xxhash64(F.lit(3), "doc_id", "node"), F.lit(step)) == 0).select("text")
+    seen = some.mapInArrow(run, "h long").groupBy("h").agg(F.count("*").alias("n")).where("n > 2").orderBy(F.desc("n"), "h").limit(RANKED).collect()
+    h = np.array([r["h"] for r in seen], np.int64)
+    order = np.argsort(h)
+    return h[order], np.arange(len(h), 0, -1)[order]
+
+
+def prefixes(texts: DataFrame, words: int, similarity: float) -> DataFrame:
+    """(doc_id, node, n, prefix) of texts(doc_id, node, text): how many shingles, and those of which two similar texts share one.
+
+    Shingles stand in one order for all texts, common ones last. A text with
+    n shingles shares at least similarity * n of them with a similar one, so
+    leaving out all but one of so many from the end still leaves a shared one.
+    """
+    hot, rank = common_shingles(texts, words)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            ids, sizes, kept, held, at = [], [], [], 0, 0
+            for i, t in enumerate(b.column(2).to_pylist(), 1):
+                s = shingle_set(t, words)
+                late = np.zeros(len(s), np.int64)
+                if len(hot):
+                    spot = np.minimum(np.searchsorted(hot, s), len(hot) - 1)
+                    late = np.where(hot[spot] == s, rank[spot], 0)
+                kept.append(s[np.lexsort((s, late))][: len(s) - math.ceil(similarity * len(s) - 1e-9) + 1])
+                sizes.append(len(s))
+                held += len(kept[-1])
+                if held > 400_000 or i == b.num_rows:
+                    off = np.r_[0, np.cumsum([len(x) for x in kept])].astype(np.int32)
+                    lists = pa.ListArray.from_arrays(pa.array(off), pa.array(np.concatenate(kept)))
+                    yield pa.RecordBatch.from_arrays([b.column(0).slice(at, i - at), b.column(1).slice(at, i - at), pa.array(sizes, pa.int32()), lists], names=["doc_id", "node", "n", "prefix"])
+                    sizes, kept, held, at = [], [], 0, i
+
+    return texts.select("doc_id", "node", "text").mapInArrow(run, "doc_id long, node long, n int, prefix array<long>")
+
+
+def crossed(rows: DataFrame, similarity: float) -> DataFrame:
+    """Pairs (src, dst) of rows(h, comp, node, n, pos) that share h, are of different comp and may reach the similarity.
+
+    Buckets of over BLOCK rows are compared in pairs of blocks in separate tasks, so none is cut short.
+    """
+    size = rows.groupBy("h").agg(F.count("*").alias("m"), F.min("comp").alias("low"), F.max("comp").alias("high")).where("low < high").select("h", "m")
+    shared = rows.join(size, "h").withColumn("blocks", F.ceil(F.col("m") / BLOCK).cast("int"))
+    dealt = shared.withColumn("own", F.pmod(F.xxhash64(F.lit(7), "node"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    dealt = dealt.select("h", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "comp", "node", "n", "pos")
+    dealt = dealt.repartition("h", "i", "j").sortWithinPartitions("h", "i", "j", "own")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def pairs(t: pa.Table) -> Iterator[pa.RecordBatch]:
+            h, i, j, own, comp, node, n, pos = (t.column(c).to_numpy() for c in range(8))
+            left = n - pos  # with h the first shared shingle, no more than so many are shared
+
+            def told(a: np.ndarray, b: np.ndarray) -> Iterator[pa.RecordBatch]:
+                big, small = np.maximum(n[a], n[b]), np.minimum(n[a], n[b])
+                need = similarity / (1 + similarity) * (big.astype(np.int64) + small)
+                ok = (comp[a] != comp[b]) & (small >= similarity * big - 1e-9) & (np.minimum(left[a], left[b]) >= need - 1e-6)
+                if ok.any():
+                    x, y = node[a[ok]], node[b[ok]]
+                    yield pa.RecordBatch.from_arrays([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y))], names=["src", "dst"])
+
+            starts = np.flatnonzero(np.r_[True, (h[1:] != h[:-1]) | (i[1:] != i[:-1]) | (j[1:] != j[:-1])])
+            ends = np.r_[starts[1:], len(h)]
+            # small buckets, all at once: each row with the one d places on, while that is in its bucket
+            end = np.repeat(np.where(ends - starts <= SMALL, ends, starts), ends - starts)
+            at, d = np.arange(len(h)), 0
+            while len(at):
+                d += 1
+                at = at[at + d < end[at]]
+                if len(at):
+                    yield from told(at, at + d)
+            for s, e in zip(starts.tolist(), ends.tolist()):
+                if e - s <= SMALL:
+                    continue
+                a = np.arange(s, e)
+                if i[s] == j[s]:
+                    for k in range(1, e - s):
+                        yield from told(a[:-k], a[k:])
+                else:
+                    first = own[s:e] == i[s]
+                    x, y = a[first], a[~first]
+                    for k in x.tolist():
+                        yield from told(np.full(len(y), k), y)
+
+        held: pa.Table | None = None
+        for b in batches:  # a bucket's rows may come in several batches: hold back the last one
+            t = pa.Table.from_batches([b])
+            held = t if held is None else pa.concat_tables([held, t])
+            if held.num_rows < 150_000:
+                continue
+            keyed = [held.column(c).to_numpy() for c in range(3)]
+            cut = int(np.argmax(np.all([c == c[-1] for c in keyed], axis=0)))
+            if cut:
+                yield from pairs(held.slice(0, cut))
+                held = held.slice(cut)
+        if held is not None and held.num_rows:
+            yield from pairs(held)
+
+    return dealt.mapInArrow(run, "src long, dst long").distinct()
 
 
-def verified(pairs: DataFrame, reps: DataFrame, docs: DataFrame, id_col: str, text_col: str, words: int, similarity: float) -> DataFrame:
-    """The links (src, dst) whose representatives' word shingles have a Jaccard similarity of at least `similarity`.
+def verified(pairs: DataFrame, reps: DataFrame, texts: DataFrame, words: int, similarity: float) -> DataFrame:
+    """The pairs (src, dst) of nodes whose texts' word shingles have a Jaccard similarity of at least `similarity`.
 
-    Only texts that stand at a link are read; they move by id, one link's two shingle sets meet in one row.
+    Only texts that stand at a pair are read; they move by id, one pair's two shingle sets meet in one row.
     """
-    ends = pairs.select("src").unionAll(pairs.select(F.col("dst").alias("src"))).distinct().join(reps.select(F.col("fp").alias("src"), "doc_id"), "src")
+    ends = pairs.select(F.col("src").alias("node")).unionAll(pairs.select("dst")).distinct().join(reps, "node")
+    ends = stash(ends, "ends")  # its size is known then, so texts do not move where it is small
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             sets = [shingle_set(t, words).astype("<i8").tobytes() for t in b.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(sets, pa.binary())], names=["fp", "shingles"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(sets, pa.binary())], names=["node", "shingles"])
 
-    texts = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")).join(ends, "doc_id").select(F.col("src").alias("fp"), "text")
-    sets = stash(texts.mapInArrow(run, "fp long, shingles binary"), "shingles").dropDuplicates(["fp"])
-    both = pairs.join(sets.select(F.col("fp").alias("src"), F.col("shingles").alias("x")), "src").join(sets.select(F.col("fp").alias("dst"), F.col("shingles").alias("y")), "dst")
+    read = texts.join(ends, ["doc_id", "node"], "left_semi").select("node", "text")
+    sets = stash(read.mapInArrow(run, "node long, shingles binary"), "shingles").dropDuplicates(["node"])
+    both = pairs.join(sets.select(F.col("node").alias("src"), F.col("shingles").alias("x")), "src").join(sets.select(F.col("node").alias("dst"), F.col("shingles").alias("y")), "dst")
 
     def check(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -259,27 +385,42 @@ def verified(pairs: DataFrame, reps: DataFrame, docs: DataFrame, id_col: str, te
             for x, y in zip(b.column(2).to_pylist(), b.column(3).to_pylist()):
                 u, v = np.frombuffer(x, "<i8"), np.frombuffer(y, "<i8")
                 common = len(np.intersect1d(u, v, assume_unique=True))
-                ok.append(common >= similarity * (len(u) + len(v) - common))
+                ok.append(common >= similarity * (len(u) + len(v) - common) - 1e-9)
             m = pa.array(ok, pa.bool_())
             yield pa.RecordBatch.from_arrays([b.column(0).filter(m), b.column(1).filter(m)], names=["src", "dst"])
 
     return both.select("src", "dst", "x", "y").mapInArrow(check, "src long, dst long")
 
 
-def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, similarity: float = 0.8, tau: int = 7) -> DataFrame:
+def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, similarity: float = 0.8) -> DataFrame:
     """The rows of docs that stay: one for each group, that of the smallest id; all columns pass through.
 
-    Candidates are fingerprints of 3-word shingles within `tau` bits (at a
-    word-shingle similarity of 0.8 the median distance is 6 bits); a
-    candidate link counts if the texts' `words`-word shingles reach
-    `similarity`. Rows with a null id stay.
+    Groups are the components of all pairs of texts whose `words`-word
+    shingles reach `similarity`. The search is exact: similar texts share a
+    shingle of their prefixes. First each text is compared with one of each
+    bucket it is in, then with all of its buckets that are not in its group
+    already. Equal texts are one node. Rows with a null id stay; rows of one
+    id with different texts are told apart.
     """
-    own = stash(fingerprints(docs, id_col, text_col, 3), "simhash")
-    first = own.where("doc_id is not null").groupBy("fp").agg(F.min("doc_id").alias("doc_id"))
-    first = stash(first, "simhash")
-    pairs = stash(links(first.select("fp"), tau, tau + 1, 3), "links")
-    label = connected(verified(pairs.distinct(), first, docs, id_col, text_col, words, similarity))
-    named = first.join(label.withColumnRenamed("node", "fp"), "fp", "left").select("doc_id", F.coalesce("root", "fp").alias("root"))
-    stays = named.groupBy("root").agg(F.min("doc_id").alias(id_col)).select(id_col)
-    kept = docs.join(stays, id_col, "left_semi").dropDuplicates([id_col])
-    return kept.unionByName(docs.where(F.col(id_col).isNull()))
+    keyed = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_key(F.col(text_col)).alias("node"), F.col(text_col).alias("text")).where("doc_id is not null")
+    texts = stash(prefixes(keyed, words, similarity), "prefixes")
+    first = stash(texts.groupBy("node").agg(F.min("doc_id").alias("doc_id")), "first")
+    rows = texts.join(first, ["node", "doc_id"], "left_semi").select("node", "n", F.posexplode("prefix").alias("pos", "h"))
+    heads = rows.groupBy("h").agg(F.min(F.struct("node", "n")).alias("low"), F.max("node").alias("high"), F.count("*").alias("m")).where("low.node < high")
+    shared = stash(rows.join(heads.select("h", "low", "m"), "h"), "shared")
+    star = shared.where((F.col("node") != F.col("low.node")) & (F.least("n", "low.n") >= similarity * F.greatest("n", "low.n") - 1e-9))
+    star = stash(star.select(F.col("low.node").alias("src"), F.col("node").alias("dst")).distinct(), "star")
+    links = stash(verified(star, first, keyed, words, similarity), "links")
+    label = connected(links).withColumnRenamed("root", "comp")
+    open_ = shared.where("m > 2").select("h", "node", "n", "pos").join(label, "node", "left")
+    open_ = stash(open_.select("h", F.coalesce("comp", "node").alias("comp"), "node", "n", "pos"), "open")
+    rest = stash(crossed(open_, similarity).join(star, ["src", "dst"], "left_anti"), "rest")
+    more = stash(verified(rest, first, keyed, words, similarity), "links")
+    if more.limit(1).count():
+        label = connected(links.unionAll(more)).withColumnRenamed("root", "comp")
+    named = first.join(label, "node", "left").select("node", "doc_id", F.coalesce("comp", "node").alias("comp"))
+    stays = named.groupBy("comp").agg(F.min(F.struct("doc_id", "node")).alias("s")).select(F.col("s.doc_id").alias(id_col), F.col("s.node").alias("__text_key"))
+    kept = docs.withColumn("__text_key", text_key(F.col(text_col))).join(stays, [id_col, "__text_key"], "left_semi")
+    if texts.groupBy("doc_id", "node").count().where("count > 1").limit(1).count():  # texts move only where rows repeat
+        kept = kept.dropDuplicates([id_col, "__text_key"])
+    return kept.drop("__text_key").unionByName(docs.where(F.col(id_col).isNull()))

@@ -388,3 +388,50 @@ def test_pipeline(spark, sf_dir, docs):
     assert not [r for r in three.collect() if "AKIAABCD" in (r.text or "")]
     rows = queries.pipeline(spark, sf_dir).collect()
     assert rows and max(r.length for r in rows) <= 2048
+
+
+def _doc(texts):
+    return [(i, t) for i, t in enumerate(texts)]
+
+
+def _jaccard(a, b, k=5):
+    x, y = ({tuple(w[i : i + k]) for i in range(max(1, len(w) - k + 1))} for w in (a.lower().split(), b.lower().split()))
+    return len(x & y) / len(x | y)
+
+
+def _staying(docs, similarity=0.8):
+    """Brute force: ids of the rows that stay."""
+    root = {i: i for i, _ in docs}
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for i, t in docs:
+        for j, u in docs:
+            if i < j and _jaccard(t, u) >= similarity:
+                a, b = sorted((find(i), find(j)))
+                root[b] = a
+    return {find(i) for i in root}
+
+
+def test_near_copies_in_a_large_bucket_are_all_verified(spark, monkeypatch):
+    """A text near all others in bits but not in shingles does not hide the links among those."""
+    rng = random.Random(5)
+    base = [f"w{i}" for i in range(300)]
+    texts = []
+    for g in range(45):
+        w = list(base)
+        for at in rng.sample(range(300), 9 if g else 0):
+            w[at] = f"g{g}x{at}"
+        texts += [" ".join(w), " ".join([*w[:-1], f"end{g}"])]
+    docs = _doc(texts)
+    rng.shuffle(docs)
+    want = _staying(docs)
+    assert 30 < len(want) < 60
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    assert {r.doc_id for r in simhash.dedup(df).collect()} == want
+    monkeypatch.setattr(simhash, "BLOCK", 16)
+    monkeypatch.setattr(simhash, "SMALL", 8)
+    assert {r.doc_id for r in simhash.dedup(df).collect()} == want
