@@ -435,3 +435,25 @@ def test_near_copies_in_a_large_bucket_are_all_verified(spark, monkeypatch):
     monkeypatch.setattr(simhash, "BLOCK", 16)
     monkeypatch.setattr(simhash, "SMALL", 8)
     assert {r.doc_id for r in simhash.dedup(df).collect()} == want
+
+
+def test_near_copies_are_found_whatever_the_edit(spark):
+    """Appended text, one changed block and scattered edits, from well below to above the similarity asked for."""
+    rng = random.Random(6)
+    docs = []
+    for g in range(60):
+        w = [f"{g}w{rng.randrange(10**6)}" for _ in range(120)]
+        kind, n = g % 3, rng.randint(4, 34) if g % 3 != 1 else rng.randint(1, 14)
+        if kind == 0:
+            v = [*w, *(f"{g}new{i}" for i in range(n))]
+        elif kind == 1:
+            v = [*w[:40], *(f"{g}new{i}" for i in range(n)), *w[40 + n :]]
+        else:
+            v = list(w)
+            for at in rng.sample(range(120), 1 + n // 8):
+                v[at] = f"{g}new{at}"
+        docs += [(2 * g, " ".join(w)), (2 * g + 1, " ".join(v))]
+    want = _staying(docs)
+    assert 70 < len(want) < 110
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    assert {r.doc_id for r in simhash.dedup(df).collect()} == want
