@@ -457,3 +457,12 @@ def test_near_copies_are_found_whatever_the_edit(spark):
     assert 70 < len(want) < 110
     df = spark.createDataFrame(docs, "doc_id long, text string")
     assert {r.doc_id for r in simhash.dedup(df).collect()} == want
+
+
+def test_equal_fingerprints_or_ids_of_different_texts_are_kept(spark):
+    fill = "x " * 200
+    docs = [(i, fill + " ".join(f"d{i}n{j}" for j in range(120))) for i in range(4)]
+    assert len({simhash.fingerprint(t) for _, t in docs}) == 1 and _jaccard(docs[0][1], docs[1][1]) < 0.1
+    docs += [(3, "another text of the same id as one before"), (9, docs[0][1].upper()), (None, "a"), (None, "a")]
+    got = simhash.dedup(spark.createDataFrame(docs, "doc_id long, text string")).collect()
+    assert sorted((r.doc_id if r.doc_id is not None else -1, r.text) for r in got) == sorted([*docs[:5], (-1, "a"), (-1, "a")])
