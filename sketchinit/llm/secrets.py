@@ -68,6 +68,18 @@ def windows_over(s: str, width: int, bits: float) -> list[tuple[int, int]]:
     return out
 
 
+def outside(start: int, end: int, base: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    """The parts of a range that no span of base (sorted by start) has told already."""
+    out = []
+    for a, b in base:
+        if a >= end:
+            break
+        if a > start:
+            out.append((start, a))
+        start = max(start, b)
+    return [*out, (start, end)] if start < end else out
+
+
 def find(text: str | None) -> list[tuple[str, int, int]]:
     """All spans (kind, start, end) of one text, by start, then kind as listed."""
     t = text or ""
@@ -85,9 +97,7 @@ def find(text: str | None) -> list[tuple[str, int, int]]:
             continue
         width, bits = THRESHOLDS["hex" if _HEX_ONLY.fullmatch(word) else "base64"]
         for s, e in windows_over(word, width, bits):
-            s, e = s + m.start(), e + m.start()
-            if not any(a < e and s < b for a, b in base):  # told already
-                spans.append(("entropy", s, e))
+            spans += [("entropy", a, b) for a, b in outside(s + m.start(), e + m.start(), base)]
     return sorted(spans, key=lambda x: (x[1], KINDS.index(x[0]), x[2]))
 
 
