@@ -30,8 +30,7 @@ LEAST = {"assign": 6, "access": 20, "hex": 24}
 KINDS = ("assign", "access", "hex", "entropy")
 _CANDIDATE = re.compile(r"[A-Za-z0-9+/_=-]{20,}")
 _HEX_ONLY = re.compile(r"[0-9a-fA-F]+")
-_MIXED = re.compile(r"(?=.*[0-9])(?=.*[A-Za-z])")
-#: (window, bits): a window of random characters of the class lies above, words and counters below.
+#: (window, bits): a window of random characters of the class lies above, words and counters below; a shorter string is one window, its bits in proportion to the logarithm of its length.
 THRESHOLDS = {"hex": (20, 2.9), "base64": (24, 3.8)}
 #: Harmless shapes: UUIDs, dates and versions, runs of one separator, data-free placeholders.
 ALLOWED = (
@@ -93,9 +92,11 @@ def find(text: str | None) -> list[tuple[str, int, int]]:
     base = sorted((s, e) for _, s, e in spans)
     for m in _CANDIDATE.finditer(t):
         word = m[0]
-        if not _MIXED.match(word) or any(a.fullmatch(word) for a in ALLOWED):
+        if any(a.fullmatch(word) for a in ALLOWED):
             continue
         width, bits = THRESHOLDS["hex" if _HEX_ONLY.fullmatch(word) else "base64"]
+        if len(word) < width:
+            width, bits = len(word), bits * math.log2(len(word)) / math.log2(width)
         for s, e in windows_over(word, width, bits):
             spans += [("entropy", a, b) for a, b in outside(s + m.start(), e + m.start(), base)]
     return sorted(spans, key=lambda x: (x[1], KINDS.index(x[0]), x[2]))

@@ -478,3 +478,11 @@ def test_entropy_beside_a_base_span_is_told_and_masked():
     assert {k for k, _, _ in spans} == {"hex", "entropy"} and (spans[0][1], spans[-1][2]) == (0, len(mixed))
     assert all(a[2] == b[1] for a, b in zip(spans, spans[1:]))
     assert secrets.outside(0, 10, [(2, 4), (3, 6), (8, 12)]) == [(0, 2), (6, 8)]
+
+
+def test_short_and_letter_only_random_tokens_have_a_window():
+    for token in ("x9Kq2Lm8Zr4Tv6Wp1Yb3", "x9Kq2Lm8Zr4Tv6Wp1Yb3Nd", "x9Kq2Lm8Zr4Tv6Wp1Yb3NdQ", "kQzRtWbXmLpVnHsDyGcJfKaT"):
+        for n in range(20, len(token) + 1):
+            assert secrets.find(f"see {token[:n]} there") == [("entropy", 4, 4 + n)]
+    for word in ("internationalization", "aaaaaaaaaaaaaaaaaaaaaa1", "2024-01-02/2024-01-03"):
+        assert secrets.find(f"see {word} there") == []
