@@ -28,6 +28,10 @@ def query(name: str, sql: str | None = None):  # noqa: ANN201
 for _key in g.BUILDERS:
     query(f"graph_{_key}", g.SQL[_key])(lambda spark, sf, key=_key: g.BUILDERS[key](spark, sf))
 
+query("graph_wordadj_whole")(lambda spark, sf: g.wordadj(spark, sf, chars=None))
+query("word_labels_whole")(lambda spark, sf: g.word_labels(spark, sf, chars=None))
+query("graph_docshare_whole")(lambda spark, sf: g.docshare(spark, sf, chars=None))
+
 
 @query("degrees", with_sql("trade") + "SELECT src AS node, count(*) AS degree FROM a GROUP BY 1")
 def _degrees(spark: SparkSession, sf: str) -> DataFrame:

@@ -59,29 +59,33 @@ def geo(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simple(pairs, F.col("a"), F.col("b"))
 
 
-def word_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(a, b, lang): adjacent letter-only words among the first 400 characters (the graph's definition)."""
-    d = table(spark, sf_dir, "documents").select("lang", F.split(F.lower(F.substring("text", 1, 400)), " ").alias("w"))
+def _prefix(chars: int | None) -> Column:
+    return F.col("text") if chars is None else F.substring("text", 1, chars)
+
+
+def word_pairs(spark: SparkSession, sf_dir: str, chars: int | None = 400) -> DataFrame:
+    """(a, b, lang): adjacent letter-only words among the first `chars` characters (400 in the SQL's definition; None: whole texts)."""
+    d = table(spark, sf_dir, "documents").select("lang", F.split(F.lower(_prefix(chars)), " ").alias("w"))
     p = d.select("lang", F.explode(F.zip_with(F.slice("w", 1, F.greatest(F.size("w") - 1, F.lit(0))), F.slice("w", 2, F.greatest(F.size("w") - 1, F.lit(1))), lambda x, y: F.struct(x.alias("a"), y.alias("b")))).alias("p"))
     return p.select("p.a", "p.b", "lang").where(F.col("a").rlike(WORD) & F.col("b").rlike(WORD) & (F.col("a") != F.col("b")))
 
 
-def wordadj(spark: SparkSession, sf_dir: str, min_count: int = 2) -> DataFrame:
-    p = word_pairs(spark, sf_dir).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+def wordadj(spark: SparkSession, sf_dir: str, min_count: int = 2, chars: int | None = 400) -> DataFrame:
+    p = word_pairs(spark, sf_dir, chars).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
     kept = p.groupBy("a", "b").agg(F.count("*").alias("n")).where(F.col("n") >= min_count)
     return simple(kept, key_id(F.col("a")), key_id(F.col("b")))
 
 
-def word_labels(spark: SparkSession, sf_dir: str) -> DataFrame:
+def word_labels(spark: SparkSession, sf_dir: str, chars: int | None = 400) -> DataFrame:
     """(node, label): each word's most frequent language, ties to the larger name."""
-    p = word_pairs(spark, sf_dir)
+    p = word_pairs(spark, sf_dir, chars)
     n = p.select(F.col("a").alias("w"), "lang").unionAll(p.select("b", "lang")).groupBy("w", "lang").agg(F.count("*").alias("n"))
     return n.groupBy("w").agg(F.max(F.struct("n", "lang"))["lang"].alias("label")).select(key_id(F.col("w")).alias("node"), "label")
 
 
-def docshare(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Documents that share 5 consecutive tokens of their first 1,500 characters (the graph's definition)."""
-    d = table(spark, sf_dir, "documents").select("doc_id", F.split(F.lower(F.substring("text", 1, 1500)), " ").alias("w"))
+def docshare(spark: SparkSession, sf_dir: str, chars: int | None = 1500) -> DataFrame:
+    """Documents that share 5 consecutive tokens of their first `chars` characters (1,500 in the SQL's definition; None: whole texts)."""
+    d = table(spark, sf_dir, "documents").select("doc_id", F.split(F.lower(_prefix(chars)), " ").alias("w"))
     each = F.transform(F.sequence(F.lit(0), F.size("w") - 5), lambda i: F.md5(F.array_join(F.slice("w", i + 1, 5), " ").cast("binary")))
     s = d.where(F.size("w") >= 5).select("doc_id", F.explode(F.array_distinct(each)).alias("h"))
     return simple(s.join(s.withColumnRenamed("doc_id", "o"), "h").where("doc_id < o"), F.col("doc_id"), F.col("o"))

@@ -289,3 +289,15 @@ def test_empty_graph(spark):
     g = make(spark, [])
     assert g.nodes.count() == 0 and graph.degrees(g.edges).count() == 0
     assert abstract.abstract_edges(g.edges, spark.createDataFrame([], "node long, part int")).count() == 0
+
+
+def test_whole_texts_give_edges_beyond_the_prefixes(spark, tmp_path):
+    from sketchinit.catalog.graphs import QUERIES
+
+    far = " ".join(f"{a}{b}x" for a in "abcdef" for b in "ghijkl")
+    texts = [(i, " ".join(f"{c}{'abcdefghij'[n % 10]}{'klmnopqrst'[n // 10 % 10]}{'uvwxyzabcd'[n // 100]}" for n in range(500)) + " " + far, lang) for i, c, lang in ((1, "y", "en"), (2, "z", "de"))]
+    spark.createDataFrame(texts, "doc_id long, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {tuple(r) for r in QUERIES["graph_docshare_whole"](spark, str(tmp_path)).collect()}
+    assert got == {(1, 2)} and not QUERIES["graph_docshare"](spark, str(tmp_path)).count()
+    assert QUERIES["graph_wordadj_whole"](spark, str(tmp_path)).count() == 35 and not QUERIES["graph_wordadj"](spark, str(tmp_path)).count()
+    assert QUERIES["word_labels_whole"](spark, str(tmp_path)).count() == 1036
