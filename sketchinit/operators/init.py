@@ -49,8 +49,8 @@ def pick(ag: AbstractGraph, how: str | tuple[int, int], w: np.ndarray | None, se
     if how != "grid":
         raise ValueError(f"unknown way to pick hyperparameters: {how}")
     losses = {}
-    for a in hyper.WALKS[:3]:
-        for b in hyper.LENGTHS[:3]:
+    for a in hyper.WALKS:
+        for b in hyper.LENGTHS:
             emb = embed_abstract(ag, a, b, d, seed)
             e = ag.edges.join(emb.select(F.col("part").alias("src"), F.col("vec").alias("x")), "src").join(emb.select(F.col("part").alias("dst"), F.col("vec").alias("y")), "dst")
             from .metrics import reconstruction

@@ -301,3 +301,17 @@ def test_whole_texts_give_edges_beyond_the_prefixes(spark, tmp_path):
     assert got == {(1, 2)} and not QUERIES["graph_docshare"](spark, str(tmp_path)).count()
     assert QUERIES["graph_wordadj_whole"](spark, str(tmp_path)).count() == 35 and not QUERIES["graph_wordadj"](spark, str(tmp_path)).count()
     assert QUERIES["word_labels_whole"](spark, str(tmp_path)).count() == 1036
+
+
+def test_grid_tries_every_combination(spark, monkeypatch):
+    from types import SimpleNamespace
+
+    from sketchinit.operators import hyper, init, metrics
+
+    tried = []
+    emb = spark.createDataFrame([(0, [0.0]), (1, [1.0])], "part int, vec array<float>")
+    monkeypatch.setattr(init, "embed_abstract", lambda ag, a, b, d, seed: tried.append((a, b)) or emb)
+    monkeypatch.setattr(metrics, "reconstruction", lambda *a: float(tried[-1][0] * tried[-1][1]))
+    ag = SimpleNamespace(edges=spark.createDataFrame([(0, 1, 1)], "src int, dst int, w long"))
+    assert init.pick(ag, "grid", None, "highest", 4, 1) == (80, 80)
+    assert set(tried) == {(a, b) for a in hyper.WALKS for b in hyper.LENGTHS}
