@@ -26,10 +26,11 @@ import xxhash
 from pyspark.sql import Column, DataFrame, functions as F
 
 from ..operators.components import connected
-from ..plans.storage import stash
+from ..plans.storage import drop_stash, stash
 
 SMALL = 64  # fingerprints of a bucket whose pairs are all told
 BLOCK = 4096  # fingerprints of one candidate bucket that one task compares at a time
+BUCKET_ENTRIES, HELD = 1_500_000, 400_000  # prefix shingles of one bucket, and those that a task packs together
 SAMPLE, RANKED = 10_000, 50_000  # texts read for the order of shingles, and shingles whose rank is sent to the tasks
 
 
@@ -245,6 +246,26 @@ def shingle_set(text: str | None, words: int) -> np.ndarray:
     return np.unique(np.array([digest(joined[s:e]) for s, e in zip(starts, ends)], np.uint64)).astype(np.int64)
 
 
+def parity(shingles: np.ndarray) -> bytes:
+    """A bitmap of about one bit a shingle, each bit the parity of the shingles that fall on it.
+
+    Two bitmaps differ in no more bits than the two sets differ in shingles. Sizes are powers of two: a larger bitmap folds to a smaller one.
+    """
+    size = 1 << max(6, (len(shingles) - 1).bit_length())
+    odd = np.bincount((shingles & (size - 1)).astype(np.int64), minlength=size) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").tobytes()
+
+
+def may_reach(x: bytes, y: bytes, n: int, m: int, similarity: float) -> bool:
+    """False only where sets of n and m shingles with these bitmaps cannot have so high a Jaccard similarity."""
+    a, b = (x, y) if len(x) >= len(y) else (y, x)
+    u, v, bits = int.from_bytes(a, "little"), int.from_bytes(b, "little"), len(a) * 8
+    while bits > len(b) * 8:
+        bits //= 2
+        u = (u >> bits) ^ (u & ((1 << bits) - 1))
+    return (u ^ v).bit_count() <= (1 - similarity) / (1 + similarity) * (n + m) + 1e-6
+
+
 def text_key(text: Column) -> Column:
     """64 bits of a text's md5 as a signed long; null counts as empty."""
     h = F.md5(F.coalesce(text, F.lit("")).cast("binary"))
@@ -268,34 +289,109 @@ def common_shingles(texts: DataFrame, words: int) -> tuple[np.ndarray, np.ndarra
     return h[order], np.arange(len(h), 0, -1)[order]
 
 
-def prefixes(texts: DataFrame, words: int, similarity: float) -> DataFrame:
-    """(doc_id, node, n, prefix) of texts(doc_id, node, text): how many shingles, and those of which two similar texts share one.
+_POSTING = "kind int, bucket long, doc_id long, node long, n int, bits binary, h long, pos int, packed binary"
+
+
+def _posting_batch(kind: int, **cols: pa.Array) -> pa.RecordBatch:
+    """Rows of one kind: 0 a text, 1 a shingle that several texts share, 2 packed shingles of a bucket."""
+    size = len(next(iter(cols.values())))
+    types = {"kind": pa.int32(), "bucket": pa.int64(), "doc_id": pa.int64(), "node": pa.int64(), "n": pa.int32(), "bits": pa.binary(), "h": pa.int64(), "pos": pa.int32(), "packed": pa.binary()}
+    cols["kind"] = pa.array(np.full(size, kind, np.int32))
+    return pa.RecordBatch.from_arrays([cols[c].cast(t) if c in cols else pa.nulls(size, t) for c, t in types.items()], names=list(types))
+
 
-    Shingles stand in one order for all texts, common ones last. A text with
-    n shingles shares at least similarity * n of them with a similar one, so
-    leaving out all but one of so many from the end still leaves a shared one.
+def postings(texts: DataFrame, words: int, similarity: float) -> tuple[DataFrame, DataFrame]:
+    """(doc_id, node, n, bits) of each text, and (h, node, n, pos) of the prefix shingles that texts of several nodes share.
+
+    texts(doc_id, node, text). Shingles stand in one order for all texts,
+    common ones last. A text with n shingles shares at least similarity * n
+    of them with a similar one, so leaving out all but one of so many from
+    the end still leaves a shared one. Most shingles stand in one text only:
+    they travel packed, once, to a bucket that tells which are shared. What
+    is shared within HELD shingles of one task sends the bucket one entry.
     """
     hot, rank = common_shingles(texts, words)
+    total = texts.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    buckets = max(4, -(-total // (30 * BUCKET_ENTRIES)))  # about one prefix shingle in 30 bytes
+
+    def prefix(s: np.ndarray) -> np.ndarray:
+        late = np.zeros(len(s), np.int64)
+        if len(hot):
+            spot = np.minimum(np.searchsorted(hot, s), len(hot) - 1)
+            late = np.where(hot[spot] == s, rank[spot], 0)
+        return s[np.lexsort((s, late))][: len(s) - math.ceil(similarity * len(s) - 1e-9) + 1]
+
+    def dealt(kept: dict[int, tuple[int, np.ndarray]]) -> Iterator[pa.RecordBatch]:
+        size = np.array([len(x) for _, x in kept.values()])
+        h = np.concatenate([x for _, x in kept.values()])
+        node = np.repeat(np.fromiter(kept, np.int64, len(kept)), size)
+        n = np.repeat(np.array([k for k, _ in kept.values()], np.int32), size)
+        pos = (np.arange(len(h)) - np.repeat(np.cumsum(size) - size, size)).astype(np.int32)
+        order = np.argsort(h, kind="stable")
+        head = np.r_[True, h[order][1:] != h[order][:-1]]
+        many = np.diff(np.r_[np.flatnonzero(head), len(h)]) > 1
+        shared = np.zeros(len(h), bool)
+        shared[order] = many[np.cumsum(head) - 1]
+        to = ((h.view(np.uint64) >> np.uint64(17)) % np.uint64(buckets)).astype(np.int64)
+        if shared.any():
+            yield _posting_batch(1, **{c: pa.array(v[shared]) for c, v in (("bucket", to), ("h", h), ("node", node), ("n", n), ("pos", pos))})
+        sent = np.ones(len(h), bool)
+        sent[shared] = False
+        sent[order[head]] = True
+        at = np.flatnonzero(sent)
+        at = at[np.argsort(to[at], kind="stable")]
+        mark = np.where(shared, -1, pos).astype(np.int32)
+        cut = np.flatnonzero(np.r_[True, to[at][1:] != to[at][:-1], True])
+        rows = [at[i:j] for i, j in zip(cut[:-1], cut[1:])]
+        packed = [h[r].astype("<i8").tobytes() + node[r].astype("<i8").tobytes() + n[r].astype("<i4").tobytes() + mark[r].astype("<i4").tobytes() for r in rows]
+        yield _posting_batch(2, bucket=pa.array(to[[r[0] for r in rows]]), packed=pa.array(packed, pa.binary()))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kept: dict[int, tuple[int, np.ndarray]] = {}
+        held = 0
         for b in batches:
-            ids, sizes, kept, held, at = [], [], [], 0, 0
-            for i, t in enumerate(b.column(2).to_pylist(), 1):
-                s = shingle_set(t, words)
-                late = np.zeros(len(s), np.int64)
-                if len(hot):
-                    spot = np.minimum(np.searchsorted(hot, s), len(hot) - 1)
-                    late = np.where(hot[spot] == s, rank[spot], 0)
-                kept.append(s[np.lexsort((s, late))][: len(s) - math.ceil(similarity * len(s) - 1e-9) + 1])
+            sizes, maps = [], []
+            for node, t in zip(b.column(1).to_pylist(), b.column(2)):
+                s = shingle_set(t.as_py(), words)
                 sizes.append(len(s))
-                held += len(kept[-1])
-                if held > 400_000 or i == b.num_rows:
-                    off = np.r_[0, np.cumsum([len(x) for x in kept])].astype(np.int32)
-                    lists = pa.ListArray.from_arrays(pa.array(off), pa.array(np.concatenate(kept)))
-                    yield pa.RecordBatch.from_arrays([b.column(0).slice(at, i - at), b.column(1).slice(at, i - at), pa.array(sizes, pa.int32()), lists], names=["doc_id", "node", "n", "prefix"])
-                    sizes, kept, held, at = [], [], 0, i
-
-    return texts.select("doc_id", "node", "text").mapInArrow(run, "doc_id long, node long, n int, prefix array<long>")
+                maps.append(parity(s))
+                if node not in kept:
+                    kept[node] = len(s), prefix(s)
+                    held += len(kept[node][1])
+                if held > HELD:
+                    yield from dealt(kept)
+                    kept, held = {}, 0
+            node = b.column(1)
+            bucket = (node.to_numpy().view(np.uint64) % np.uint64(buckets)).astype(np.int64)
+            yield _posting_batch(0, bucket=pa.array(bucket), doc_id=b.column(0), node=node, n=pa.array(sizes, pa.int32()), bits=pa.array(maps, pa.binary()))
+        if kept:
+            yield from dealt(kept)
+
+    def meet(t: pa.Table) -> pa.Table:
+        kind = t.column("kind").to_numpy()
+        out = [t.filter(pa.array(kind < 2))]
+        parts: list[list[np.ndarray]] = [[], [], [], []]
+        for v in t.filter(pa.array(kind == 2)).column("packed"):
+            raw = v.as_buffer()
+            k = raw.size // 24
+            for p, (dtype, at) in zip(parts, (("<i8", 0), ("<i8", 8 * k), ("<i4", 16 * k), ("<i4", 20 * k))):
+                p.append(np.frombuffer(raw, dtype, k, at))
+        if parts[0]:
+            h, node, n, pos = (np.concatenate(p) for p in parts)
+            order = np.lexsort((node, h))
+            hs, ns, told = h[order], node[order], pos[order] < 0
+            heads = np.flatnonzero(np.r_[True, hs[1:] != hs[:-1]])
+            last = np.r_[heads[1:], len(hs)] - 1
+            several = (ns[heads] != ns[last]) | np.logical_or.reduceat(told, heads)
+            keep = np.repeat(several, last - heads + 1) & ~told
+            keep &= np.r_[True, (hs[1:] != hs[:-1]) | (ns[1:] != ns[:-1]) | told[:-1]]
+            r = order[keep]
+            out.append(pa.Table.from_batches([_posting_batch(1, h=pa.array(h[r]), node=pa.array(node[r]), n=pa.array(n[r]), pos=pa.array(pos[r]))]))
+        return pa.concat_tables([x.select(out[0].column_names).cast(out[0].schema) for x in out])
+
+    sent = texts.select("doc_id", "node", "text").mapInArrow(run, _POSTING)
+    met = stash(sent.groupBy("bucket").applyInArrow(meet, _POSTING), "postings")
+    return met.where("kind = 0").select("doc_id", "node", "n", "bits"), met.where("kind = 1").select("h", "node", "n", "pos")
 
 
 def crossed(rows: DataFrame, similarity: float) -> DataFrame:
@@ -362,11 +458,26 @@ def crossed(rows: DataFrame, similarity: float) -> DataFrame:
     return dealt.mapInArrow(run, "src long, dst long").distinct()
 
 
+def plausible(pairs: DataFrame, maps: DataFrame, similarity: float) -> DataFrame:
+    """The pairs (src, dst) whose parity bitmaps allow the similarity; maps(node, n, bits). It drops no similar pair, and whole shingle sets move for the others only."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            x, y, n, m = (b.column(c).to_pylist() for c in range(2, 6))
+            ok = pa.array([may_reach(*r, similarity) for r in zip(x, y, n, m)], pa.bool_())
+            yield pa.RecordBatch.from_arrays([b.column(0).filter(ok), b.column(1).filter(ok)], names=["src", "dst"])
+
+    side = lambda end, a, b: maps.select(F.col("node").alias(end), F.col("bits").alias(a), F.col("n").alias(b))
+    both = pairs.join(side("src", "x", "nx"), "src").join(side("dst", "y", "ny"), "dst")
+    return both.select("src", "dst", "x", "y", "nx", "ny").mapInArrow(run, "src long, dst long")
+
+
 def verified(pairs: DataFrame, reps: DataFrame, texts: DataFrame, words: int, similarity: float) -> DataFrame:
     """The pairs (src, dst) of nodes whose texts' word shingles have a Jaccard similarity of at least `similarity`.
 
     Only texts that stand at a pair are read; they move by id, one pair's two shingle sets meet in one row.
     """
+    pairs = stash(pairs, "pairs")
     ends = pairs.select(F.col("src").alias("node")).unionAll(pairs.select("dst")).distinct().join(reps, "node")
     ends = stash(ends, "ends")  # its size is known then, so texts do not move where it is small
 
@@ -403,24 +514,28 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words
     id with different texts are told apart.
     """
     keyed = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_key(F.col(text_col)).alias("node"), F.col(text_col).alias("text")).where("doc_id is not null")
-    texts = stash(prefixes(keyed, words, similarity), "prefixes")
+    texts, rows = postings(keyed, words, similarity)
     first = stash(texts.groupBy("node").agg(F.min("doc_id").alias("doc_id")), "first")
-    rows = texts.join(first, ["node", "doc_id"], "left_semi").select("node", "n", F.posexplode("prefix").alias("pos", "h"))
+    maps = texts.select("node", "n", "bits")
+    if texts.count() != first.count():  # equal texts stand in several rows
+        maps, rows = maps.dropDuplicates(["node"]), rows.dropDuplicates(["h", "node"])
     heads = rows.groupBy("h").agg(F.min(F.struct("node", "n")).alias("low"), F.max("node").alias("high"), F.count("*").alias("m")).where("low.node < high")
-    shared = stash(rows.join(heads.select("h", "low", "m"), "h"), "shared")
+    shared = stash(rows.join(stash(heads.select("h", "low", "m"), "heads"), "h"), "shared")
     star = shared.where((F.col("node") != F.col("low.node")) & (F.least("n", "low.n") >= similarity * F.greatest("n", "low.n") - 1e-9))
     star = stash(star.select(F.col("low.node").alias("src"), F.col("node").alias("dst")).distinct(), "star")
-    links = stash(verified(star, first, keyed, words, similarity), "links")
-    label = connected(links).withColumnRenamed("root", "comp")
+    links = stash(verified(plausible(star, maps, similarity), first, keyed, words, similarity), "links")
+    label = stash(connected(links).withColumnRenamed("root", "comp"), "label")
     open_ = shared.where("m > 2").select("h", "node", "n", "pos").join(label, "node", "left")
     open_ = stash(open_.select("h", F.coalesce("comp", "node").alias("comp"), "node", "n", "pos"), "open")
+    drop_stash(shared)
     rest = stash(crossed(open_, similarity).join(star, ["src", "dst"], "left_anti"), "rest")
-    more = stash(verified(rest, first, keyed, words, similarity), "links")
+    drop_stash(open_)
+    more = stash(verified(plausible(rest, maps, similarity), first, keyed, words, similarity), "links")
     if more.limit(1).count():
         label = connected(links.unionAll(more)).withColumnRenamed("root", "comp")
     named = first.join(label, "node", "left").select("node", "doc_id", F.coalesce("comp", "node").alias("comp"))
     stays = named.groupBy("comp").agg(F.min(F.struct("doc_id", "node")).alias("s")).select(F.col("s.doc_id").alias(id_col), F.col("s.node").alias("__text_key"))
     kept = docs.withColumn("__text_key", text_key(F.col(text_col))).join(stays, [id_col, "__text_key"], "left_semi")
-    if texts.groupBy("doc_id", "node").count().where("count > 1").limit(1).count():  # texts move only where rows repeat
+    if texts.groupBy("doc_id", "node").count().where("count > 1").limit(1).count():  # whole rows move only where rows repeat
         kept = kept.dropDuplicates([id_col, "__text_key"])
     return kept.drop("__text_key").unionByName(docs.where(F.col(id_col).isNull()))
