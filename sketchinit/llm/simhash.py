@@ -30,7 +30,7 @@ from ..plans.storage import drop_stash, stash
 
 SMALL = 64  # fingerprints of a bucket whose pairs are all told
 BLOCK = 4096  # fingerprints of one candidate bucket that one task compares at a time
-BUCKET_ENTRIES, HELD = 1_500_000, 400_000  # prefix shingles of one bucket, and those that a task packs together
+BUCKET_ENTRIES, HELD = 500_000, 200_000  # prefix shingles of one bucket, and those that a task packs together
 SAMPLE, RANKED = 10_000, 50_000  # texts read for the order of shingles, and shingles whose rank is sent to the tasks
 
 
