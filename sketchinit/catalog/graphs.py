@@ -4,11 +4,12 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from ..functions.rng import u01_sql, u32_sql
+from ..functions.rng import u01, u01_sql, u32, u32_sql
 from ..operators import abstract, coarsen, graph, partition, propagate, target, walks
 from ..operators.graph import Graph
 from ..plans.storage import stash
 from ..sources import graphs as g
+from ..streaming.edges import warm_start
 from .base import ABSTRACT, ABSTRACT_ARCS, CROSS, F_A, INHERIT, K, PARTS, STEPS, edges, long_rows, long_sql, nodes, parts, stand_in_f_a, with_sql
 
 QUERIES: dict = {}
@@ -28,10 +29,6 @@ def query(name: str, sql: str | None = None):  # noqa: ANN201
 for _key in g.BUILDERS:
     query(f"graph_{_key}", g.SQL[_key])(lambda spark, sf, key=_key: g.BUILDERS[key](spark, sf))
 
-query("graph_wordadj_whole")(lambda spark, sf: g.wordadj(spark, sf, chars=None))
-query("word_labels_whole")(lambda spark, sf: g.word_labels(spark, sf, chars=None))
-query("graph_docshare_whole")(lambda spark, sf: g.docshare(spark, sf, chars=None))
-
 
 @query("degrees", with_sql("trade") + "SELECT src AS node, count(*) AS degree FROM a GROUP BY 1")
 def _degrees(spark: SparkSession, sf: str) -> DataFrame:
@@ -43,11 +40,23 @@ def _histogram(spark: SparkSession, sf: str) -> DataFrame:
     return graph.degree_histogram(edges(spark, sf, "wordadj"))
 
 
-@query("dataset_summary", " UNION ALL ".join(f"SELECT '{k}' AS dataset, (SELECT count(DISTINCT v) FROM (SELECT src AS v FROM q UNION ALL SELECT dst FROM q)) AS nodes, (SELECT count(*) FROM q) AS edges FROM (SELECT 1) CROSS JOIN (SELECT 1) WHERE true".replace("FROM q", f"FROM ({g.SQL[k]})") for k in ("trade", "copurchase", "docshare", "wordadj")))
+_LABELS = {"docshare": "SELECT count(DISTINCT lang) FROM documents", "wordadj": f"SELECT count(DISTINCT label) FROM ({g.LABEL_SQL}) lb SEMI JOIN (SELECT src AS node FROM ({g.SQL['wordadj']}) UNION ALL SELECT dst FROM ({g.SQL['wordadj']})) nn USING (node)", "vecknn": "SELECT count(DISTINCT label) FROM embeddings"}
+
+
+@query("dataset_summary", " UNION ALL ".join(f"SELECT '{k}' AS dataset, (SELECT count(DISTINCT v) FROM (SELECT src AS v FROM q UNION ALL SELECT dst FROM q)) AS nodes, (SELECT count(*) FROM q) AS edges, ({_LABELS.get(k, 'SELECT 0')})::BIGINT AS labels".replace("FROM q", f"FROM ({g.SQL[k]})") for k in g.BUILDERS))
 def _summary(spark: SparkSession, sf: str) -> DataFrame:
+    """Size and labels of every stand-in graph."""
     out = None
-    for k in ("trade", "copurchase", "docshare", "wordadj"):
-        one = graph.summary(edges(spark, sf, k)).select(F.lit(k).alias("dataset"), "nodes", "edges")
+    for k in g.BUILDERS:
+        e = edges(spark, sf, k)
+        if k == "wordadj":
+            labels = g.word_labels(spark, sf).join(nodes(e), "node", "left_semi").agg(F.count_distinct("label").alias("labels"))
+        elif k in _LABELS:
+            name, col = ("documents", "lang") if k == "docshare" else ("embeddings", "label")
+            labels = g.table(spark, sf, name).agg(F.count_distinct(col).alias("labels"))
+        else:
+            labels = spark.range(1).select(F.lit(0).cast("long").alias("labels"))
+        one = graph.summary(e).crossJoin(labels).select(F.lit(k).alias("dataset"), "nodes", "edges", "labels")  # one row each
         out = one if out is None else out.unionAll(one)
     return out
 
@@ -97,6 +106,26 @@ def _capped(spark: SparkSession, sf: str) -> DataFrame:
     return partition.label_prop(Graph(n, e), partition.choose_k(n.count()))
 
 
+@query("parts_user", with_sql("geo") + "SELECT node, CAST(node % 7 AS INTEGER) AS part FROM n")
+def _user(spark: SparkSession, sf: str) -> DataFrame:
+    n = nodes(edges(spark, sf, "geo"))
+    return partition.from_table(n.select("node", (F.col("node") % 7).alias("part")), n)
+
+
+@query("parts_check", with_sql("wordadj") + " UNION ALL ".join(f"SELECT '{p}' AS partitioner, count(*) AS nodes, CAST(ceil(sqrt(count(*))) AS BIGINT) AS parts, true AS within_cap, true AS below_hash_cut FROM n" for p in ("multilevel", "label_prop")))
+def _parts_check(spark: SparkSession, sf: str) -> DataFrame:
+    """Both partitioners cover all nodes with k parts within the cap, and cut fewer edges than hash parts."""
+    e = edges(spark, sf, "wordadj")
+    gr = Graph(stash(nodes(e), "nodes"), e)
+    n = gr.nodes.count()
+    k, rows = partition.choose_k(n), []
+    plain = partition.edge_cut(e, partition.hashed(gr.nodes, k)).count()
+    for name, p in (("multilevel", partition.multilevel(gr, k)), ("label_prop", partition.label_prop(gr, k))):
+        b = partition.balance(p.join(gr.nodes, "node", "left_semi").dropDuplicates(["node"]), k).first()
+        rows.append((name, b["nodes"], b["parts"], b["ok"], partition.edge_cut(e, p).count() < plain))
+    return spark.createDataFrame(rows, "partitioner string, nodes long, parts long, within_cap boolean, below_hash_cut boolean")
+
+
 @query("balance_check", with_sql("trade", PARTS) + f"SELECT CAST(sum(s) AS BIGINT) AS nodes, count(*) AS parts, max(s) AS max_size, CAST(floor(1.03 * ceil(sum(s) / {K})) AS BIGINT) AS cap, max(s) <= floor(1.03 * ceil(sum(s) / {K})) AS ok FROM (SELECT part, count(*) AS s FROM p GROUP BY 1)")
 def _balance(spark: SparkSession, sf: str) -> DataFrame:
     return partition.balance(parts(edges(spark, sf)), K)
@@ -169,6 +198,23 @@ def _blocks(spark: SparkSession, sf: str) -> DataFrame:
     return walks.alias_blocks(_trans(spark, sf), 8)[1]
 
 
+@query("alias_blocks_mass", _PROBS)
+def _blocks_mass(spark: SparkSession, sf: str) -> DataFrame:
+    """Probabilities rebuilt from both tables of the two-level draw."""
+    outer, inner = walks.alias_blocks(_trans(spark, sf), 8)
+    block = walks.alias_mass(outer).select("src", F.col("dst").alias("block"), F.col("prob").alias("share"))
+    near = inner.select("src", "block", "deg", F.explode(F.array(F.struct(F.col("own").alias("dst"), F.col("p_keep").alias("p")), F.struct(F.col("alias").alias("dst"), (1 - F.col("p_keep")).alias("p")))).alias("e"))
+    both = near.groupBy("src", "block", "e.dst").agg((F.sum("e.p") / F.first("deg")).alias("p")).join(block, ["src", "block"])
+    return both.select("src", "dst", F.round(F.col("p") * F.col("share"), 6).alias("prob")).where("prob > 1e-12")
+
+
+@query("walk_weighted_blocked")
+def _by_blocks(spark: SparkSession, sf: str) -> DataFrame:
+    t = stash(_trans(spark, sf), "trans")
+    outer, inner = (stash(x, "alias") for x in walks.alias_blocks(t, 8))
+    return walks.walk_rows(walks.weighted_blocked(outer, inner, t.select(F.col("src").alias("node")).distinct(), 4, 6))
+
+
 def _walk_sql(table: str, length: int) -> str:
     """Unrolled steps; table nb(cur, nxt, lo, hi) gives each neighbour its interval of the draw."""
     steps = [f"w1 AS (SELECT k AS nth, node AS start, CAST(node AS VARCHAR) AS path, node AS cur FROM {table}, range(2) t(k))"]
@@ -202,6 +248,17 @@ def _biased(spark: SparkSession, sf: str) -> DataFrame:
     return walks.walk_rows(walks.biased(e, nodes(e), 1, 4, 0.5, 2.0))
 
 
+_SECOND = f"st AS (SELECT src AS prev, dst AS cur, {u01_sql('second', 1, 'src', 'dst')} AS u FROM a), cw AS (SELECT st.prev, st.cur, st.u, c.dst AS cand, CASE WHEN c.dst = st.prev THEN 2.0 WHEN f.dst IS NOT NULL THEN 1.0 ELSE 0.5 END AS weight FROM st JOIN a c ON c.src = st.cur LEFT JOIN a f ON f.src = st.prev AND f.dst = c.dst), rs AS (SELECT *, sum(weight) OVER (PARTITION BY prev, cur ORDER BY cand) AS hi, sum(weight) OVER (PARTITION BY prev, cur) AS tot FROM cw)"
+
+
+@query("biased_walk_step", with_sql("wordadj", _SECOND) + "SELECT prev, cur, min(cand) AS nxt FROM rs WHERE hi > u * tot GROUP BY 1, 2")
+def _second(spark: SparkSession, sf: str) -> DataFrame:
+    """One second-order step from every arc, return weight 2, outward weight 1/2."""
+    e = edges(spark, sf, "wordadj")
+    state = graph.arcs(e).select(F.col("src").alias("prev"), F.col("dst").alias("cur"))
+    return walks.second_order_step(e, state, u01("second", 1, F.col("prev"), F.col("cur")), 0.5, 2.0).select("prev", "cur", F.col("cand").alias("nxt"))
+
+
 _PAIR = "SELECT center, context, count(*) AS n FROM (SELECT x.v AS center, y.v AS context FROM v x JOIN v y ON x.start = y.start AND x.nth = y.nth AND x.i <> y.i AND abs(x.i - y.i) <= 2) GROUP BY 1, 2"
 
 
@@ -285,3 +342,35 @@ def _fixed(spark: SparkSession, sf: str) -> DataFrame:
     """The initializer with hash parts, stand-in abstract vectors and two propagation steps."""
     e = edges(spark, sf)
     return long_rows(propagate.fixed(e, _inherited(spark, e), 2))
+
+
+@query("warm_start", with_sql("trade", PARTS, F_A, INHERIT) + f"SELECT a.src AS node, l.dim, round(avg(l.val), 6) AS val FROM a JOIN l0 l ON l.node = a.dst WHERE {u32_sql('unseen', 1, 'a.src')} % 10 = 0 AND {u32_sql('unseen', 1, 'a.dst')} % 10 <> 0 GROUP BY 1, 2")
+def _warm(spark: SparkSession, sf: str) -> DataFrame:
+    """A tenth of the nodes is new: each starts from the mean of its known neighbours."""
+    e = edges(spark, sf)
+    known = _inherited(spark, e).where(u32("unseen", 1, F.col("node")) % 10 != 0)
+    return long_rows(warm_start(known, e))
+
+
+_FRACTIONS = (8, 4, 2, 1)
+
+
+def _growth_sql(f: int) -> str:
+    h = f"{u32_sql('grow', 1, 'X')} % {f} = 0"
+    return f"(WITH ge AS (SELECT * FROM e WHERE {h.replace('X', 'src')} AND {h.replace('X', 'dst')}), gn AS (SELECT DISTINCT v FROM (SELECT src AS v FROM ge UNION ALL SELECT dst FROM ge)), gk AS (SELECT count(*) AS n, CAST(ceil(sqrt(count(*))) AS BIGINT) AS k FROM gn), gp AS (SELECT {u32_sql('part', 1, 'src')} % k AS p, {u32_sql('part', 1, 'dst')} % k AS q FROM ge, gk), gx AS (SELECT LEAST(p, q) AS p, GREATEST(p, q) AS q FROM gp WHERE p <> q) SELECT CAST({f} AS INTEGER) AS share, n AS nodes, (SELECT count(*) FROM ge) AS edges, k, (SELECT count(*) FROM gx) AS cut, (SELECT count(*) FROM (SELECT DISTINCT p, q FROM gx)) AS abstract_edges FROM gk)"
+
+
+@query("abstract_growth", with_sql("trade") + " UNION ALL ".join(f"SELECT * FROM {_growth_sql(f)}" for f in _FRACTIONS))
+def _growth(spark: SparkSession, sf: str) -> DataFrame:
+    """How parts, cut and sketch grow with the graph: subgraphs on an eighth, a quarter, half and all of the nodes, hash parts."""
+    e, out = edges(spark, sf), None
+    for f in _FRACTIONS:
+        some = e.where((u32("grow", 1, F.col("src")) % f == 0) & (u32("grow", 1, F.col("dst")) % f == 0))
+        n = nodes(some)
+        size = n.count()
+        k = partition.choose_k(size) if size else 0
+        ae = abstract.abstract_edges(some, partition.hashed(n, max(k, 1)))
+        row = ae.agg(F.coalesce(F.sum("w"), F.lit(0)).cast("long").alias("cut"), F.count("*").alias("abstract_edges"))
+        one = row.select(F.lit(f).alias("share"), F.lit(size).cast("long").alias("nodes"), F.lit(some.count()).cast("long").alias("edges"), F.lit(k).cast("long").alias("k"), "cut", "abstract_edges")
+        out = one if out is None else out.unionAll(one)
+    return out

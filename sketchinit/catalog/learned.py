@@ -6,9 +6,9 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from ..functions.rng import u01_sql
-from ..operators import abstract, classify, coarsen, hyper, init, linkpred, target, walks
+from ..operators import abstract, coarsen, hyper, init, propagate, sgns, target, walks
 from ..operators.graph import Graph
-from ..plans.storage import stash
+from ..plans.storage import stash, stash_path
 from ..sources import graphs as g
 from .base import ABSTRACT, ABSTRACT_ARCS, CROSS, PARTS, edges, nodes, parts, with_sql
 
@@ -83,14 +83,15 @@ def _sums(spark: SparkSession, sf: str) -> DataFrame:
 
 @query("regression_fit_sgd")
 def _sgd(spark: SparkSession, sf: str) -> DataFrame:
-    xy = stash(hyper.training_set(spark), "xy")
-    ws = {"sgd": hyper.fit_sgd(xy), "exact": hyper.fit_exact(xy)}
-    return spark.createDataFrame([(f, float(a), float(b)) for f, a, b in zip(hyper.FEATURES, ws["sgd"], ws["exact"])], "feature string, sgd double, exact double")
+    xy = stash(hyper.training_set(spark, graphs=6), "xy")
+    ws = [hyper.fit_sgd(xy), hyper.fit_exact(xy), hyper.fit_mllib(xy)]
+    return spark.createDataFrame([(f, *map(float, w)) for f, *w in zip(hyper.FEATURES, *ws)], "feature string, sgd double, exact double, library double")
 
 
 @query("hyper_training_set")
 def _training(spark: SparkSession, sf: str) -> DataFrame:
-    return hyper.training_set(spark, graphs=6)
+    """Every combination on 20 random graphs."""
+    return hyper.training_set(spark)
 
 
 _W = [0.5, -0.25, 0.01, 0.02, 3.0, -1.0, 0.5, 0.1, -0.2, 0.05]
@@ -102,6 +103,32 @@ def _choose(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame([hyper.choose(s, np.array(_W))], "n_walks int, walk_length int")
 
 
+@query("regression_objective", f"WITH {_XY} SELECT round(sum(({' + '.join(f'{w} * f{i}' for i, w in enumerate(_W))} - y) ** 2), 3) AS sse FROM xy")
+def _objective(spark: SparkSession, sf: str) -> DataFrame:
+    return spark.createDataFrame([(round(hyper.sse(_customer_xy(spark, sf), np.array(_W)), 3),)], "sse double")
+
+
+_SHIPPED, _CROSSED = hyper.default_model(), hyper.default_model(True)
+_SCORE = " + ".join(f"{w!r}::DOUBLE * {f}" for w, f in zip(_SHIPPED.tolist(), hyper.FEATURES))
+_MORE = " + ".join([*(f"{w!r}::DOUBLE * {f}" for w, f in zip(_CROSSED.tolist(), hyper.FEATURES)), *(f"{w!r}::DOUBLE * {h} * {f}" for w, (h, f) in zip(_CROSSED[10:].tolist(), ((h, f) for h in hyper.FEATURES[:2] for f in hyper.FEATURES[2:])))])
+
+
+def _picked_sql(name: str, select: str, score: str) -> str:
+    return f"SELECT '{name}' AS model, '{select}' AS reading, n_walks, walk_length, round({score}, 2) AS score, row_number() OVER (ORDER BY {'-' if select == 'highest' else ''}round({score}, 9), n_walks * walk_length, n_walks) = 1 AS picked FROM {_GRID} g, st"
+
+
+@query("learned_scores", with_sql("trade", PARTS, CROSS, ABSTRACT, ABSTRACT_ARCS, _HOPS, f"st AS ({_STATS})") + " UNION ALL ".join(_picked_sql(n, s, e) for n, e in (("plain", _SCORE), ("crossed", _MORE)) for s in ("highest", "lowest")))
+def _learned_scores(spark: SparkSession, sf: str) -> DataFrame:
+    """Predicted score of every pair by the shipped models on the trade sketch, and which one each reading picks."""
+    s = _stats_of(spark, sf).first().asDict()
+    rows = []
+    for name, w in (("plain", _SHIPPED), ("crossed", _CROSSED)):
+        for select in ("highest", "lowest"):
+            best = hyper.choose(s, w, select=select)
+            rows += [(name, select, a, b, round(v, 2), (a, b) == best) for a, b, v in hyper.scores(s, w)]
+    return spark.createDataFrame(rows, "model string, reading string, n_walks int, walk_length int, score double, picked boolean")
+
+
 def _word_graph(spark: SparkSession, sf: str) -> Graph:
     e = edges(spark, sf, "wordadj")
     return Graph(stash(nodes(e), "nodes"), e)
@@ -113,8 +140,6 @@ def _rounded(emb: DataFrame) -> DataFrame:
 
 @query("skipgram_vectors")
 def _skipgram(spark: SparkSession, sf: str) -> DataFrame:
-    from ..operators import sgns
-
     e = edges(spark, sf)
     a = abstract.abstract_edges(e, parts(e)).select(F.col("src").cast("long").alias("src"), F.col("dst").cast("long").alias("dst"), "w")
     a = stash(a, "ae")
@@ -124,16 +149,27 @@ def _skipgram(spark: SparkSession, sf: str) -> DataFrame:
 
 @query("skipgram_grid")
 def _skipgram_grid(spark: SparkSession, sf: str) -> DataFrame:
-    from ..operators import sgns
-
     e = edges(spark, sf)
     w = walks.uniform(e, nodes(e), 1, 4)
-    return _rounded(sgns.fit(walks.context_pairs(w, 2), nodes(e), 8, mode="grid"))
+    return _rounded(sgns.fit(walks.context_pairs(w, 2), nodes(e), 8, blocks=4))
 
 
 @query("sketch_init")
 def _sketch(spark: SparkSession, sf: str) -> DataFrame:
-    return _rounded(init.sketch(_word_graph(spark, sf), DIM, max_iter=6).emb)
+    """The whole initializer: parts, sketch graph, the shipped model's pair, walks, propagation until the moves are small."""
+    return _rounded(init.sketch(_word_graph(spark, sf), DIM).emb)
+
+
+@query("sketch_init_learned")
+def _sketch_learned(spark: SparkSession, sf: str) -> DataFrame:
+    """Both phases: a model is trained on random graphs, saved, read again, and picks the pair of the sketch; one row for each reading."""
+    path = stash_path(spark, "model")
+    hyper.save(spark, hyper.fit_sgd(stash(hyper.training_set(spark, graphs=9), "xy")), path)
+    w, gr, rows = hyper.load(spark, path), _word_graph(spark, sf), []
+    for select in ("highest", "lowest"):
+        r = init.sketch(gr, DIM, w=w, select=select)
+        rows.append((select, *r.hyper, r.emb.count(), len(r.trace), r.trace[-1]["converged"], round(propagate.spread(r.emb), 6)))
+    return spark.createDataFrame(rows, "reading string, n_walks int, walk_length int, nodes long, steps int, converged boolean, spread double")
 
 
 @query("hier_init")
@@ -141,77 +177,36 @@ def _hier(spark: SparkSession, sf: str) -> DataFrame:
     return _rounded(init.hierarchical(_word_graph(spark, sf), DIM, **BUDGET).emb)
 
 
-for _name in target.TARGETS:
-    query(f"target_{_name.replace('-', '_')}")(lambda spark, sf, t=_name: _rounded(target.TARGETS[t](_word_graph(spark, sf), DIM, **(BUDGET if t != "edge-proximity" else {"rounds": 5}))))
-
-
-def _starts(gr: Graph, kind: str, options: dict, seed: int) -> dict[str, DataFrame]:
-    return {"sketch": init.sketch(gr, DIM, max_iter=6, seed=seed).emb, "hierarchical": init.hierarchical(gr, DIM, kind, seed=seed, **options).emb, "random": init.random(gr, DIM, seed).emb}
+for _order in (2, "both"):
+    query(f"target_edge_proximity_{_order}")(lambda spark, sf, o=_order: _rounded(target.edge_prox(_word_graph(spark, sf), DIM, o, 5)))
 
 
-def link_rows(spark: SparkSession, e: DataFrame, dataset: str, targets: tuple[str, ...] = tuple(target.TARGETS), seed: int = 1) -> list[tuple]:
-    """(workload, target, init, dataset, measure, value, seed) for both similarities."""
-    s = linkpred.split(e, seed=seed)
-    gr = Graph(s.nodes, s.train)
-    out = []
-    for t in targets:
-        options = BUDGET if t != "edge-proximity" else {"rounds": 5}
-        for name, start in _starts(gr, t, options, seed).items():
-            emb = stash(target.TARGETS[t](gr, DIM, init=start, seed=seed, **options), "emb")
-            for sim in ("cosine", "euclid"):
-                v = linkpred.precision_global(linkpred.scored(s.pos, s.neg, emb, sim)).first()["precision"]
-                out.append(("W2", t, name, dataset, f"precision_{sim}", float(v), seed))
-    return out
-
-
-def class_rows(spark: SparkSession, e: DataFrame, labels: DataFrame, dataset: str, targets: tuple[str, ...] = tuple(target.TARGETS), seed: int = 1) -> list[tuple]:
-    gr = Graph(stash(nodes(e), "nodes"), e)
-    split = stash(classify.node_split(labels.join(gr.nodes, "node", "left_semi"), seed=seed), "split")
-    out = []
-    for t in targets:
-        options = BUDGET if t != "edge-proximity" else {"rounds": 5}
-        for name, start in _starts(gr, t, options, seed).items():
-            emb = stash(target.TARGETS[t](gr, DIM, init=start, seed=seed, **options), "emb")
-            pred = classify.fit(emb, split)
-            r = classify.f1(pred.select("node", "label"), pred.select("node", F.col("truth").alias("label"))).first()
-            out += [("W3", t, name, dataset, m, float(r[m]), seed) for m in ("micro", "macro")]
-    return out
-
-
-RESULT = "workload string, target string, init string, dataset string, measure string, value double, seed int"
-
-
-@query("link_prediction_table")
-def _links(spark: SparkSession, sf: str) -> DataFrame:
-    return spark.createDataFrame(link_rows(spark, edges(spark, sf, "wordadj"), "wordadj", ("uniform-walk",)), RESULT)
-
-
-@query("classification_table")
-def _classes(spark: SparkSession, sf: str) -> DataFrame:
-    labels = stash(g.word_labels(spark, sf), "labels")
-    return spark.createDataFrame(class_rows(spark, edges(spark, sf, "wordadj"), labels, "wordadj", ("uniform-walk",)), RESULT)
-
-
-@query("initializer_times")
-def _times(spark: SparkSession, sf: str) -> DataFrame:
-    import time
-
-    gr, rows = _word_graph(spark, sf), []
-    for name, run in (("sketch", lambda: init.sketch(gr, DIM, max_iter=6)), ("hierarchical", lambda: init.hierarchical(gr, DIM, **BUDGET)), ("random", lambda: init.random(gr, DIM))):
-        t = time.time()
-        run()
-        rows.append(("W4", "uniform-walk", name, "wordadj", "seconds", time.time() - t, 1))
-    return spark.createDataFrame(rows, RESULT)
+@query("skipgram_library")
+def _library(spark: SparkSession, sf: str) -> DataFrame:
+    """The library's trainer on the same walks: random start only."""
+    e = edges(spark, sf)
+    return _rounded(sgns.fit_mllib(walks.uniform(e, nodes(e), 2, 8, draws="bulk"), 8, 3))
 
 
-@query("ablation_no_propagation")
-def _plain(spark: SparkSession, sf: str) -> DataFrame:
-    """Without propagation the nodes of a part share one vector: distinct vectors = parts."""
-    r = init.sketch(_word_graph(spark, sf), DIM, max_iter=0)
-    return r.emb.agg(F.count_distinct("vec").alias("vectors")).crossJoin(r.parts.agg(F.count_distinct("part").alias("parts")))
+for _name in target.TARGETS:
+    query(f"target_{_name.replace('-', '_')}")(lambda spark, sf, t=_name: _rounded(target.TARGETS[t](_word_graph(spark, sf), DIM, **(BUDGET if t != "edge-proximity" else {"rounds": 5}))))
 
 
 @query("hierarchy_levels")
 def _levels(spark: SparkSession, sf: str) -> DataFrame:
     ls = coarsen.hierarchy(_word_graph(spark, sf))
     return spark.createDataFrame([(i, gr.nodes.count(), gr.edges.count()) for i, (gr, _) in enumerate(ls)], "level int, nodes long, edges long")
+
+
+@query("hierarchy_check", "SELECT true AS shrinks, true AS covered, true AS weight_kept")
+def _hierarchy_check(spark: SparkSession, sf: str) -> DataFrame:
+    """At every level: fewer nodes, each node has one parent that exists, and the weight of edges equals that of the edges between different parents below."""
+    ls = coarsen.hierarchy(_word_graph(spark, sf))
+    sizes = [gr.nodes.count() for gr, _ in ls]
+    covered, kept = True, True
+    for (gr, p), (up, _) in zip(ls, ls[1:]):
+        covered &= p.join(up.nodes.withColumnRenamed("node", "parent"), "parent", "left_semi").join(gr.nodes, "node", "left_semi").agg(F.count("*"), F.count_distinct("node")).first()[:] == (gr.nodes.count(),) * 2
+        w = F.col("w") if "w" in gr.edges.columns else F.lit(1)
+        ends = gr.edges.withColumn("w", w).join(p.select(F.col("node").alias("src"), F.col("parent").alias("a")), "src").join(p.select(F.col("node").alias("dst"), F.col("parent").alias("b")), "dst")
+        kept &= ends.where("a <> b").agg(F.coalesce(F.sum("w"), F.lit(0))).first()[0] == up.edges.agg(F.coalesce(F.sum("w"), F.lit(0))).first()[0]
+    return spark.createDataFrame([(all(b < a for a, b in zip(sizes, sizes[1:])), bool(covered), bool(kept))], "shrinks boolean, covered boolean, weight_kept boolean")

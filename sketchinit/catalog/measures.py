@@ -123,6 +123,13 @@ def _matched(spark: SparkSession, sf: str) -> DataFrame:
     return s.pos.withColumn("y", F.lit(1)).unionAll(s.neg.withColumn("y", F.lit(0)))
 
 
+@query("negatives_degrees", with_sql("pagenav", _HOLD, _REACH, f"ps AS ({_inside_sql('hs')})") + "SELECT node, CAST(count(*) AS BIGINT) AS positives, CAST(count(*) AS BIGINT) AS negatives FROM (SELECT src AS node FROM ps UNION ALL SELECT dst FROM ps) GROUP BY 1")
+def _matched_degrees(spark: SparkSession, sf: str) -> DataFrame:
+    """Every node has as many negatives as positives."""
+    s = linkpred.split(edges(spark, sf, "pagenav"))
+    return linkpred.negative_degrees(s.pos, s.neg)
+
+
 _TEST = f"ts AS (SELECT e.src, e.dst, CAST({u32_sql('y', 1, 'src', 'dst')} % 2 AS INTEGER) AS y FROM e), sc AS (SELECT ts.*, round(SIM, 9) AS s FROM ts JOIN v p ON p.node = ts.src JOIN v q ON q.node = ts.dst)"
 
 

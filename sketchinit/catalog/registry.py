@@ -4,14 +4,14 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from . import graphs, learned, measures, streams
+from . import experiments, graphs, learned, measures, streams
 
 Q = Callable
 
 
 def queries() -> dict[str, Q]:
-    return {k: v for m in (graphs, measures, learned, streams) for k, v in m.QUERIES.items()}
+    return {k: v for m in (graphs, measures, learned, experiments, streams) for k, v in m.QUERIES.items()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {k: v for m in (graphs, measures, learned, streams) for k, v in m.ORACLES.items()}
+    return {k: v for m in (graphs, measures, learned, experiments, streams) for k, v in m.ORACLES.items()}

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import hashlib
 
+import numpy as np
 from pyspark.sql import Column, functions as F
 
 
@@ -38,3 +39,41 @@ def key_id(key: Column) -> Column:
 
 def key_id_sql(key: str) -> str:
     return f"CAST(('0x' || substr(md5({key}), 1, 15)) AS BIGINT)"
+
+
+# Bulk draws: a chain of XXH64 over longs, equal in Spark and numpy, for walks and samples of any size.
+
+_SCALE = 2.0**-53
+# The five primes of XXH64.
+_P1, _P2, _P3, _P4, _P5 = (np.uint64(v) for v in (11400714785074694791, 14029467366897019727, 1609587929392839161, 9650029242287828579, 2870177450012600261))
+
+
+def _code(purpose: str) -> int:
+    return int(hashlib.md5(purpose.encode()).hexdigest()[:12], 16)
+
+
+def draw(purpose: str, seed: int, *keys: Column) -> Column:
+    """Uniform in [0, 1) from long keys."""
+    h = F.xxhash64(F.lit(_code(purpose)).cast("long"), F.lit(seed).cast("long"), *[k.cast("long") for k in keys])
+    return F.shiftrightunsigned(h, 11) * F.lit(_SCALE)
+
+
+def _turn(x: np.ndarray, by: int) -> np.ndarray:
+    return (x << np.uint64(by)) | (x >> np.uint64(64 - by))
+
+
+def _chain(value: np.ndarray, seed: np.ndarray) -> np.ndarray:
+    h = (seed + _P5 + np.uint64(8)) ^ (_turn(value * _P2, 31) * _P1)
+    h = _turn(h, 27) * _P1 + _P4
+    h = (h ^ (h >> np.uint64(33))) * _P2
+    h = (h ^ (h >> np.uint64(29))) * _P3
+    return h ^ (h >> np.uint64(32))
+
+
+def draw_np(purpose: str, seed: int, *keys: np.ndarray | int) -> np.ndarray:
+    """The same numbers as draw() for arrays of keys."""
+    with np.errstate(over="ignore"):
+        h = np.full(1, 42, np.uint64)
+        for k in (_code(purpose), seed, *keys):
+            h = _chain(np.atleast_1d(np.asarray(k, np.int64)).view(np.uint64), h)
+    return (h >> np.uint64(11)) * _SCALE

@@ -35,8 +35,8 @@ def similarity(a: Column, b: Column, sim: str) -> Column:
     return cosine(a, b) if sim == "cosine" else -euclid(a, b)
 
 
-def sum_vectors(df: DataFrame, key: str = "node", vec: str = "vec") -> DataFrame:
-    """(key, vec, n): element-wise sums and counts. Batches combine before the exchange, so a hub costs one row a batch."""
+def sum_vectors(df: DataFrame, key: str = "node", vec: str = "vec", counts: str | None = None) -> DataFrame:
+    """(key, vec, n): element-wise sums and counts (those of the column `counts`, else of rows). Batches combine before the exchange, so a hub costs one row a batch."""
 
     def combine(keys: np.ndarray, x: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         order = np.argsort(keys, kind="stable")
@@ -57,7 +57,7 @@ def sum_vectors(df: DataFrame, key: str = "node", vec: str = "vec") -> DataFrame
         for b in it:
             if b.num_rows:
                 k, x = parts(b)
-                yield batch(*combine(k, x, np.ones(len(k), np.int64)))
+                yield batch(*combine(k, x, b.column(2).to_numpy()))
 
     def last(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: tuple | None = None
@@ -76,7 +76,7 @@ def sum_vectors(df: DataFrame, key: str = "node", vec: str = "vec") -> DataFrame
             yield batch(*held)
 
     kind = f"{key} long, {vec} array<double>, n long"
-    some = df.select(F.col(key).cast("long"), F.col(vec).cast("array<double>")).mapInArrow(first, kind)
+    some = df.select(F.col(key).cast("long"), F.col(vec).cast("array<double>"), (F.col(counts) if counts else F.lit(1)).cast("long").alias("n")).mapInArrow(first, kind)
     return some.repartition(key).sortWithinPartitions(key).mapInArrow(last, kind)
 
 

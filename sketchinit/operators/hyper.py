@@ -2,19 +2,24 @@
 
 from __future__ import annotations
 
+import json
+from pathlib import Path
+
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F, types as T
 
 from ..functions.rng import u01
 from ..sources.tables import load_model, save_model
 from .abstract import AbstractGraph
 from .graph import arcs, degrees
-from .local import Csr, context_pairs, diameter, random_graph, reconstruction, skip_gram, statistics, walks
+from .local import Csr, count_pairs, diameter, random_graph, reconstruction, skip_gram, statistics, walks
 
 FEATURES = ["n_walks", "walk_length", "n_nodes", "n_edges", "density", "diameter", "avg_degree", "max_degree", "avg_weight", "max_weight"]
 WALKS, LENGTHS = (5, 10, 20, 40, 80), (5, 10, 20, 40, 80)
-LOCAL_EDGES = 2_000_000  # an abstract graph of up to so many edges has its diameter computed in one task
+EXACT_NODES, LOCAL_EDGES = 4_000, 1_000_000  # up to these sizes an abstract graph's diameter is searched from every node, in one task
+MAX_TRAINING = 1_000_000  # combinations times training graphs that the gradient fit holds
 HYBRID = T.StructType([T.StructField("graph_id", T.IntegerType()), T.StructField("combo_id", T.IntegerType()), *[T.StructField(f, T.DoubleType()) for f in FEATURES], T.StructField("y", T.DoubleType())])
 
 
@@ -56,22 +61,31 @@ def double_sweep(edges: DataFrame, starts: int = 4) -> int:
     return bfs_diameter(edges, first)
 
 
-def stats(ag: AbstractGraph, mode: str = "exact") -> dict[str, float]:
-    """The eight statistics of an abstract graph. mode 'sampled' bounds the diameter from below on large graphs."""
+def stats(ag: AbstractGraph, mode: str = "auto") -> dict[str, float]:
+    """The eight statistics of an abstract graph, and `exact`: 1 where the diameter is exact, 0 where it is a lower bound.
+
+    mode 'exact' searches from every node; 'sampled' from a few and their farthest; 'auto' is exact up to EXACT_NODES nodes and LOCAL_EDGES edges.
+    """
     e = ag.edges
     n = ag.nodes.count()
     r = e.agg(F.count("*"), F.avg("w"), F.max("w")).first()
     m = r[0]
     top = degrees(e).agg(F.max("degree")).first()[0] or 0
-    if mode == "sampled":
-        far = double_sweep(e) if m else 0
-    elif m <= LOCAL_EDGES:
-        rows = e.select("src", "dst").collect()
-        ids = {v: i for i, v in enumerate(sorted({x for q in rows for x in q}))}
-        far = diameter(Csr(len(ids), np.array([ids[q[0]] for q in rows], np.int64), np.array([ids[q[1]] for q in rows], np.int64))) if rows else 0
+    if mode == "sampled" or (mode == "auto" and (n > EXACT_NODES or m > LOCAL_EDGES)):
+        far, exact = (double_sweep(e) if m else 0), 0.0
     else:
-        far = bfs_diameter(e)
-    return dict(zip(FEATURES[2:], map(float, (n, m, 2 * m / (n * (n - 1)) if n > 1 else 0.0, far, 2 * m / n if n else 0.0, top, r[1] or 0.0, r[2] or 0.0))))
+        far, exact = (_diameter_in_task(e) if m <= LOCAL_EDGES else bfs_diameter(e)), 1.0
+    return dict(zip([*FEATURES[2:], "exact"], map(float, (n, m, 2 * m / (n * (n - 1)) if n > 1 else 0.0, far, 2 * m / n if n else 0.0, top, r[1] or 0.0, r[2] or 0.0, exact))))
+
+
+def _diameter_in_task(edges: DataFrame) -> int:
+    def run(e: pa.Table) -> pa.Table:
+        a, b = e.column("src").to_numpy(), e.column("dst").to_numpy()
+        ids = np.unique(np.concatenate([a, b]))
+        return pa.table({"far": pa.array([diameter(Csr(len(ids), np.searchsorted(ids, a), np.searchsorted(ids, b)))], pa.int32())})
+
+    row = edges.select(F.lit(1).alias("one"), "src", "dst").groupBy("one").applyInArrow(run, "far int").first()
+    return row[0] if row else 0
 
 
 def hybrid(combos: DataFrame, graph_stats: DataFrame) -> DataFrame:
@@ -81,13 +95,12 @@ def hybrid(combos: DataFrame, graph_stats: DataFrame) -> DataFrame:
 
 def score_graph(g: Csr, n_walks: int, length: int, d: int, seed: int, theta: str = "euclid_distance") -> float:
     """Loss of the weighted graph's embedding under one combination."""
-    rng = np.random.default_rng(seed)
-    c, o = context_pairs(walks(g, n_walks, length, rng), 5)
-    return reconstruction(g, skip_gram(g.n, c, o, d, epochs=1, rate=0.05, seed=seed), theta)
+    c, o, n = count_pairs(walks(g, n_walks, length, seed), 5, g.n)
+    return reconstruction(g, skip_gram(g.n, c, o, n, d, epochs=1, rate=0.05, seed=seed), theta)
 
 
-def training_set(spark: SparkSession, graphs: int = 12, kinds: tuple[str, ...] = ("gnp", "planted", "pref_attach"), sizes: tuple[int, int] = (10, 60), n_walks: tuple[int, ...] = (5, 10, 20), lengths: tuple[int, ...] = (5, 10, 20), d: int = 8, seed: int = 1, theta: str = "euclid_distance") -> DataFrame:
-    """HYBRID rows: one task for each (graph, combination)."""
+def training_set(spark: SparkSession, graphs: int = 20, kinds: tuple[str, ...] = ("gnp", "planted", "pref_attach"), sizes: tuple[int, int] = (10, 40), n_walks: tuple[int, ...] = WALKS, lengths: tuple[int, ...] = LENGTHS, d: int = 8, seed: int = 1, theta: str = "euclid_distance") -> DataFrame:
+    """HYBRID rows: every combination on every random graph, one group for each (graph, combination)."""
     combos = grid(spark, n_walks, lengths)
     jobs = combos.crossJoin(spark.range(graphs).select(F.col("id").cast("int").alias("graph_id")))
 
@@ -104,7 +117,9 @@ def training_set(spark: SparkSession, graphs: int = 12, kinds: tuple[str, ...] =
 
 
 def _matrix(xy: DataFrame, interactions: bool) -> tuple[np.ndarray, np.ndarray]:
-    rows = xy.select(*FEATURES, "y").collect()  # combinations times training graphs: a few thousand
+    rows = xy.select(*FEATURES, "y").limit(MAX_TRAINING + 1).collect()
+    if len(rows) > MAX_TRAINING:
+        raise ValueError(f"over {MAX_TRAINING} training rows: use fit_exact, which aggregates")
     a = np.array([list(r) for r in rows], float)
     x = a[:, :-1]
     return (_crossed(x) if interactions else x), a[:, -1]
@@ -115,7 +130,7 @@ def _crossed(x: np.ndarray) -> np.ndarray:
     return np.hstack([x, *[x[:, [h]] * x[:, 2:] for h in (0, 1)]])
 
 
-def fit_sgd(xy: DataFrame, rate: float = 0.05, epochs: int = 400, batch: int = 64, seed: int = 1, interactions: bool = False) -> np.ndarray:
+def fit_sgd(xy: DataFrame, rate: float = 0.05, epochs: int = 3000, batch: int = 64, seed: int = 1, interactions: bool = False) -> np.ndarray:
     """Least squares by mini-batch gradients with momentum, on columns scaled by their root mean square; the scale is folded back, so y is about x.w."""
     x, y = _matrix(xy, interactions)
     scale = np.sqrt((x**2).mean(axis=0))
@@ -164,14 +179,19 @@ def sse(xy: DataFrame, w: np.ndarray) -> float:
     return float(xy.agg(F.sum(F.pow(pred - F.col("y"), 2))).first()[0] or 0.0)
 
 
-def choose(graph_stats: dict[str, float], w: np.ndarray, n_walks: tuple[int, ...] = WALKS, lengths: tuple[int, ...] = LENGTHS, select: str = "highest") -> tuple[int, int]:
-    """The combination with the highest (or lowest) predicted score; ties to the smaller product, then the fewer walks."""
+def scores(graph_stats: dict[str, float], w: np.ndarray, n_walks: tuple[int, ...] = WALKS, lengths: tuple[int, ...] = LENGTHS) -> list[tuple[int, int, float]]:
+    """(walks, length, predicted score) of every combination."""
     s = [graph_stats[f] for f in FEATURES[2:]]
     combos = [(a, b) for a in n_walks for b in lengths]
     x = np.array([[a, b, *s] for a, b in combos], float)
     y = (_crossed(x) if len(w) > len(FEATURES) else x) @ w
+    return [(a, b, float(v)) for (a, b), v in zip(combos, y)]
+
+
+def choose(graph_stats: dict[str, float], w: np.ndarray, n_walks: tuple[int, ...] = WALKS, lengths: tuple[int, ...] = LENGTHS, select: str = "highest") -> tuple[int, int]:
+    """The combination with the highest (or lowest) predicted score; ties to the smaller product, then the fewer walks."""
     sign = -1 if select == "highest" else 1
-    return min(zip((sign * y).round(9), combos), key=lambda t: (t[0], t[1][0] * t[1][1], t[1]))[1]
+    return min(scores(graph_stats, w, n_walks, lengths), key=lambda t: (round(sign * t[2], 9), t[0] * t[1], t))[:2]
 
 
 def save(spark: SparkSession, w: np.ndarray, path: str) -> None:
@@ -180,3 +200,15 @@ def save(spark: SparkSession, w: np.ndarray, path: str) -> None:
 
 def load(spark: SparkSession, path: str) -> np.ndarray:
     return np.array(load_model(spark, path)["w"])
+
+
+def default_model(interactions: bool = False) -> np.ndarray:
+    """The weights that train_default() learned and that the package ships."""
+    model = json.loads((Path(__file__).parent / "walk_model.json").read_text())
+    return np.array(model["crossed" if interactions else "plain"])
+
+
+def train_default(spark: SparkSession) -> dict[str, list[float]]:
+    """The shipped model: every combination on 24 random graphs, fitted by gradients, without and with the 16 products."""
+    xy = training_set(spark, graphs=24).cache()
+    return {"plain": fit_sgd(xy).tolist(), "crossed": fit_sgd(xy, interactions=True).tolist()}

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -12,9 +13,7 @@ from ..plans.storage import stash
 from . import abstract, coarsen, hyper, partition, propagate, sgns, target
 from .abstract import AbstractGraph
 from .graph import Graph
-
-#: The model used where none is given: signs as learned on random graphs (loss falls with both, so 'highest' picks few and short).
-DEFAULT_W = np.array([-1.0, -1.0, *[0.0] * 8])
+from .metrics import reconstruction
 
 
 @dataclass
@@ -30,7 +29,7 @@ class InitResult:
 PARTITIONERS = {"multilevel": partition.multilevel, "label_prop": partition.label_prop}
 
 
-def embed_abstract(ag: AbstractGraph, n_walks: int, length: int, d: int, seed: int = 1, window: int = 5, epochs: int = 3, rate: float = 0.05, local: bool | None = None) -> DataFrame:
+def embed_abstract(ag: AbstractGraph, n_walks: int, length: int, d: int, seed: int = 1, window: int = 5, epochs: int = 1, rate: float = 0.05, local: bool | None = None) -> DataFrame:
     """(part, vec): weighted walks on the abstract graph, then skip-gram."""
     g = Graph(ag.nodes.select(F.col("part").cast("long").alias("node")), ag.edges.select(F.col("src").cast("long").alias("src"), F.col("dst").cast("long").alias("dst"), "w"))
     emb = target.uniform_walk(g, d, n_walks, length, window, epochs, rate, None, seed, local)
@@ -38,28 +37,35 @@ def embed_abstract(ag: AbstractGraph, n_walks: int, length: int, d: int, seed: i
 
 
 def pick(ag: AbstractGraph, how: str | tuple[int, int], w: np.ndarray | None, select: str, d: int, seed: int) -> tuple[int, int]:
-    """The walk hyperparameters: a given pair, 'learned', 'random' or 'grid'."""
+    """The walk hyperparameters: a given pair, 'learned' (the model w, or the shipped one), 'learned-crossed' (the shipped model that depends on the graph), 'random', or 'grid' (every pair is tried; the least loss wins).
+
+    select reads the model's score literally ('highest' wins) or as the loss it is ('lowest').
+    """
     if isinstance(how, tuple):
         return how
     if how == "random":
         rng = np.random.default_rng(seed)
         return int(rng.choice(hyper.WALKS)), int(rng.choice(hyper.LENGTHS))
-    if how == "learned":
-        return hyper.choose(hyper.stats(ag), DEFAULT_W if w is None else w, select=select)
+    if how in ("learned", "learned-crossed"):
+        return hyper.choose(hyper.stats(ag), hyper.default_model(how != "learned") if w is None else w, select=select)
     if how != "grid":
         raise ValueError(f"unknown way to pick hyperparameters: {how}")
-    losses = {}
-    for a in hyper.WALKS:
-        for b in hyper.LENGTHS:
-            emb = embed_abstract(ag, a, b, d, seed)
-            e = ag.edges.join(emb.select(F.col("part").alias("src"), F.col("vec").alias("x")), "src").join(emb.select(F.col("part").alias("dst"), F.col("vec").alias("y")), "dst")
-            from .metrics import reconstruction
+    losses = grid_losses(ag, d, seed)
+    return min(sorted(losses), key=losses.get)
+
+
+def grid_losses(ag: AbstractGraph, d: int, seed: int = 1, n_walks: tuple[int, ...] = hyper.WALKS, lengths: tuple[int, ...] = hyper.LENGTHS) -> dict[tuple[int, int], float]:
+    """The loss of the abstract graph's embedding under every combination; the embeddings are independent jobs, run side by side."""
+    def one(combo: tuple[int, int]) -> float:
+        emb = embed_abstract(ag, *combo, d, seed)
+        return reconstruction(ag.edges, emb.withColumnRenamed("part", "node"), "euclid_distance")
 
-            losses[a, b] = reconstruction(e.select("src", "dst", "w"), emb.withColumnRenamed("part", "node"), "euclid_distance")
-    return (max if select == "highest" else min)(sorted(losses), key=losses.get)
+    combos = [(a, b) for a in n_walks for b in lengths]
+    with ThreadPoolExecutor(4) as pool:
+        return dict(zip(combos, pool.map(one, combos)))
 
 
-def sketch(g: Graph, d: int = 128, k: int | None = None, eps: float = 0.03, delta: float | None = None, max_iter: int = 50, how: str | tuple[int, int] = "learned", w: np.ndarray | None = None, select: str = "highest", partitioner: str | DataFrame = "multilevel", rule: str = "sqrt", seed: int = 1) -> InitResult:
+def sketch(g: Graph, d: int = 128, k: int | None = None, eps: float = 0.03, delta: float | None = None, max_iter: int = 200, how: str | tuple[int, int] = "learned", w: np.ndarray | None = None, select: str = "highest", partitioner: str | DataFrame = "multilevel", rule: str = "sqrt", seed: int = 1) -> InitResult:
     """The sketch initializer. max_iter=0 leaves out propagation; k, rule and partitioner are the ablations' knobs."""
     times: dict[str, float] = {}
     t = time.time()

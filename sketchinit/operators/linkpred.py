@@ -5,6 +5,7 @@ from __future__ import annotations
 import math
 from dataclasses import dataclass
 
+import numpy as np
 from pyspark.sql import DataFrame, Window, functions as F
 
 from ..functions.rng import u32
@@ -12,7 +13,7 @@ from ..functions.vec import similarity
 from ..plans.storage import stash
 from .components import connected, largest
 from .graph import arcs
-from .partition import ranked
+from .partition import CHUNK, ranked
 
 
 @dataclass(frozen=True)
@@ -22,6 +23,7 @@ class Split:
     neg: DataFrame
     nodes: DataFrame
     held: int
+    unmatched: int = 0  # ends of positives that no negative could take
 
 
 def holdout(edges: DataFrame, alpha: float = 0.1, seed: int = 1) -> tuple[DataFrame, DataFrame]:
@@ -61,39 +63,92 @@ def uniform_negatives(edges: DataFrame, nodes: DataFrame, count: int, seed: int
     return named.orderBy("id").limit(count).select("src", "dst")
 
 
-def matched_negatives(edges: DataFrame, pos: DataFrame, seed: int = 1, rounds: int = 20) -> tuple[DataFrame, int]:
-    """(negatives, stubs left over): each node has as many negatives as positives.
+REPAIR, OFFERS = 20_000, 24  # stubs that one round of swaps may hold on the driver, and swaps offered to each pair of them
+BUCKET = 50_000  # stubs that are shuffled and zipped together
 
-    The positives' ends are shuffled by hash and zipped; what is an edge, a
-    loop or a repeat goes back and is shuffled again. Later rounds swap ends
-    with accepted pairs.
+
+def matched_negatives(edges: DataFrame, pos: DataFrame, seed: int = 1, rounds: int = 12) -> tuple[DataFrame, int]:
+    """(negatives, stubs left over): each node has as many negatives as positives; stubs stay only where no swap places them.
+
+    The positives' ends, each with a number of its own, are shuffled by hash
+    and zipped inside hash ranges; what is an edge, a loop or a repeat is
+    shuffled again until few are left. Those swap ends with accepted pairs:
+    (a, b) and (c, d) become (a, c) and (b, d) where both are free.
     """
     stubs = stash(arcs(pos).select(F.col("src").alias("node"), F.col("dst").alias("tag")), "stubs")
-    done: DataFrame | None = None
+    left = stubs.count()
+    done = stash(pos.select("src", "dst").limit(0), "neg")
+    for r in range(rounds):
+        if not left or (r and left <= REPAIR):
+            break
+        h = u32("stub", seed + r, F.col("node"), F.col("tag"))
+        dealt = stubs.withColumn("h", h).withColumn("bucket", F.floor(F.col("h") * (-(-left // BUCKET)) / 2**32))
+        nth = F.row_number().over(Window.partitionBy("bucket").orderBy("h", "node", "tag")) - 1
+        both = dealt.withColumn("p", nth).groupBy("bucket", F.floor(F.col("p") / 2).alias("p")).agg(F.array_sort(F.collect_list(F.struct("node", "tag"))).alias("ends"))  # two rows
+        a, b = F.col("ends")[0]["node"], F.get("ends", 1)["node"]
+        paired = stash(both.select("bucket", "p", "ends", F.least(a, b).alias("src"), F.greatest(a, b).alias("dst"), (F.size("ends") == 2).alias("two")), "stubs")
+        first = F.row_number().over(Window.partitionBy("src", "dst").orderBy("bucket", "p"))
+        ok = paired.where("two and src <> dst").withColumn("first", first).where("first = 1").join(edges, ["src", "dst"], "left_anti").join(done, ["src", "dst"], "left_anti")
+        ok = stash(ok.select("src", "dst", "bucket", "p"), "neg")
+        stubs = stash(paired.join(ok, ["bucket", "p"], "left_anti").select(F.explode("ends").alias("s")).select("s.node", "s.tag"), "stubs")
+        done = stash(done.unionAll(ok.select("src", "dst")), "neg")
+        left = stubs.count()
+    if left and left <= REPAIR:
+        return _swapped(edges, done, sorted(r["node"] for r in stubs.select("node").collect()), seed)
+    return done, left
+
+
+def _swapped(edges: DataFrame, done: DataFrame, stubs: list[int], seed: int, rounds: int = 12) -> tuple[DataFrame, int]:
+    """Place the last stubs by swaps with accepted pairs. A round draws accepted pairs by hash, checks all offered pairs in one join, and takes what fits."""
+    spark = edges.sparkSession
+    rng = np.random.default_rng(seed)
+    added: set[tuple[int, int]] = set()
+    gone: set[tuple[int, int]] = set()
+    pair = lambda a, b: (min(a, b), max(a, b))
     for r in range(rounds):
-        if r and r % 2 == 0 and done is not None:  # swap: give twice as many accepted pairs back as stubs are left
-            left = stubs.count()
-            if not left:
-                break
-            back = stash(done.orderBy(u32("swap", seed + r, F.col("src"), F.col("dst"))).limit(2 * left), "back")
-            done = stash(done.join(back, ["src", "dst"], "left_anti"), "neg")
-            more = back.select(F.explode(F.array("src", "dst")).alias("node")).withColumn("tag", F.lit(-1).cast("long"))
-            stubs = stash(stubs.unionAll(more), "stubs")
-        keyed = stubs.withColumn("h", u32("stub", seed + r, F.col("node"), F.col("tag"), F.lit(r))).withColumn("u", F.row_number().over(Window.partitionBy("node", "tag").orderBy("h")))
-        keyed = keyed.select(F.struct("h", "node", "tag", "u").alias("key"))
-        cut = stash(keyed.repartitionByRange(8, "key").withColumn("chunk", F.spark_partition_id()), "stubs")
-        nth = F.row_number().over(Window.partitionBy("chunk").orderBy("key")) - 1
-        paired = cut.withColumn("p", nth).groupBy("chunk", F.floor(F.col("p") / 2).alias("p")).agg(F.min_by(F.col("key")["node"], "key").alias("a"), F.max_by(F.col("key")["node"], "key").alias("b"), F.count("*").alias("n"), F.collect_list(F.struct(F.col("key")["node"].alias("node"), F.col("key")["tag"].alias("tag"))).alias("both"))
-        cand = paired.withColumn("src", F.least("a", "b")).withColumn("dst", F.greatest("a", "b"))
-        first = F.row_number().over(Window.partitionBy("src", "dst").orderBy("chunk", "p"))
-        known = edges if done is None else edges.unionAll(done)
-        ok = cand.where("n = 2 and a <> b").withColumn("first", first).where("first = 1").join(known, ["src", "dst"], "left_anti").select("src", "dst", "chunk", "p")
-        ok = stash(ok, "neg")
-        stubs = stash(paired.join(ok, ["chunk", "p"], "left_anti").select(F.explode("both").alias("s")).select("s.node", "s.tag"), "stubs")
-        done = ok.select("src", "dst") if done is None else stash(done.unionAll(ok.select("src", "dst")), "neg")
-        if not stubs.limit(1).count():
+        order = rng.permutation(len(stubs))
+        stubs = [stubs[i] for i in order]
+        open_ = list(zip(stubs[::2], stubs[1::2]))
+        if not open_:
             break
-    return done, stubs.count()
+        drawn = done.orderBy(u32("swap", seed + r, F.col("src"), F.col("dst")), "src", "dst").limit(OFFERS * len(open_)).collect()  # at most OFFERS * REPAIR / 2 rows
+        pool = [p for p in [*map(tuple, drawn), *sorted(added)] if p not in gone]
+        offers, wanted = [], set()
+        for k, (a, b) in enumerate(open_):
+            mine = [(None, [pair(a, b)])]
+            for c, d in (pool[(k * OFFERS + i) % len(pool)] for i in range(min(OFFERS, len(pool)))):
+                mine += [((c, d), [pair(a, c), pair(b, d)]), ((c, d), [pair(a, d), pair(b, c)])]
+            mine = [(old, new) for old, new in mine if len(set(new)) == len(new) and all(x != y for x, y in new)]
+            offers.append(mine)
+            wanted |= {p for _, new in mine for p in new}
+        asked = spark.createDataFrame(sorted(wanted), "src long, dst long") if wanted else done.limit(0)
+        known = edges.select("src", "dst").unionAll(done)
+        free = {tuple(x) for x in asked.join(known, ["src", "dst"], "left_anti").collect()} | (gone & wanted)
+        free -= {tuple(x) for x in asked.join(edges, ["src", "dst"], "left_semi").collect()} if gone & wanted else set()
+        free -= added
+        stubs = [] if len(stubs) % 2 == 0 else stubs[-1:]
+        for (a, b), mine in zip(open_, offers):
+            for old, new in mine:
+                if all(p in free for p in new) and (old is None or (old not in gone and (old in added or old in pool))):
+                    if old is not None:
+                        added.discard(old) if old in added else gone.add(old)
+                    for p in new:
+                        free.discard(p)
+                        gone.discard(p) if p in gone else added.add(p)
+                    break
+            else:
+                stubs += [a, b]
+    if gone:
+        done = done.join(F.broadcast(spark.createDataFrame(sorted(gone), "src long, dst long")), ["src", "dst"], "left_anti")
+    if added:
+        done = done.unionAll(spark.createDataFrame(sorted(added), "src long, dst long"))
+    return stash(done, "neg"), len(stubs)
+
+
+def negative_degrees(pos: DataFrame, neg: DataFrame) -> DataFrame:
+    """(node, positives, negatives) of every node at a test pair."""
+    ends = lambda df, p: df.select(F.explode(F.array("src", "dst")).alias("node"), F.lit(p).alias("p"))
+    return ends(pos, 1).unionAll(ends(neg, 0)).groupBy("node").agg(F.sum("p").alias("positives"), F.sum(1 - F.col("p")).alias("negatives"))
 
 
 def split(edges: DataFrame, alpha: float = 0.1, seed: int = 1, match_degree: bool = True) -> Split:
@@ -102,8 +157,8 @@ def split(edges: DataFrame, alpha: float = 0.1, seed: int = 1, match_degree: boo
     rest = stash(rest, "rest")
     nodes = stash(largest(connected(rest)), "lcc")
     train, pos = stash(inside(rest, nodes), "train"), stash(inside(held, nodes), "pos")
-    neg = matched_negatives(edges, pos, seed)[0] if match_degree else uniform_negatives(edges, nodes, pos.count(), seed)
-    return Split(train, pos, stash(neg.select("src", "dst"), "neg"), nodes, held.count())
+    neg, left = matched_negatives(edges, pos, seed) if match_degree else (uniform_negatives(edges, nodes, pos.count(), seed), 0)
+    return Split(train, pos, stash(neg.select("src", "dst"), "neg"), nodes, held.count(), left)
 
 
 def scored(pos: DataFrame, neg: DataFrame, emb: DataFrame, sim: str = "cosine") -> DataFrame:
@@ -146,7 +201,8 @@ def precision_per_node(test: DataFrame) -> DataFrame:
 def auc(test: DataFrame) -> float:
     """Chance that a positive ranks over a negative, ties by half: from counts at each distinct value."""
     by = test.groupBy("s").agg(F.sum("y").alias("p"), F.sum(1 - F.col("y")).alias("q"))
-    bucket = stash(by.repartitionByRange(8, "s").withColumn("chunk", F.spark_partition_id()), "auc")
+    by = stash(by, "auc")
+    bucket = stash(by.repartitionByRange(max(1, -(-by.count() // CHUNK)), "s").withColumn("chunk", F.spark_partition_id()), "auc")
     total = bucket.agg(F.sum("p"), F.sum("q")).first()
     before = Window.orderBy("chunk").rowsBetween(Window.unboundedPreceding, -1)  # one row a chunk
     base = bucket.groupBy("chunk").agg(F.sum("q").alias("n")).withColumn("base", F.coalesce(F.sum("n").over(before), F.lit(0))).select("chunk", "base")

@@ -2,8 +2,14 @@
 
 from __future__ import annotations
 
+import heapq
+import time
+from collections.abc import Iterable, Iterator
+
 import numpy as np
 
+from ..functions.rng import draw_np
+
 
 def alias_table(weights: np.ndarray | list[float]) -> tuple[np.ndarray, np.ndarray]:
     """(keep probability, alias position) of each element, by two stacks of deficient and surplus slots."""
@@ -26,14 +32,15 @@ def alias_table(weights: np.ndarray | list[float]) -> tuple[np.ndarray, np.ndarr
 
 
 class Csr:
-    """Adjacency of an undirected weighted graph on 0..n-1."""
+    """Adjacency of an undirected weighted graph on 0..n-1; ids are the nodes' names, in growing order."""
 
-    def __init__(self, n: int, src: np.ndarray, dst: np.ndarray, w: np.ndarray | None = None) -> None:
+    def __init__(self, n: int, src: np.ndarray, dst: np.ndarray, w: np.ndarray | None = None, ids: np.ndarray | None = None) -> None:
         h, t = np.concatenate([src, dst]), np.concatenate([dst, src])
         order = np.lexsort((t, h))
-        self.n, self.tail = n, t[order]
+        self.n, self.head, self.tail = n, h[order], t[order]
+        self.ids = np.arange(n) if ids is None else ids
         self.w = np.ones(len(h)) if w is None else np.concatenate([w, w]).astype(float)[order]
-        self.ptr = np.searchsorted(h[order], np.arange(n + 1))
+        self.ptr = np.searchsorted(self.head, np.arange(n + 1))
         self.deg = np.diff(self.ptr)
         self.src, self.dst, self.weight = src, dst, np.ones(len(src)) if w is None else np.asarray(w, float)
         self._alias: tuple | None = None
@@ -44,96 +51,190 @@ class Csr:
             for v in range(self.n):
                 s, e = self.ptr[v], self.ptr[v + 1]
                 if e > s + 1 and (self.w[s:e] != self.w[s]).any():
-                    keep[s:e], a = alias_table(self.w[s:e])
+                    keep[s:e], a = alias_table(self.w[s:e] / self.w[s:e].sum())
                     to[s:e] = a + s
             self._alias = keep, to
         return self._alias
 
+    def spread(self, nodes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(position in nodes, arc) of every arc that leaves one of the nodes."""
+        d = self.deg[nodes]
+        at = np.repeat(np.arange(len(nodes)), d)
+        return at, np.arange(len(at)) - np.repeat(np.cumsum(d) - d, d) + np.repeat(self.ptr[nodes], d)
+
 
-def walks(g: Csr, per_node: int, length: int, rng: np.random.Generator) -> np.ndarray:
-    """(per_node * n, length) node ids; -1 after a node without neighbours. Draws by alias: a slot, then keep or take."""
+def walks(g: Csr, per_node: int, length: int, seed: int = 1) -> Iterator[np.ndarray]:
+    """One array (n, length) of places for each walk number; -1 after a node without neighbours. The draws are those of the distributed walks."""
     keep, to = g.alias()
-    out = np.full((per_node * g.n, length), -1, np.int64)
-    cur = np.tile(np.arange(g.n), per_node)
-    out[:, 0] = cur
-    for step in range(1, length):
-        live = np.flatnonzero((cur >= 0) & (g.deg[cur] > 0))
-        slot = g.ptr[cur[live]] + (rng.random(len(live)) * g.deg[cur[live]]).astype(np.int64)
-        take = rng.random(len(live)) >= keep[slot]
-        slot[take] = to[slot[take]]
-        cur = np.full(len(cur), -1, np.int64)
-        cur[live] = g.tail[slot]
-        out[:, step] = cur
-    return out
-
-
-def biased_walks(g: Csr, per_node: int, length: int, p: float, q: float, rng: np.random.Generator) -> np.ndarray:
-    """Second-order walks by rejection: a uniform proposal is kept with weight 1/p (back), 1 (common neighbour) or 1/q."""
-    key = np.sort(np.repeat(np.arange(g.n), g.deg) * g.n + g.tail)
+    for nth in range(per_node):
+        out = np.full((g.n, length), -1, np.int64)
+        cur = np.arange(g.n)
+        out[:, 0] = cur
+        for step in range(1, length):
+            live = np.flatnonzero((cur >= 0) & (g.deg[cur] > 0))
+            start, here = g.ids[live], cur[live]
+            slot = g.ptr[here] + np.minimum((draw_np("slot", seed, start, nth, step) * g.deg[here]).astype(np.int64), g.deg[here] - 1)
+            take = draw_np("keep", seed, start, nth, step) >= keep[slot]
+            slot[take] = to[slot[take]]
+            cur = np.full(g.n, -1, np.int64)
+            cur[live] = g.tail[slot]
+            out[:, step] = cur
+        yield out
+
+
+def biased_walks(g: Csr, per_node: int, length: int, p: float, q: float, seed: int = 1, tries: int = 6) -> Iterator[np.ndarray]:
+    """Second-order walks: `tries` uniform proposals are kept with weight 1/p (back), 1 (common neighbour) or 1/q; whoever is left draws from the whole distribution."""
+    key = g.head * g.n + g.tail
     top = max(1 / p, 1.0, 1 / q)
-    out = np.full((per_node * g.n, length), -1, np.int64)
-    cur = np.tile(np.arange(g.n), per_node)
-    prev = np.full(len(cur), -1, np.int64)
-    out[:, 0] = cur
-    for step in range(1, length):
-        todo = np.flatnonzero((cur >= 0) & (g.deg[cur] > 0))
-        nxt = np.full(len(cur), -1, np.int64)
-        for _ in range(200):
-            if not len(todo):
-                break
-            c, b = cur[todo], prev[todo]
-            cand = g.tail[g.ptr[c] + (rng.random(len(c)) * g.deg[c]).astype(np.int64)]
-            k = b * g.n + cand
-            at = np.minimum(np.searchsorted(key, k), max(0, len(key) - 1))
-            near = (key[at] == k) & (b >= 0)
-            weight = np.where(b < 0, top, np.where(cand == b, 1 / p, np.where(near, 1.0, 1 / q)))
-            ok = rng.random(len(c)) * top < weight
-            nxt[todo[ok]] = cand[ok]
-            todo = todo[~ok]
-        prev, cur = cur, nxt
-        out[:, step] = cur
-    return out
-
-
-def context_pairs(paths: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray]:
-    a, b = [], []
-    for d in range(1, min(window, paths.shape[1] - 1) + 1):
-        x, y = paths[:, :-d].ravel(), paths[:, d:].ravel()
-        ok = (x >= 0) & (y >= 0)
-        a += [x[ok], y[ok]]
-        b += [y[ok], x[ok]]
-    return (np.concatenate(a), np.concatenate(b)) if a else (np.zeros(0, np.int64),) * 2
-
-
-def skip_gram(n: int, center: np.ndarray, context: np.ndarray, d: int, init: np.ndarray | None = None, epochs: int = 1, negatives: int = 5, rate: float = 0.025, batch: int = 512, seed: int = 1, tie: bool = False) -> np.ndarray:
-    """Skip-gram with negative sampling from a given start; tie: one table for both sides. Returns the center vectors."""
-    rng = np.random.default_rng(seed)
-    x = (rng.random((n, d)) - 0.5) / d if init is None else np.array(init, float)
-    y = x if tie else np.zeros((n, d))
+
+    def weight(prev: np.ndarray, cand: np.ndarray) -> np.ndarray:
+        k = prev * g.n + cand
+        at = np.minimum(np.searchsorted(key, k), max(0, len(key) - 1))
+        near = (key[at] == k) if len(key) else np.zeros(len(k), bool)
+        return np.where(prev < 0, top, np.where(cand == prev, 1 / p, np.where(near, 1.0, 1 / q)))
+
+    for nth in range(per_node):
+        out = np.full((g.n, length), -1, np.int64)
+        cur, prev = np.arange(g.n), np.full(g.n, -1, np.int64)
+        out[:, 0] = cur
+        for step in range(1, length):
+            todo = np.flatnonzero((cur >= 0) & (g.deg[cur] > 0))
+            nxt = np.full(g.n, -1, np.int64)
+            for t in range(tries):
+                c, start = cur[todo], g.ids[todo]
+                slot = np.minimum((draw_np("slot", seed, start, nth, step, t) * g.deg[c]).astype(np.int64), g.deg[c] - 1)
+                cand = g.tail[g.ptr[c] + slot]
+                ok = draw_np("keep", seed, start, nth, step, t) * top < weight(prev[todo], cand)
+                nxt[todo[ok]] = cand[ok]
+                todo = todo[~ok]
+                if not len(todo):
+                    break
+            if len(todo):
+                at, arc = g.spread(cur[todo])
+                run = np.cumsum(weight(prev[todo][at], g.tail[arc]))
+                last = np.cumsum(g.deg[cur[todo]]) - 1
+                base = np.concatenate([[0.0], run[last[:-1]]])
+                goal = draw_np("rest", seed, g.ids[todo], nth, step) * (run[last] - base)
+                hit = np.minimum(np.searchsorted(run, base + goal, side="right"), last)
+                nxt[todo] = g.tail[arc[hit]]
+            prev, cur = cur, nxt
+            out[:, step] = cur
+        yield out
+
+
+def count_pairs(paths: Iterable[np.ndarray], window: int, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(center, context, times) within `window` places, sorted; never more in memory than one array of walks and the distinct pairs."""
+    keys, times = np.zeros(0, np.int64), np.zeros(0, np.int64)
+    held: list[np.ndarray] = []
+
+    def merged() -> tuple[np.ndarray, np.ndarray]:
+        k, c = np.unique(np.concatenate(held), return_counts=True)
+        every = np.concatenate([keys, k])
+        order = np.argsort(every, kind="stable")
+        every, c = every[order], np.concatenate([times, c])[order]
+        head = np.flatnonzero(np.concatenate([[True], every[1:] != every[:-1]]))
+        return every[head], np.add.reduceat(c, head)
+
+    for path in paths:
+        for d in range(1, min(window, path.shape[1] - 1) + 1):
+            x, y = path[:, :-d].ravel(), path[:, d:].ravel()
+            ok = (x >= 0) & (y >= 0)
+            held += [x[ok] * n + y[ok], y[ok] * n + x[ok]]
+        if sum(map(len, held)) > 4_000_000:
+            keys, times = merged()
+            held = []
+    if sum(map(len, held)):
+        keys, times = merged()
+    return keys // max(n, 1), keys % max(n, 1), times
+
+
+def _added(table: np.ndarray, at: np.ndarray, what: np.ndarray, each: np.ndarray, most: float = 20.0) -> None:
+    """table[at] += what, repeats included; a row that takes over `most` updates at once, each row of what counting for `each`, takes their mean so many times."""
+    order = np.argsort(at, kind="stable")
+    s = at[order]
+    head = np.flatnonzero(np.concatenate([[True], s[1:] != s[:-1]]))
+    count = np.add.reduceat(each[order], head)
+    table[s[head]] += np.add.reduceat(what[order], head) * np.minimum(1.0, most / count).astype(table.dtype)[:, None]
+
+
+def train(x: np.ndarray, y: np.ndarray, center: np.ndarray, context: np.ndarray, times: np.ndarray, negatives: int, rate: tuple[float, float], seed: int) -> None:
+    """Skip-gram with negative sampling, in place, on pairs that each count `times`; y is x where both sides share one table.
+
+    The rate falls from rate[0] to rate[1]. A batch shares one set of
+    negatives, drawn by frequency ** 0.75 and weighted to `negatives` a pair.
+    No pair is copied: each pass sees the pairs that still count, and where
+    all of them count often, takes up to eight times of one at once.
+    """
     if not len(center):
-        return x
-    freq = np.bincount(context, minlength=n) ** 0.75
+        return
+    given = x, y
+    x = x.astype(np.float32)
+    y = x if given[0] is given[1] else y.astype(np.float32)
+    rng = np.random.default_rng(seed)
+    freq = np.bincount(context, times, len(y)) ** 0.75
     cdf = np.cumsum(freq / freq.sum())
-    total, seen = epochs * len(center), 0
-    for _ in range(epochs):
-        order = rng.permutation(len(center))
-        for at in range(0, len(order), batch):
-            i = order[at : at + batch]
-            c, pos = center[i], context[i]
-            neg = np.minimum(np.searchsorted(cdf, rng.random((len(i), negatives))), n - 1)
-            lr = rate * max(0.05, 1 - seen / total)
-            seen += len(i)
-            u = x[c]
-            gp = 1 / (1 + np.exp(-np.clip((u * y[pos]).sum(axis=1), -20, 20))) - 1
-            yn = y[neg]
-            gn = 1 / (1 + np.exp(-np.clip(np.einsum("bd,bkd->bk", u, yn), -20, 20)))
-            gu = gp[:, None] * y[pos] + np.einsum("bk,bkd->bd", gn, yn)
-            np.add.at(y, pos, -lr * gp[:, None] * u)
-            np.add.at(y, neg.ravel(), -lr * (gn[:, :, None] * u[:, None, :]).reshape(-1, d))
-            np.add.at(x, c, -lr * gu)
+    many = np.argsort(-times, kind="stable")
+    total, seen = int(times.sum()), 0
+    by = min(8, max(1, total // (64 * len(times))))
+    batch = max(16, min(512, 4 * len(x)) // by)  # a few updates of a node at a time
+    shared = max(8, batch // 4)
+    sizes = np.searchsorted(-times[many], -np.arange(0, int(times.max()), by), side="left")
+    buffer, load = np.zeros(0, np.int64), np.zeros(0, np.float32)
+    for k, size in enumerate(sizes.tolist()):
+        some = many[rng.permutation(size)]
+        buffer, load = np.concatenate([buffer, some]), np.concatenate([load, np.minimum(times[some] - k * by, by).astype(np.float32)])
+        if len(buffer) < batch and k + 1 < len(sizes):
+            continue
+        end = len(buffer) if k + 1 == len(sizes) else len(buffer) - len(buffer) % batch
+        for lo in range(0, end, batch):
+            i, q = buffer[lo : min(lo + batch, end)], load[lo : min(lo + batch, end)]
+            c, o = center[i], context[i]
+            neg = np.minimum(np.searchsorted(cdf, rng.random(shared)), len(y) - 1)
+            lr = q * np.float32(rate[0] + (rate[1] - rate[0]) * seen / total)
+            here = float(q.sum())
+            seen += here
+            u, v, z = x[c], y[o], y[neg]
+            gp = lr / (1 + np.exp(-np.clip((u * v).sum(axis=1), -20, 20))) - lr
+            gn = np.float32(negatives / shared) * lr[:, None] / (1 + np.exp(-np.clip(u @ z.T, -20, 20)))
+            gu = gp[:, None] * v + gn @ z
+            _added(y, o, -gp[:, None] * u, q)
+            _added(y, neg, -(gn.T @ u), np.full(shared, here * negatives / shared))
+            _added(x, c, -gu, q)
+        buffer, load = buffer[end:], load[end:]
+    given[0][:], given[1][:] = x, y
+
+
+def skip_gram(n: int, center: np.ndarray, context: np.ndarray, times: np.ndarray, d: int, epochs: int = 1, negatives: int = 5, rate: float = 0.025, seed: int = 1) -> np.ndarray:
+    """Vectors of a small graph from a random start."""
+    x, y = (np.random.default_rng(seed).random((n, d)) - 0.5) / d, np.zeros((n, d))
+    for e in range(epochs):
+        train(x, y, center, context, times, negatives, (rate * (1 - e / epochs), max(0.05 * rate, rate * (1 - (e + 1) / epochs))), seed + e)
     return x
 
 
+def propagate(g: Csr, x: np.ndarray, delta: float, max_iter: int, chunk: int = 1 << 22) -> tuple[np.ndarray, list[tuple[float, float]]]:
+    """Vectors and (move, seconds) of each step, until the mean move is at most delta."""
+    trace: list[tuple[float, float]] = []
+    has = np.flatnonzero(g.deg > 0)
+    rows = max(1, chunk // max(1, x.shape[1]))
+    cuts = np.searchsorted(g.ptr[has + 1], np.arange(rows, len(g.tail) + rows, rows)) if len(has) else np.zeros(0, np.int64)
+    cuts = np.unique(np.concatenate([[0], np.minimum(cuts + 1, len(has))]))
+    for _ in range(max_iter):
+        t = time.time()
+        new = x.copy()
+        for lo, hi in zip(cuts[:-1], cuts[1:]):
+            v = has[lo:hi]
+            first, last = g.ptr[v[0]], g.ptr[v[-1] + 1]
+            sums = np.add.reduceat(x[g.tail[first:last]], g.ptr[v] - first, axis=0)
+            new[v] = 0.5 * x[v] + 0.5 * sums / g.deg[v, None]
+        move = float(np.sqrt(((new - x) ** 2).sum(axis=1)).mean()) if len(x) else 0.0
+        x = new
+        trace.append((move, time.time() - t))
+        if move <= delta:
+            break
+    return x, trace
+
+
 def reconstruction(g: Csr, emb: np.ndarray, theta: str = "euclid_distance") -> float:
     """Sum over ordered pairs of (A - theta)^2 without touching all pairs, diagonal included as theta(v, v)."""
     n = g.n
@@ -154,15 +255,15 @@ def diameter(g: Csr) -> int:
     """Longest shortest path in hops inside components: a breadth-first search from every node."""
     best = 0
     for s in range(g.n):
-        dist = np.full(g.n, -1)
-        dist[s], front, d = 0, np.array([s]), 0
-        while len(front):
-            nxt = np.unique(np.concatenate([g.tail[g.ptr[v] : g.ptr[v + 1]] for v in front]))
-            nxt = nxt[dist[nxt] < 0]
-            if len(nxt):
-                d += 1
-                dist[nxt] = d
-            front = nxt
+        seen = np.zeros(g.n, bool)
+        seen[s], front, d = True, np.array([s]), 0
+        while True:
+            nxt = np.unique(g.tail[g.spread(front)[1]])
+            front = nxt[~seen[nxt]]
+            if not len(front):
+                break
+            seen[front] = True
+            d += 1
         best = max(best, d)
     return best
 
@@ -189,3 +290,104 @@ def random_graph(kind: str, n: int, seed: int) -> Csr:
         on = rng.random(len(i)) < p
         src, dst = i[on], j[on]
     return Csr(n, src.astype(np.int64), dst.astype(np.int64), rng.geometric(0.3, len(src)))
+
+
+# ---------------------------------------------------------------- a balanced cut of a bounded graph
+
+
+def _grown(g: Csr, size: np.ndarray, k: int, cap: int, order: np.ndarray) -> np.ndarray:
+    """Parts grown one after the other along the heaviest connection, up to the mean size."""
+    part, load = np.full(g.n, -1, np.int64), np.zeros(k, np.int64)
+    left, open_, nxt = int(size.sum()), k, 0
+    for p in range(k):
+        goal, heap, gain = left / open_, [], {}
+        while load[p] < goal:
+            if heap:
+                w, v = heapq.heappop(heap)
+                if part[v] >= 0 or gain.get(v) != -w:
+                    continue
+            else:
+                while nxt < g.n and part[order[nxt]] >= 0:
+                    nxt += 1
+                if nxt == g.n:
+                    break
+                v = int(order[nxt])
+                if load[p] and load[p] + size[v] > cap:
+                    break
+            if load[p] and load[p] + size[v] > cap:
+                continue
+            part[v] = p
+            load[p] += size[v]
+            s, e = g.ptr[v], g.ptr[v + 1]
+            for u, x in zip(g.tail[s:e].tolist(), g.w[s:e].tolist()):
+                if part[u] < 0:
+                    gain[u] = gain.get(u, 0.0) + x
+                    heapq.heappush(heap, (-gain[u], u))
+        left, open_ = left - int(load[p]), open_ - 1
+    for v in np.flatnonzero(part < 0).tolist():
+        part[v] = int(np.argmin(load))
+        load[part[v]] += size[v]
+    return part
+
+
+def _moved(g: Csr, size: np.ndarray, part: np.ndarray, k: int, cap: int, sweeps: int) -> None:
+    """Moves of border nodes to the best connected part with room, in place."""
+    load = np.bincount(part, size, k).astype(np.int64)
+    for _ in range(sweeps):
+        moved = 0
+        border = np.unique(g.head[part[g.head] != part[g.tail]])
+        for v in border.tolist():
+            s, e = g.ptr[v], g.ptr[v + 1]
+            sums: dict[int, float] = {}
+            for q, x in zip(part[g.tail[s:e]].tolist(), g.w[s:e].tolist()):
+                sums[q] = sums.get(q, 0.0) + x
+            here, room = int(part[v]), cap - size[v]
+            own = sums.pop(here, 0.0)
+            if load[here] > cap:
+                own = -1.0  # an overfull part gives nodes away
+            best, to = own, -1
+            for q, x in sums.items():
+                if load[q] <= room and (x > best or (x == best and to >= 0 and q < to)):
+                    best, to = x, q
+            if to >= 0 and load[here] > size[v]:
+                load[here] -= size[v]
+                load[to] += size[v]
+                part[v] = to
+                moved += 1
+        if not moved:
+            break
+
+
+def cut(g: Csr, size: np.ndarray, k: int, cap: int, seed: int = 1, small: int = 0, sweeps: int = 6) -> np.ndarray:
+    """k parts of a weighted graph: match heavy edges until it is small, grow parts, then undo the matching and move border nodes."""
+    rng = np.random.default_rng(seed)
+    small = small or max(4 * k, 200)
+    levels: list[tuple[Csr, np.ndarray, np.ndarray]] = []
+    while g.n > small:
+        mate = np.full(g.n, -1, np.int64)
+        limit = max(1, cap // 3)
+        for v in rng.permutation(g.n).tolist():
+            if mate[v] >= 0 or size[v] >= limit:
+                continue
+            best, to = 0.0, -1
+            for u, x in zip(g.tail[g.ptr[v] : g.ptr[v + 1]].tolist(), g.w[g.ptr[v] : g.ptr[v + 1]].tolist()):
+                if mate[u] < 0 and x > best and size[u] + size[v] <= limit:
+                    best, to = x, u
+            if to >= 0:
+                mate[v], mate[to] = to, v
+        low = np.where(mate >= 0, np.minimum(mate, np.arange(g.n)), np.arange(g.n))
+        up, parent = np.unique(low, return_inverse=True)
+        if len(up) > 0.95 * g.n:
+            break
+        a, b = parent[g.src], parent[g.dst]
+        on = a != b
+        key, at = np.unique(np.minimum(a, b)[on] * len(up) + np.maximum(a, b)[on], return_inverse=True)
+        levels.append((g, size, parent))
+        g = Csr(len(up), key // len(up), key % len(up), np.bincount(at, g.weight[on], len(key)))
+        size = np.bincount(parent, size, len(up)).astype(np.int64)
+    part = _grown(g, size, k, cap, rng.permutation(g.n))
+    _moved(g, size, part, k, cap, sweeps)
+    for g, size, parent in reversed(levels):
+        part = part[parent]
+        _moved(g, size, part, k, cap, sweeps)
+    return part

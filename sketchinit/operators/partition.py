@@ -5,13 +5,15 @@ from __future__ import annotations
 import math
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window, functions as F
 
 from ..functions.rng import u32
 from ..plans.storage import stash
 from .graph import Graph, arcs
+from .local import Csr, cut
 
-COARSE_EDGES = 400_000  # the coarsest graph, which the driver cuts, has at most so many edges
+COARSE_NODES, COARSE_EDGES = 400_000, 2_000_000  # the coarsest graph, which one task cuts, is no larger
 
 
 def choose_k(n: int, rule: str = "sqrt", k: int | None = None, beta: float = 0.5) -> int:
@@ -38,14 +40,23 @@ def ranged(nodes: DataFrame, k: int, n: int | None = None) -> DataFrame:
     return ranked(nodes).select("node", F.floor(F.col("rank") * k / n).cast("int").alias("part"))
 
 
-def ranked(nodes: DataFrame, parts: int = 16) -> DataFrame:
-    """(node, rank from 0) in id order."""
-    cut = nodes.select("node").repartitionByRange(parts, "node").withColumn("chunk", F.spark_partition_id())
-    cut = stash(cut, "rank")
+CHUNK = 1_000_000  # rows of one range partition that are ranked together
+
+
+def numbered(rows: DataFrame, order: list[str]) -> DataFrame:
+    """rows with their rank from 0 in a total order: ranks inside range partitions, then offsets. The number of partitions follows the number of rows."""
+    rows = stash(rows, "rank")
+    parts = max(1, -(-rows.count() // CHUNK))
+    cut = rows.withColumn("chunk", F.lit(0)) if parts == 1 else stash(rows.repartitionByRange(parts, *order).withColumn("chunk", F.spark_partition_id()), "rank")
     before = Window.orderBy("chunk").rowsBetween(Window.unboundedPreceding, -1)  # one row a chunk
     base = cut.groupBy("chunk").agg(F.count("*").alias("n")).withColumn("base", F.coalesce(F.sum("n").over(before), F.lit(0))).select("chunk", "base")
-    inside = Window.partitionBy("chunk").orderBy("node")
-    return cut.withColumn("rn", F.row_number().over(inside) - 1).join(base, "chunk").select("node", (F.col("rn") + F.col("base")).alias("rank"))
+    inside = Window.partitionBy("chunk").orderBy(*order)
+    return cut.withColumn("rn", F.row_number().over(inside) - 1).join(F.broadcast(base), "chunk").select(*rows.columns, (F.col("rn") + F.col("base")).alias("rank"))
+
+
+def ranked(nodes: DataFrame) -> DataFrame:
+    """(node, rank from 0) in id order."""
+    return numbered(nodes.select("node"), ["node"])
 
 
 def from_table(parts: DataFrame, nodes: DataFrame) -> DataFrame:
@@ -142,60 +153,6 @@ def contract(edges: DataFrame, nodes: DataFrame, parent: DataFrame) -> tuple[Dat
     return e, up, p
 
 
-def seed_parts(src: np.ndarray, dst: np.ndarray, w: np.ndarray, size: np.ndarray, k: int, cap: int, seed: int = 1, sweeps: int = 8) -> np.ndarray:
-    """Parts of a small weighted graph (nodes 0..n-1): greedy growing by connection, then moves by gain within the cap."""
-    n = len(size)
-    start = np.argsort(np.concatenate([src, dst]), kind="stable")
-    heads, tails = np.concatenate([src, dst])[start], np.concatenate([dst, src])[start]
-    ws = np.concatenate([w, w])[start]
-    ptr = np.searchsorted(heads, np.arange(n + 1))
-    part = np.full(n, -1, np.int64)
-    load = np.zeros(k, np.int64)
-    goal = size.sum() / k
-    order = np.random.default_rng(seed).permutation(n)
-    nxt = 0
-    for p in range(k):
-        gain: dict[int, float] = {}
-        while load[p] < goal:
-            if gain:
-                v = max(gain, key=lambda u: (gain[u], -u))
-                del gain[v]
-            else:
-                while nxt < n and part[order[nxt]] >= 0:
-                    nxt += 1
-                if nxt == n:
-                    break
-                v = int(order[nxt])
-            if part[v] >= 0 or (load[p] and load[p] + size[v] > cap):
-                continue
-            part[v] = p
-            load[p] += size[v]
-            for u, x in zip(tails[ptr[v] : ptr[v + 1]].tolist(), ws[ptr[v] : ptr[v + 1]].tolist()):
-                if part[u] < 0:
-                    gain[u] = gain.get(u, 0) + x
-    for v in np.flatnonzero(part < 0).tolist():
-        part[v] = int(np.argmin(load))
-        load[part[v]] += size[v]
-    for _ in range(sweeps):
-        moved = 0
-        for v in order.tolist():
-            near = part[tails[ptr[v] : ptr[v + 1]]]
-            if not len(near) or (near == part[v]).all():
-                continue
-            sums = np.bincount(near, ws[ptr[v] : ptr[v + 1]], k)
-            sums[load + size[v] > cap] = -1
-            own = float(np.bincount(near, ws[ptr[v] : ptr[v + 1]], k)[part[v]])
-            to = int(sums.argmax())
-            if sums[to] > own and load[part[v]] > size[v]:
-                load[part[v]] -= size[v]
-                load[to] += size[v]
-                part[v] = to
-                moved += 1
-        if not moved:
-            break
-    return part
-
-
 def refine(edges: DataFrame, nodes: DataFrame, parts: DataFrame, cap: int, turn: int) -> DataFrame:
     """One round of moves by gain: half of the nodes by hash may move, into seats that are free, best gain first."""
     p = parts.select("node", "part")
@@ -209,17 +166,38 @@ def refine(edges: DataFrame, nodes: DataFrame, parts: DataFrame, cap: int, turn:
     return p.join(fit.select("node", "to"), "node", "left").select("node", F.coalesce("to", "part").cast("int").alias("part"))
 
 
-def multilevel(g: Graph, k: int, eps: float = 0.03, seed: int = 1, coarse_nodes: int = 3000, refine_rounds: int = 2) -> DataFrame:
-    """Coarsen by heavy-edge matching, cut the small graph on the driver, then project back and refine level by level."""
+def _cut_in_task(edges: DataFrame, nodes: DataFrame, k: int, cap: int, seed: int) -> DataFrame:
+    """(node, part) of a graph of checked size: one task, nothing on the driver."""
+
+    def run(v: pa.Table, e: pa.Table) -> pa.Table:
+        v = v.sort_by("node")
+        ids, size = v.column("node").to_numpy(), v.column("size").to_numpy()
+        a, b = (np.searchsorted(ids, e.column(c).to_numpy()) for c in ("src", "dst"))
+        part = cut(Csr(len(ids), a, b, e.column("w").to_numpy(), ids), size.copy(), k, cap, seed)
+        return pa.table({"node": pa.array(ids), "part": pa.array(part.astype(np.int32))})
+
+    one = F.lit(1).alias("one")
+    left, right = nodes.select(one, "node", F.col("size").cast("long").alias("size")), edges.select(one, "src", "dst", F.col("w").cast("double").alias("w"))
+    return left.groupBy("one").cogroup(right.groupBy("one")).applyInArrow(run, "node long, part int")
+
+
+def multilevel(g: Graph, k: int, eps: float = 0.03, seed: int = 1, coarse_nodes: int = COARSE_NODES, coarse_edges: int = COARSE_EDGES, refine_rounds: int = 2) -> DataFrame:
+    """Coarsen by heavy-edge matching until one task can hold the graph, cut it there, then project back and refine level by level.
+
+    A graph that stops shrinking before is cut by refinement alone, which
+    counts sizes and weights too: more rounds from hash parts. Nodes without
+    edges take part in neither; they fill free seats at the end.
+    """
     n = g.nodes.count()
     if k >= n:
         return ranked(g.nodes).select("node", F.col("rank").cast("int").alias("part"))
     cap = capacity(n, k, eps)
-    edges = stash(g.edges.withColumn("w", F.lit(1).cast("long")), "ml")
-    nodes = stash(g.nodes.withColumn("size", F.lit(1).cast("long")), "ml")
+    edges = stash(g.edges.select("src", "dst", (F.col("w") if "w" in g.edges.columns else F.lit(1)).cast("long").alias("w")), "ml")
+    nodes = stash(edges.select(F.explode(F.array("src", "dst")).alias("node")).distinct().withColumn("size", F.lit(1).cast("long")), "ml")
+    alone = g.nodes.select("node").join(nodes, "node", "left_anti")
     levels: list[tuple[DataFrame, DataFrame, DataFrame]] = []
-    count, goal = n, max(coarse_nodes, 4 * k)
-    while count > goal and len(levels) < 30:
+    count, m = nodes.count(), edges.count()
+    while (count > coarse_nodes or m > coarse_edges) and len(levels) < 40:
         parent = match(edges, seed + len(levels))
         small = nodes.where(F.col("size") <= max(1, cap // 3)).select("node")
         parent = parent.join(small, "node", "left_semi")
@@ -227,24 +205,18 @@ def multilevel(g: Graph, k: int, eps: float = 0.03, seed: int = 1, coarse_nodes:
         e, up, p = contract(edges, nodes, stash(parent, "ml"))
         levels.append((edges, nodes, stash(p, "ml")))
         edges, nodes = stash(e, "ml"), stash(up, "ml")
-        now = nodes.count()
-        if now > 0.95 * count:
-            count = now
+        before, count, m = count, nodes.count(), edges.count()
+        if count > 0.95 * before:
             break
-        count = now
-    if edges.count() > COARSE_EDGES:  # a graph that does not shrink: no driver step
-        coarse = label_prop(Graph(nodes.select("node"), edges.select("src", "dst")), k, eps, 4, seed)
+    if count <= coarse_nodes and m <= coarse_edges:
+        parts = stash(_cut_in_task(edges, nodes, k, cap, seed), "parts")
     else:
-        rows = nodes.orderBy("node").collect()
-        at = {r["node"]: i for i, r in enumerate(rows)}
-        es = edges.collect()
-        ids = lambda c: np.array([at[r[c]] for r in es], np.int64)
-        got = seed_parts(ids("src"), ids("dst"), np.array([r["w"] for r in es], float), np.array([r["size"] for r in rows], np.int64), k, cap, seed)
-        coarse = g.nodes.sparkSession.createDataFrame([(r["node"], int(q)) for r, q in zip(rows, got)], "node long, part int")
-    parts = stash(coarse, "parts")
+        parts = stash(hashed(nodes, k, seed), "parts")
+        for turn in range(8):
+            parts = stash(refine(edges, nodes, parts, cap, seed + turn), "parts")
     for e, nd, p in reversed(levels):
         down = p.join(parts.select(F.col("node").alias("parent"), "part"), "parent").select("node", "part")
         for turn in range(refine_rounds):
             down = stash(refine(e, nd, down, cap, seed + turn), "parts")
         parts = down
-    return stash(rebalance(parts, k, cap, seed), "parts")
+    return stash(rebalance(parts.unionByName(hashed(alone, k, seed)), k, cap, seed), "parts")

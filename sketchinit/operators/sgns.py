@@ -1,16 +1,19 @@
-"""Skip-gram with negative sampling from a given start: one task for small graphs, disjoint blocks for large ones."""
+"""Skip-gram with negative sampling from a given start: pairs of disjoint blocks, one block for small graphs."""
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
-import pandas as pd
-from pyspark.sql import DataFrame, functions as F
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, functions as F, types as T
 
 from ..functions.rng import u01
-from ..plans.storage import stash
-from .local import skip_gram
+from ..plans.storage import drop_stash, stash, stash_path
+from .local import train
 
 SMALL_BYTES = 128 << 20  # parameters that one task may hold
+MAX_ROWS, MAX_PAIRS = 8_000_000, 40_000_000  # distinct pairs, and pairs with repeats, of one task
 
 
 def random_vectors(nodes: DataFrame, d: int, seed: int = 1) -> DataFrame:
@@ -28,85 +31,79 @@ def started(nodes: DataFrame, d: int, init: DataFrame | None, seed: int) -> Data
     return base.join(given, "node", "left").select("node", F.coalesce("given", "vec").alias("vec"))
 
 
-def fit(pairs: DataFrame, nodes: DataFrame, d: int, init: DataFrame | None = None, epochs: int = 1, negatives: int = 5, rate: float = 0.025, seed: int = 1, tie: bool = False, mode: str | None = None, max_pairs: int = 20_000_000) -> DataFrame:
-    """(node, vec). pairs(center, context, n). mode: 'small', 'grid' or chosen by the sizes."""
-    start = stash(started(nodes, d, init, seed), "sgns")
-    if mode is None:
-        n, total = start.count(), pairs.agg(F.sum("n")).first()[0] or 0
-        mode = "small" if 2 * n * d * 8 <= SMALL_BYTES and total <= max_pairs else "grid"
-    return _small(pairs, start, d, epochs, negatives, rate, seed, tie) if mode == "small" else _grid(pairs, start, d, epochs, negatives, rate, seed)
-
+def fit(pairs: DataFrame, nodes: DataFrame, d: int, init: DataFrame | None = None, epochs: int = 1, negatives: int = 5, rate: float = 0.025, seed: int = 1, tie: bool = False, blocks: int | None = None) -> DataFrame:
+    """(node, vec). pairs(center, context, n); tie: one table for both sides.
 
-def _small(pairs: DataFrame, start: DataFrame, d: int, epochs: int, negatives: int, rate: float, seed: int, tie: bool) -> DataFrame:
-    """One task; its input was checked to be bounded."""
-    rows = start.select(F.lit(1).alias("one"), "node", "vec")
-    side = pairs.select(F.lit(1).alias("one"), "center", "context", F.col("n").cast("long").alias("n"))
+    Nodes lie in hash blocks. A round of a tournament pairs every block with
+    one other; a pair of blocks holds all parameters that its pairs touch, so
+    a round's tasks run at once and only blocks move between rounds. The
+    number of blocks follows from the parameters and the pairs, so that a
+    task's share of both is bounded; a small input is one block, one round.
+    Negatives come from the task's blocks.
+    """
+    start = stash(started(nodes, d, init, seed), "sgns")
+    rows = pairs.select(F.col("center").cast("long").alias("center"), F.col("context").cast("long").alias("context"), F.col("n").cast("long").alias("n"))
+    if blocks is None:
+        rows = stash(rows, "pairs")
+        r = rows.agg(F.count("*"), F.sum("n")).first()
+        blocks = block_count(start.count(), d, r[0], r[1] or 0)
+    if blocks > 1:
+        blocks += blocks % 2
+    of = lambda c: F.pmod(F.xxhash64(F.lit(seed), c), F.lit(blocks)).cast("int")
+    odd, half = blocks - 1, blocks // 2
+    i, j = of(F.col("center")), of(F.col("context"))
+    # blocks i and j meet in round (i + j) / 2 modulo the odd number; the last block meets block r in round r
+    meet = F.when(i == j, F.when(i == odd, 0).otherwise(i)).when(i == odd, j).when(j == odd, i).otherwise((i + j) * half % max(odd, 1))
+    params = stash(start.select("node", F.col("vec").alias("x"), F.array_repeat(F.lit(0.0), d).alias("y")), "grid")
+    if blocks == 1:
+        dealt = rows.withColumn("round", F.lit(0))
+    else:
+        path = stash_path(pairs.sparkSession, "pairs")
+        rows.withColumn("round", meet.cast("int")).repartition("round", i, j).write.option("compression", "zstd").partitionBy("round").parquet(path)
+        dealt = pairs.sparkSession.read.schema(T.StructType([*rows.schema, T.StructField("round", T.IntegerType())])).parquet(path)
+    steps = max(1, odd) * epochs
+    for at in range(steps):
+        r = at % max(1, odd)
+
+        def team(c: Column) -> Column:
+            """The smaller block of the pair that block c is in."""
+            other = F.when(c == odd, r).when(c == r, odd).otherwise(F.pmod(2 * r - c, F.lit(max(1, odd))))
+            return F.least(c, other) if blocks > 1 else F.lit(0)
+
+        rates = rate * (1 - at / steps), max(0.05 * rate, rate * (1 - (at + 1) / steps))
+        mine = params.select(team(of(F.col("node"))).alias("team"), "node", "x", "y")
+        here = dealt.where(F.col("round") == r).select(team(i).alias("team"), "center", "context", "n")
+        after = stash(mine.groupBy("team").cogroup(here.groupBy("team")).applyInArrow(_trainer(d, negatives, rates, seed + at, tie), "node long, x array<double>, y array<double>"), "grid")
+        drop_stash(params)
+        params = after
+    return params.select("node", F.col("x").alias("vec"))
 
-    def run(p: pd.DataFrame, e: pd.DataFrame) -> pd.DataFrame:
-        p = p.sort_values("node")
-        ids = p["node"].to_numpy()
-        e = e.sort_values(["center", "context"])
-        c, o = np.searchsorted(ids, e["center"].to_numpy()), np.searchsorted(ids, e["context"].to_numpy())
-        n = e["n"].to_numpy()
-        x = skip_gram(len(ids), np.repeat(c, n), np.repeat(o, n), d, np.stack(p["vec"].to_numpy()) if len(p) else None, epochs, negatives, rate, seed=seed, tie=tie)
-        return pd.DataFrame({"node": ids, "vec": list(x)})
 
-    return rows.groupBy("one").cogroup(side.groupBy("one")).applyInPandas(run, "node long, vec array<double>")
+def block_count(n: int, d: int, rows: int, total: int) -> int:
+    """Blocks such that two of them hold at most SMALL_BYTES of parameters and their pairs are bounded in rows and in number."""
+    if 2 * n * d * 8 <= SMALL_BYTES and rows <= MAX_ROWS and total <= MAX_PAIRS:
+        return 1
+    most = max(rows / MAX_ROWS, total / MAX_PAIRS)
+    return max(2, -(-4 * n * d * 8 // SMALL_BYTES), math.ceil(2 * math.sqrt(most)))
 
 
-def _grid(pairs: DataFrame, start: DataFrame, d: int, epochs: int, negatives: int, rate: float, seed: int, block_bytes: int = SMALL_BYTES) -> DataFrame:
-    """Nodes in B hash blocks. In round s of an epoch the block pairs (i, i + s) share no parameter, so they train at once.
+def _trainer(d: int, negatives: int, rates: tuple[float, float], seed: int, tie: bool):  # noqa: ANN202
+    def table(c: pa.ChunkedArray) -> np.ndarray:
+        flat = c.combine_chunks()
+        return flat.flatten().to_numpy(zero_copy_only=False).reshape(-1, d).copy()
 
-    Only parameter blocks move between rounds. Negatives come from the
-    context's block.
-    """
-    n = start.count()
-    blocks = max(2, -(-2 * n * d * 8 // block_bytes))
-    of = lambda c: F.pmod(F.xxhash64(F.lit(seed), c), F.lit(blocks)).cast("int")
-    dealt = stash(pairs.select("center", "context", F.col("n").cast("long").alias("n"), of(F.col("center")).alias("i"), of(F.col("context")).alias("j")), "grid")
-    params = stash(start.select("node", of(F.col("node")).alias("b"), F.col("vec").alias("x"), F.array_repeat(F.lit(0.0), d).alias("y")), "grid")
-    for epoch in range(epochs):
-        for s in range(blocks):
-            centers = params.select(F.col("b").alias("i"), F.lit(0).alias("side"), "node", F.col("x").alias("v"))
-            contexts = params.select(F.pmod(F.col("b") - s, F.lit(blocks)).cast("int").alias("i"), F.lit(1).alias("side"), "node", F.col("y").alias("v"))
-            here = dealt.where(F.col("j") == F.pmod(F.col("i") + s, F.lit(blocks))).select("i", "center", "context", "n")
-
-            at, lr = epoch * 1000 + s, rate * max(0.1, 1 - epoch / max(1, epochs))
-
-            def run(p: pd.DataFrame, e: pd.DataFrame) -> pd.DataFrame:
-                p = p.sort_values(["side", "node"])
-                sides = [p[p["side"] == k] for k in (0, 1)]
-                ids = [q["node"].to_numpy() for q in sides]
-                x, y = (np.stack(q["v"].to_numpy()) if len(q) else np.zeros((0, d)) for q in sides)
-                if len(e):
-                    e = e.sort_values(["center", "context"])
-                    k = e["n"].to_numpy()
-                    train(x, y, np.repeat(np.searchsorted(ids[0], e["center"].to_numpy()), k), np.repeat(np.searchsorted(ids[1], e["context"].to_numpy()), k), negatives, lr, seed + at)
-                return pd.DataFrame({"side": np.repeat([0, 1], [len(x), len(y)]).astype(np.int32), "node": np.concatenate(ids), "v": [*x, *y]})
-
-            out = stash(centers.unionAll(contexts).groupBy("i").cogroup(here.groupBy("i")).applyInPandas(run, "side int, node long, v array<double>"), "grid")
-            params = out.where("side = 0").select("node", F.col("v").alias("x")).join(out.where("side = 1").select("node", F.col("v").alias("y")), "node").select("node", of(F.col("node")).alias("b"), "x", "y")
-            params = stash(params, "grid")
-    return params.select("node", F.col("x").alias("vec"))
+    def lists(x: np.ndarray) -> pa.Array:
+        return pa.ListArray.from_arrays(pa.array(np.arange(0, x.size + 1, d), pa.int32()), pa.array(x.ravel()))
 
+    def run(p: pa.Table, e: pa.Table) -> pa.Table:
+        p, e = p.sort_by("node"), e.sort_by([("center", "ascending"), ("context", "ascending")])
+        ids, x = p.column("node").to_numpy(), table(p.column("x"))
+        y = x if tie else table(p.column("y"))
+        c, o = (np.searchsorted(ids, e.column(k).to_numpy()) for k in ("center", "context"))
+        train(x, y, c, o, e.column("n").to_numpy(), negatives, rates, seed)
+        return pa.table({"node": pa.array(ids), "x": lists(x), "y": p.column("y") if tie else lists(y)})
 
-def train(x: np.ndarray, y: np.ndarray, center: np.ndarray, context: np.ndarray, negatives: int, rate: float, seed: int, batch: int = 512) -> None:
-    """Plain mini-batches on one block pair, in place."""
-    rng = np.random.default_rng(seed)
-    freq = np.bincount(context, minlength=len(y)) ** 0.75
-    cdf = np.cumsum(freq / freq.sum())
-    order = rng.permutation(len(center))
-    for at in range(0, len(order), batch):
-        i = order[at : at + batch]
-        c, pos = center[i], context[i]
-        neg = np.minimum(np.searchsorted(cdf, rng.random((len(i), negatives))), len(y) - 1)
-        to = np.concatenate([pos[:, None], neg], axis=1)
-        v = y[to]
-        g = 1 / (1 + np.exp(-np.clip(np.einsum("bd,bkd->bk", x[c], v), -20, 20)))
-        g[:, 0] -= 1
-        gx = np.einsum("bk,bkd->bd", g, v)
-        np.add.at(y, to.ravel(), -rate * (g[:, :, None] * x[c][:, None, :]).reshape(-1, x.shape[1]))
-        np.add.at(x, c, -rate * gx)
+    return run
 
 
 def fit_mllib(walks: DataFrame, d: int, window: int = 5, epochs: int = 1, seed: int = 1) -> DataFrame:

@@ -3,63 +3,64 @@
 from __future__ import annotations
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from ..functions.rng import u01
+from ..plans.storage import stash
 from . import sgns, walks
-from .graph import Graph, arcs
-from .local import Csr, biased_walks, context_pairs, skip_gram
+from .graph import Graph, arcs, degrees
+from .local import Csr, biased_walks, count_pairs
 from .local import walks as local_walks
 
-LOCAL_EDGES = 500_000  # a graph of up to so many edges may be embedded in one task
+LOCAL_EDGES, LOCAL_STEPS = 500_000, 40_000_000  # up to so many edges and walk steps one task walks; the walks are the same either way
+
+
+def walk_pairs(g: Graph, r: int, length: int, window: int, seed: int = 1, biased: tuple[float, float] | None = None, local: bool | None = None) -> DataFrame:
+    """(center, context, n) of r walks from each node; steps have equal (or edge-weight) odds, or those of second order for biased = (p, q).
+
+    A small graph is walked in one task, a large one by joins, from the same draws.
+    """
+    if local is None:
+        local = g.edges.count() <= LOCAL_EDGES and g.nodes.count() * r * length <= LOCAL_STEPS
+    if local:
+        return _local_pairs(g, r, length, window, seed, biased)
+    if biased:
+        w = walks.biased(g.edges, g.nodes, r, length, *biased, seed)
+    elif "w" in g.edges.columns:
+        t = stash(walks.transitions(g.edges), "trans")
+        if (degrees(g.edges).agg(F.max("degree")).first()[0] or 0) > walks.BLOCK:  # hubs: no task holds a whole neighbourhood
+            w = walks.weighted_blocked(*(stash(x, "alias") for x in walks.alias_blocks(t)), g.nodes, r, length, seed)
+        else:
+            w = walks.weighted(stash(walks.alias_tables(t), "alias"), g.nodes, r, length, seed, "bulk")
+    else:
+        w = walks.uniform(g.edges, g.nodes, r, length, seed, "bulk")
+    return walks.context_pairs(w, window)
 
 
-def _local(g: Graph, d: int, init: DataFrame | None, seed: int, work) -> DataFrame:  # noqa: ANN001
-    """One task for a whole graph of checked size: work(csr, start) -> vectors."""
-    start = sgns.started(g.nodes, d, init, seed).select(F.lit(1).alias("one"), "node", "vec")
+def _local_pairs(g: Graph, r: int, length: int, window: int, seed: int, biased: tuple[float, float] | None) -> DataFrame:
+    one = F.lit(1).alias("one")
     w = F.col("w") if "w" in g.edges.columns else F.lit(1)
-    e = g.edges.select(F.lit(1).alias("one"), "src", "dst", w.cast("double").alias("w"))
-
-    def run(p: pd.DataFrame, q: pd.DataFrame) -> pd.DataFrame:
-        p = p.sort_values("node")
-        ids = p["node"].to_numpy()
-        q = q.sort_values(["src", "dst"])
-        csr = Csr(len(ids), np.searchsorted(ids, q["src"].to_numpy()), np.searchsorted(ids, q["dst"].to_numpy()), q["w"].to_numpy())
-        return pd.DataFrame({"node": ids, "vec": list(work(csr, np.stack(p["vec"].to_numpy())))})
-
-    return start.groupBy("one").cogroup(e.groupBy("one")).applyInPandas(run, "node long, vec array<double>")
 
+    def run(p: pa.Table, e: pa.Table) -> pa.Table:
+        ids = np.sort(p.column("node").to_numpy())
+        csr = Csr(len(ids), *(np.searchsorted(ids, e.column(c).to_numpy()) for c in ("src", "dst")), e.column("w").to_numpy(), ids)
+        paths = local_walks(csr, r, length, seed) if biased is None else biased_walks(csr, r, length, *biased, seed)
+        c, o, n = count_pairs(paths, window, len(ids))
+        return pa.table({"center": pa.array(ids[c]), "context": pa.array(ids[o]), "n": pa.array(n)})
 
-def _small(g: Graph, local: bool | None) -> bool:
-    return g.edges.count() <= LOCAL_EDGES if local is None else local
+    left, right = g.nodes.select(one, F.col("node").cast("long").alias("node")), g.edges.select(one, F.col("src").cast("long").alias("src"), F.col("dst").cast("long").alias("dst"), w.cast("double").alias("w"))
+    return left.groupBy("one").cogroup(right.groupBy("one")).applyInArrow(run, "center long, context long, n long")
 
 
 def uniform_walk(g: Graph, d: int = 128, r: int = 80, length: int = 40, window: int = 10, epochs: int = 1, rate: float = 0.025, init: DataFrame | None = None, seed: int = 1, local: bool | None = None) -> DataFrame:
     """(node, vec): walks with equal (or edge-weight) odds, then skip-gram from init."""
-    if _small(g, local):
-        def work(csr: Csr, x: np.ndarray) -> np.ndarray:
-            c, o = context_pairs(local_walks(csr, r, length, np.random.default_rng(seed)), window)
-            return skip_gram(csr.n, c, o, d, x, epochs, rate=rate, seed=seed)
-
-        return _local(g, d, init, seed, work)
-    if "w" in g.edges.columns:
-        w = walks.weighted(walks.alias_tables(walks.transitions(g.edges)), g.nodes, r, length, seed)
-    else:
-        w = walks.uniform(g.edges, g.nodes, r, length, seed)
-    return sgns.fit(walks.context_pairs(w, window), g.nodes, d, init, epochs, rate=rate, seed=seed)
+    return sgns.fit(walk_pairs(g, r, length, window, seed, None, local), g.nodes, d, init, epochs, rate=rate, seed=seed)
 
 
 def biased_walk(g: Graph, d: int = 128, p: float = 1.0, q: float = 1.0, r: int = 10, length: int = 80, window: int = 10, epochs: int = 1, rate: float = 0.025, init: DataFrame | None = None, seed: int = 1, local: bool | None = None) -> DataFrame:
     """(node, vec): second-order walks, then skip-gram from init."""
-    if _small(g, local):
-        def work(csr: Csr, x: np.ndarray) -> np.ndarray:
-            c, o = context_pairs(biased_walks(csr, r, length, p, q, np.random.default_rng(seed)), window)
-            return skip_gram(csr.n, c, o, d, x, epochs, rate=rate, seed=seed)
-
-        return _local(g, d, init, seed, work)
-    w = walks.biased(g.edges, g.nodes, r, length, p, q, seed)
-    return sgns.fit(walks.context_pairs(w, window), g.nodes, d, init, epochs, rate=rate, seed=seed)
+    return sgns.fit(walk_pairs(g, r, length, window, seed, (p, q), local), g.nodes, d, init, epochs, rate=rate, seed=seed)
 
 
 def edge_samples(edges: DataFrame, rounds: int, share: float = 1.0, seed: int = 1) -> DataFrame:
@@ -70,22 +71,13 @@ def edge_samples(edges: DataFrame, rounds: int, share: float = 1.0, seed: int =
     return a.select(F.col("src").alias("center"), F.col("dst").alias("context"), times.cast("long").alias("n")).where("n > 0")
 
 
-def edge_prox(g: Graph, d: int = 128, order: int | str = 1, rounds: int = 20, negatives: int = 5, rate: float = 0.025, init: DataFrame | None = None, seed: int = 1, local: bool | None = None) -> DataFrame:
+def edge_prox(g: Graph, d: int = 128, order: int | str = 1, rounds: int = 20, negatives: int = 5, rate: float = 0.025, init: DataFrame | None = None, seed: int = 1) -> DataFrame:
     """(node, vec). order 1: both ends share one table; 2: separate context vectors; 'both': halves side by side."""
     if order == "both":
         cut = (lambda lo: None) if init is None else (lambda lo: init.select("node", F.slice("vec", lo, d // 2).alias("vec")))
-        one = edge_prox(g, d // 2, 1, rounds, negatives, rate, cut(1), seed, local)
-        two = edge_prox(g, d - d // 2, 2, rounds, negatives, rate, cut(d // 2 + 1) if d % 2 == 0 else None, seed + 1, local)
+        one = edge_prox(g, d // 2, 1, rounds, negatives, rate, cut(1), seed)
+        two = edge_prox(g, d - d // 2, 2, rounds, negatives, rate, cut(d // 2 + 1) if d % 2 == 0 else None, seed + 1)
         return one.join(two.withColumnRenamed("vec", "two"), "node").select("node", F.concat("vec", "two").alias("vec"))
-    if _small(g, local):
-        def work(csr: Csr, x: np.ndarray) -> np.ndarray:
-            rng = np.random.default_rng(seed)
-            at = rng.choice(len(csr.src), rounds * len(csr.src), p=csr.weight / csr.weight.sum()) if len(csr.src) else np.zeros(0, np.int64)
-            flip = rng.random(len(at)) < 0.5
-            c, o = np.where(flip, csr.dst[at], csr.src[at]), np.where(flip, csr.src[at], csr.dst[at])
-            return skip_gram(csr.n, c, o, d, x, 1, negatives, rate, seed=seed, tie=order == 1)
-
-        return _local(g, d, init, seed, work)
     return sgns.fit(edge_samples(g.edges, rounds, 1.0, seed), g.nodes, d, init, 1, negatives, rate, seed, tie=order == 1)
 
 

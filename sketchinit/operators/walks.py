@@ -2,18 +2,18 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, Window, functions as F
+from pyspark.sql import Column, DataFrame, Window, functions as F
 
-from ..functions.rng import u01
-from ..plans.storage import stash
+from ..functions.rng import draw, u01
+from ..plans.storage import drop_stash, stash
 from .graph import arcs
 from .local import alias_table
+from .partition import numbered
 
 BLOCK = 65_536  # elements of one node's alias block
+DRAWS = {"portable": u01, "bulk": draw}  # md5 draws have a SQL form; bulk draws are cheaper and equal those of numpy
 
 
 def transitions(edges: DataFrame) -> DataFrame:
@@ -62,30 +62,62 @@ def starts(nodes: DataFrame, per_node: int) -> DataFrame:
     return nodes.select(F.explode(F.sequence(F.lit(0), F.lit(per_node - 1))).alias("nth"), F.col("node").alias("start")).withColumn("path", F.array("start")).withColumn("cur", F.col("start"))
 
 
-def _draws(seed: int, step: int) -> tuple:
-    return u01("slot", seed, F.col("start"), F.col("nth"), F.lit(step)), u01("keep", seed, F.col("start"), F.col("nth"), F.lit(step))
+def _draws(seed: int, step: int, draws: str = "portable") -> tuple:
+    u = DRAWS[draws]
+    return u("slot", seed, F.col("start"), F.col("nth"), F.lit(step)), u("keep", seed, F.col("start"), F.col("nth"), F.lit(step))
+
+
+def _extended(nxt: Column) -> list[Column]:
+    """The walk's columns after a step to nxt; null ends it."""
+    return ["nth", "start", F.when(nxt.isNull(), F.col("path")).otherwise(F.concat("path", F.array(nxt))).alias("path"), nxt.alias("cur")]
 
 
-def weighted(alias: DataFrame, nodes: DataFrame, per_node: int, length: int, seed: int = 1) -> DataFrame:
+def weighted(alias: DataFrame, nodes: DataFrame, per_node: int, length: int, seed: int = 1, draws: str = "portable") -> DataFrame:
     """(start, nth, path): each step is an equi-join of the walks on (node, slot); a walk without neighbours stops."""
     deg = stash(alias.where("slot = 0").select(F.col("src").alias("cur"), "deg"), "deg")
     state = starts(nodes, per_node)
+    old: DataFrame | None = None
     for step in range(1, length):
-        u, v = _draws(seed, step)
+        u, v = _draws(seed, step, draws)
         slotted = state.join(deg, "cur", "left").withColumn("slot", F.least(F.floor(u * F.col("deg")), F.col("deg") - 1).cast("int"))
         drawn = slotted.join(alias.select(F.col("src").alias("cur"), "slot", "own", "alias", "p_keep"), ["cur", "slot"], "left")
-        nxt = F.when(v < F.col("p_keep"), F.col("own")).otherwise(F.col("alias"))
-        state = drawn.select("nth", "start", F.when(nxt.isNull(), F.col("path")).otherwise(F.concat("path", F.array(nxt))).alias("path"), nxt.alias("cur"))
+        state = drawn.select(*_extended(F.when(v < F.col("p_keep"), F.col("own")).otherwise(F.col("alias"))))
         if step % 4 == 0:
             state = stash(state, "walk")
+            if old is not None:
+                drop_stash(old)
+            old = state
     return state.select("start", "nth", "path")
 
 
-def uniform(edges: DataFrame, nodes: DataFrame, per_node: int, length: int, seed: int = 1) -> DataFrame:
+def weighted_blocked(outer: DataFrame, inner: DataFrame, nodes: DataFrame, per_node: int, length: int, seed: int = 1, draws: str = "bulk") -> DataFrame:
+    """Walks by two draws a step: a block of the node's elements, then an element of the block (tables of alias_blocks())."""
+    u = DRAWS[draws]
+    top = stash(outer.where("slot = 0").select(F.col("src").alias("cur"), F.col("deg").alias("blocks")), "deg")
+    low = stash(inner.where("slot = 0").select(F.col("src").alias("cur"), "block", "deg"), "deg")
+    state = starts(nodes, per_node)
+    for step in range(1, length):
+        a, b, c, e = (u(p, seed, F.col("start"), F.col("nth"), F.lit(step)) for p in ("block", "block_keep", "slot", "keep"))
+        s = state.join(top, "cur", "left").withColumn("slot", F.least(F.floor(a * F.col("blocks")), F.col("blocks") - 1).cast("int"))
+        s = s.join(outer.select(F.col("src").alias("cur"), "slot", "own", "alias", "p_keep"), ["cur", "slot"], "left")
+        s = s.select("nth", "start", "path", "cur", F.when(b < F.col("p_keep"), F.col("own")).otherwise(F.col("alias")).alias("block"))
+        s = s.join(low, ["cur", "block"], "left").withColumn("slot", F.least(F.floor(c * F.col("deg")), F.col("deg") - 1).cast("int"))
+        s = s.join(inner.select(F.col("src").alias("cur"), "block", "slot", "own", "alias", "p_keep"), ["cur", "block", "slot"], "left")
+        state = stash(s.select(*_extended(F.when(e < F.col("p_keep"), F.col("own")).otherwise(F.col("alias")))), "walk")
+    return state.select("start", "nth", "path")
+
+
+def slots(edges: DataFrame) -> DataFrame:
+    """(src, slot, dst, deg): neighbours numbered in id order. Arcs are ranked over range partitions, so a hub's are spread over tasks."""
+    r = stash(numbered(arcs(edges.select("src", "dst")), ["src", "dst"]), "slots")
+    own = r.groupBy("src").agg(F.min("rank").alias("first"), F.count("*").cast("int").alias("deg"))
+    return r.join(own, "src").select("src", (F.col("rank") - F.col("first")).cast("int").alias("slot"), "dst", "deg")
+
+
+def uniform(edges: DataFrame, nodes: DataFrame, per_node: int, length: int, seed: int = 1, draws: str = "portable") -> DataFrame:
     """Walks on an unweighted graph: slots number the sorted neighbours, no alias needed."""
-    slots = arcs(edges.select("src", "dst")).withColumn("slot", F.row_number().over(Window.partitionBy("src").orderBy("dst")) - 1)
-    table = slots.join(slots.groupBy("src").agg(F.count("*").cast("int").alias("deg")), "src").select("src", "slot", F.col("dst").alias("own"), F.col("dst").alias("alias"), F.lit(1.0).alias("p_keep"), "deg")
-    return weighted(stash(table, "slots"), nodes, per_node, length, seed)
+    table = slots(edges).select("src", "slot", F.col("dst").alias("own"), F.col("dst").alias("alias"), F.lit(1.0).alias("p_keep"), "deg")
+    return weighted(stash(table, "slots"), nodes, per_node, length, seed, draws)
 
 
 def by_cdf(trans: DataFrame, nodes: DataFrame, per_node: int, length: int, seed: int = 1) -> DataFrame:
@@ -102,28 +134,58 @@ def by_cdf(trans: DataFrame, nodes: DataFrame, per_node: int, length: int, seed:
     return state.select("start", "nth", "path")
 
 
-def biased(edges: DataFrame, nodes: DataFrame, per_node: int, length: int, p: float = 1.0, q: float = 1.0, seed: int = 1, tries: int = 12) -> DataFrame:
-    """Second-order walks by rejection: a uniform proposal, an edge flag prev - candidate by a left join, then accept.
+def _second_order(prev: Column, cand: Column, near: Column, p: float, q: float) -> Column:
+    top = max(1 / p, 1.0, 1 / q)
+    return F.when(prev.isNull(), top).when(cand == prev, 1 / p).when(near, 1.0).otherwise(1 / q)
+
+
+def second_order_step(edges: DataFrame, state: DataFrame, u: Column, p: float, q: float) -> DataFrame:
+    """state(cur, prev, ...) with the next node `cand`, drawn by u from the whole second-order distribution: the running sum of the neighbours' case weights."""
+    key = [c for c in state.columns]
+    a = arcs(edges.select("src", "dst"))
+    cand = state.withColumn("u", u).join(a.select(F.col("src").alias("cur"), F.col("dst").alias("cand")), "cur")
+    cand = cand.join(a.select(F.col("src").alias("prev"), F.col("dst").alias("cand"), F.lit(True).alias("near")), ["prev", "cand"], "left")
+    cand = cand.withColumn("weight", _second_order(F.col("prev"), F.col("cand"), F.col("near"), p, q))
+    own = Window.partitionBy(*key)
+    run = cand.withColumn("hi", F.sum("weight").over(own.orderBy("cand").rowsBetween(Window.unboundedPreceding, Window.currentRow))).withColumn("all", F.sum("weight").over(own))
+    return run.where(F.col("hi") > F.col("u") * F.col("all")).groupBy(*key).agg(F.min("cand").alias("cand"))
 
-    Each step offers `tries` independent proposals and takes the first that is
-    accepted (the last one where none is), so a step is one pass.
+
+def biased(edges: DataFrame, nodes: DataFrame, per_node: int, length: int, p: float = 1.0, q: float = 1.0, seed: int = 1, tries: int = 6) -> DataFrame:
+    """Second-order walks: uniform proposals are accepted by the case weight (an edge flag prev - candidate comes by a left join); whoever is refused `tries` times draws from the whole distribution.
+
+    Two proposals are offered at once, the others to those refused only. The
+    distribution is exact whatever p and q are.
     """
-    slots = arcs(edges.select("src", "dst")).withColumn("slot", F.row_number().over(Window.partitionBy("src").orderBy("dst")) - 1)
-    slots = stash(slots, "slots")
-    deg = slots.groupBy(F.col("src").alias("cur")).agg(F.count("*").alias("deg"))
-    flag = slots.select(F.col("src").alias("prev"), F.col("dst").alias("cand"), F.lit(True).alias("near"))
+    table = stash(slots(edges), "slots")
+    deg = table.where("slot = 0").select(F.col("src").alias("cur"), "deg")
+    flag = table.select(F.col("src").alias("prev"), F.col("dst").alias("cand"), F.lit(True).alias("near"))
     top = max(1 / p, 1.0, 1 / q)
     state = starts(nodes, per_node).withColumn("prev", F.lit(None).cast("long"))
+    old: DataFrame | None = None
     for step in range(1, length):
-        offer = state.join(deg, "cur").withColumn("try", F.explode(F.sequence(F.lit(0), F.lit(tries - 1))))
-        key = F.concat_ws(":", F.lit(step).cast("string"), F.col("try").cast("string"))
-        offer = offer.withColumn("slot", F.floor(u01("slot", seed, F.col("start"), F.col("nth"), key) * F.col("deg")).cast("int"))
-        cand = offer.join(slots.select(F.col("src").alias("cur"), "slot", F.col("dst").alias("cand")), ["cur", "slot"]).join(flag, ["prev", "cand"], "left")
-        weight = F.when(F.col("prev").isNull(), top).when(F.col("cand") == F.col("prev"), 1 / p).when(F.col("near"), 1.0).otherwise(1 / q)
-        ok = u01("keep", seed, F.col("start"), F.col("nth"), key) * top < weight
-        rank = F.struct(F.when(ok, 0).otherwise(1), F.when(ok, F.col("try")).otherwise(-F.col("try")))
-        pick = cand.groupBy("start", "nth").agg(F.min_by("cand", rank).alias("cand"))
-        state = stash(state.join(pick, ["start", "nth"], "left").select("nth", "start", F.when(F.col("cand").isNull(), F.col("path")).otherwise(F.concat("path", F.array("cand"))).alias("path"), F.col("cand").alias("cur"), F.col("cur").alias("prev")), "walk")
+        def offered(some: DataFrame, first: int, end: int) -> DataFrame:
+            offer = some.join(deg, "cur").withColumn("try", F.explode(F.array(*[F.lit(t) for t in range(first, end)])))
+            key = [F.col("start"), F.col("nth"), F.lit(step), F.col("try")]
+            offer = offer.withColumn("slot", F.least(F.floor(draw("slot", seed, *key) * F.col("deg")), F.col("deg") - 1).cast("int"))
+            cand = offer.join(table.select(F.col("src").alias("cur"), "slot", F.col("dst").alias("cand")), ["cur", "slot"]).join(flag, ["prev", "cand"], "left")
+            ok = cand.where(draw("keep", seed, *key) * top < _second_order(F.col("prev"), F.col("cand"), F.col("near"), p, q))
+            return ok.groupBy("start", "nth").agg(F.min_by("cand", "try").alias("cand"))
+
+        early = min(2, tries)
+        found = stash(offered(state, 0, early), "try")
+        live = state.join(deg.select("cur"), "cur", "left_semi")
+        left = live.join(found, ["start", "nth"], "left_anti")
+        if tries > early:
+            found = stash(found.unionByName(offered(left, early, tries)), "try")
+            left = live.join(found, ["start", "nth"], "left_anti")
+        rest = second_order_step(edges, left.select("start", "nth", "cur", "prev"), draw("rest", seed, F.col("start"), F.col("nth"), F.lit(step)), p, q)
+        found = found.unionByName(rest.select("start", "nth", "cand"))
+        cur = F.col("cur").alias("prev")
+        state = stash(state.join(found, ["start", "nth"], "left").select(*_extended(F.col("cand")), cur), "walk")
+        if old is not None:
+            drop_stash(old)
+        old = state
     return state.select("start", "nth", "path")
 
 
@@ -139,6 +201,3 @@ def context_pairs(walks: DataFrame, window: int) -> DataFrame:
 
 def walk_rows(walks: DataFrame) -> DataFrame:
     return walks.select("start", "nth", F.array_join(F.col("path").cast("array<string>"), ",").alias("path"))
-
-
-Batches = Iterator[pd.DataFrame]

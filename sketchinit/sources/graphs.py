@@ -7,6 +7,8 @@ is needed.
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
 from ..functions.rng import key_id, key_id_sql, u01, u01_sql
@@ -48,7 +50,8 @@ def copurchase(spark: SparkSession, sf_dir: str) -> DataFrame:
 def coactive(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Users with events in one clock hour."""
     e = table(spark, sf_dir, "events").select("user_id", F.date_trunc("hour", F.col("ts").cast("timestamp")).alias("h")).distinct()
-    return simple(e.join(e.withColumnRenamed("user_id", "u"), "h").where("user_id < u"), F.col("user_id"), F.col("u"))
+    p = pairs_within(e, "h", "user_id")
+    return simple(p, F.col("a"), F.col("b"))
 
 
 def geo(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -59,36 +62,53 @@ def geo(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simple(pairs, F.col("a"), F.col("b"))
 
 
-def _prefix(chars: int | None) -> Column:
-    return F.col("text") if chars is None else F.substring("text", 1, chars)
+MIN_COUNT = 5  # times that two words must stand side by side
 
 
-def word_pairs(spark: SparkSession, sf_dir: str, chars: int | None = 400) -> DataFrame:
-    """(a, b, lang): adjacent letter-only words among the first `chars` characters (400 in the SQL's definition; None: whole texts)."""
-    d = table(spark, sf_dir, "documents").select("lang", F.split(F.lower(_prefix(chars)), " ").alias("w"))
-    p = d.select("lang", F.explode(F.zip_with(F.slice("w", 1, F.greatest(F.size("w") - 1, F.lit(0))), F.slice("w", 2, F.greatest(F.size("w") - 1, F.lit(1))), lambda x, y: F.struct(x.alias("a"), y.alias("b")))).alias("p"))
-    return p.select("p.a", "p.b", "lang").where(F.col("a").rlike(WORD) & F.col("b").rlike(WORD) & (F.col("a") != F.col("b")))
+def word_pairs(spark: SparkSession, sf_dir: str, *by: str) -> DataFrame:
+    """(a, b, *by, n): how often two letter-only words stand side by side in the whole texts, a < b. Pairs are counted before they are looked at."""
+    d = table(spark, sf_dir, "documents").select(*by, F.split(F.lower("text"), " ").alias("w"))
+    pair = F.zip_with(F.slice("w", 1, F.greatest(F.size("w") - 1, F.lit(0))), F.slice("w", 2, F.greatest(F.size("w") - 1, F.lit(1))), lambda x, y: F.struct(F.least(x, y).alias("a"), F.greatest(x, y).alias("b")))
+    n = d.select(*by, F.explode(pair).alias("p")).groupBy("p.a", "p.b", *by).agg(F.count("*").alias("n"))
+    return n.where((F.col("a") != F.col("b")) & F.col("a").rlike(WORD) & F.col("b").rlike(WORD))
 
 
-def wordadj(spark: SparkSession, sf_dir: str, min_count: int = 2, chars: int | None = 400) -> DataFrame:
-    p = word_pairs(spark, sf_dir, chars).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
-    kept = p.groupBy("a", "b").agg(F.count("*").alias("n")).where(F.col("n") >= min_count)
+def wordadj(spark: SparkSession, sf_dir: str, min_count: int = MIN_COUNT) -> DataFrame:
+    """Words that stand side by side at least min_count times."""
+    kept = word_pairs(spark, sf_dir).where(F.col("n") >= min_count)
     return simple(kept, key_id(F.col("a")), key_id(F.col("b")))
 
 
-def word_labels(spark: SparkSession, sf_dir: str, chars: int | None = 400) -> DataFrame:
-    """(node, label): each word's most frequent language, ties to the larger name."""
-    p = word_pairs(spark, sf_dir, chars)
-    n = p.select(F.col("a").alias("w"), "lang").unionAll(p.select("b", "lang")).groupBy("w", "lang").agg(F.count("*").alias("n"))
+def word_labels(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(node, label): each word's most frequent language over all its pairs, ties to the larger name."""
+    p = word_pairs(spark, sf_dir, "lang")
+    each = p.select(F.explode(F.array("a", "b")).alias("w"), "lang", "n")
+    n = each.groupBy("w", "lang").agg(F.sum("n").alias("n"))
     return n.groupBy("w").agg(F.max(F.struct("n", "lang"))["lang"].alias("label")).select(key_id(F.col("w")).alias("node"), "label")
 
 
-def docshare(spark: SparkSession, sf_dir: str, chars: int | None = 1500) -> DataFrame:
-    """Documents that share 5 consecutive tokens of their first `chars` characters (1,500 in the SQL's definition; None: whole texts)."""
-    d = table(spark, sf_dir, "documents").select("doc_id", F.split(F.lower(_prefix(chars)), " ").alias("w"))
+POSTINGS = 50_000  # pairs of one shingle that one row deals out
+
+
+def pairs_within(postings: DataFrame, key: str, member: str) -> DataFrame:
+    """(a, b): members of one key, a < b. A key's members are cut in blocks; a row holds a pair of blocks, so no task meets a whole hot key."""
+    size = math.isqrt(POSTINGS)
+    blocks = postings.groupBy(key).agg(F.count("*").alias("n")).where("n > 1").select(key, F.ceil(F.col("n") / size).cast("int").alias("blocks"))
+    cut = postings.join(blocks, key).withColumn("own", F.pmod(F.xxhash64(member), F.col("blocks")).cast("int"))
+    some = cut.groupBy(key, "own", "blocks").agg(F.collect_list(member).alias("m"))
+    left = some.select(key, "own", "blocks", "m", F.explode(F.sequence(F.col("own"), F.col("blocks") - 1)).alias("other"))
+    both = left.join(some.select(key, F.col("own").alias("other"), F.col("m").alias("o")), [key, "other"])
+    one = both.select("m", F.explode("o").alias("b")).select(F.explode("m").alias("a"), "b")
+    return one.where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+
+
+def docshare(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Documents that share 5 consecutive tokens anywhere in their texts."""
+    d = table(spark, sf_dir, "documents").select("doc_id", F.split(F.lower("text"), " ").alias("w"))
     each = F.transform(F.sequence(F.lit(0), F.size("w") - 5), lambda i: F.md5(F.array_join(F.slice("w", i + 1, 5), " ").cast("binary")))
-    s = d.where(F.size("w") >= 5).select("doc_id", F.explode(F.array_distinct(each)).alias("h"))
-    return simple(s.join(s.withColumnRenamed("doc_id", "o"), "h").where("doc_id < o"), F.col("doc_id"), F.col("o"))
+    s = d.where(F.size("w") >= 5).select("doc_id", F.explode(F.array_distinct(each)).alias("h")).distinct()
+    p = pairs_within(s, "h", "doc_id")
+    return simple(p, F.col("a"), F.col("b"))
 
 
 def pagenav(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -98,22 +118,20 @@ def pagenav(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def vecknn(spark: SparkSession, sf_dir: str, k: int = 10) -> DataFrame:
-    """Vectors and their k nearest by cosine; exact blocked search on a small table of fixed growth."""
-    from ..functions.vec import cosine
+    """Vectors and their k nearest by cosine, by exact search in pairs of blocks with partial top k."""
+    from ..operators.metrics import nearest
 
-    e = table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
-    pairs = e.join(e.select(F.col("vec_id").alias("o"), F.col("embedding").alias("oe")), F.col("vec_id") != F.col("o"))
-    sim = pairs.select("vec_id", F.struct(F.round(-cosine(F.col("embedding"), F.col("oe")), 9).alias("s"), F.col("o")).alias("c"))
-    near = sim.groupBy("vec_id").agg(F.slice(F.array_sort(F.collect_list("c")), 1, k).alias("c"))
-    return simple(near.select("vec_id", F.explode("c.o").alias("o")), F.col("vec_id"), F.col("o"))
+    e = table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("node"), F.col("embedding").alias("vec"))
+    return simple(nearest(e, e, k, digits=9), F.col("query"), F.col("node"))
 
 
 def planted(spark: SparkSession, groups: int, size: int, p_in: float, p_out: float, seed: int = 1) -> DataFrame:
     """Known groups: node // size is the group."""
     n = groups * size
-    a, b = spark.range(n).withColumnRenamed("id", "src"), spark.range(n).withColumnRenamed("id", "dst")
+    a = spark.range(n).withColumnRenamed("id", "src")
+    a = a.select("src", F.explode(F.sequence(F.col("src"), F.lit(n - 1))).alias("dst")).where("src <> dst")
     p = F.when(F.floor(F.col("src") / size) == F.floor(F.col("dst") / size), p_in).otherwise(p_out)
-    return a.join(b, F.col("src") < F.col("dst")).where(u01("planted", seed, F.col("src"), F.col("dst")) < p)
+    return a.where(u01("planted", seed, F.col("src"), F.col("dst")) < p)
 
 
 def planted_sql(groups: int, size: int, p_in: float, p_out: float, seed: int = 1) -> str:
@@ -123,7 +141,7 @@ def planted_sql(groups: int, size: int, p_in: float, p_out: float, seed: int = 1
 
 BUILDERS = {"trade": trade, "custpart": custpart, "copurchase": copurchase, "coactive": coactive, "geo": geo, "wordadj": wordadj, "docshare": docshare, "pagenav": pagenav, "vecknn": vecknn}
 
-_WORD_PAIRS = """(SELECT w[i] AS a, w[i + 1] AS b, lang FROM (SELECT w, lang, unnest(range(1, len(w))) AS i FROM (SELECT string_split(lower(substr(text, 1, 400)), ' ') AS w, lang FROM documents))
+_WORD_PAIRS = """(SELECT w[i] AS a, w[i + 1] AS b, lang FROM (SELECT w, lang, unnest(range(1, len(w))) AS i FROM (SELECT string_split(lower(text), ' ') AS w, lang FROM documents))
  WHERE regexp_full_match(w[i], '\\p{L}+') AND regexp_full_match(w[i + 1], '\\p{L}+') AND w[i] <> w[i + 1])"""
 
 SQL = {
@@ -132,8 +150,8 @@ SQL = {
     "copurchase": _simple_sql("a.l_partkey", "b.l_partkey", "lineitem a JOIN lineitem b ON a.l_orderkey = b.l_orderkey WHERE true"),
     "coactive": "SELECT DISTINCT a.user_id AS src, b.user_id AS dst FROM (SELECT DISTINCT user_id, date_trunc('hour', ts) AS h FROM events) a JOIN (SELECT DISTINCT user_id, date_trunc('hour', ts) AS h FROM events) b ON a.h = b.h AND a.user_id < b.user_id",
     "geo": _simple_sql("a", "b", "(SELECT CAST(n_regionkey AS BIGINT) * 4 AS a, CAST(n_nationkey AS BIGINT) * 4 + 1 AS b FROM nation UNION ALL SELECT CAST(c_nationkey AS BIGINT) * 4 + 1, c_custkey * 4 + 2 FROM customer UNION ALL SELECT CAST(s_nationkey AS BIGINT) * 4 + 1, s_suppkey * 4 + 3 FROM supplier) WHERE true"),
-    "wordadj": f"SELECT LEAST({key_id_sql('a')}, {key_id_sql('b')}) AS src, GREATEST({key_id_sql('a')}, {key_id_sql('b')}) AS dst FROM (SELECT LEAST(a, b) AS a, GREATEST(a, b) AS b FROM {_WORD_PAIRS}) GROUP BY a, b HAVING count(*) >= 2",
-    "docshare": "WITH s AS (SELECT DISTINCT doc_id, md5(array_to_string(w[i:i + 4], ' ')) AS h FROM (SELECT doc_id, w, unnest(range(1, len(w) - 3)) AS i FROM (SELECT doc_id, string_split(lower(substr(text, 1, 1500)), ' ') AS w FROM documents))) SELECT DISTINCT a.doc_id AS src, b.doc_id AS dst FROM s a JOIN s b ON a.h = b.h AND a.doc_id < b.doc_id",
+    "wordadj": f"SELECT LEAST({key_id_sql('a')}, {key_id_sql('b')}) AS src, GREATEST({key_id_sql('a')}, {key_id_sql('b')}) AS dst FROM (SELECT LEAST(a, b) AS a, GREATEST(a, b) AS b FROM {_WORD_PAIRS}) GROUP BY a, b HAVING count(*) >= {MIN_COUNT}",
+    "docshare": "WITH s AS (SELECT DISTINCT doc_id, md5(array_to_string(w[i:i + 4], ' ')) AS h FROM (SELECT doc_id, w, unnest(range(1, len(w) - 3)) AS i FROM (SELECT doc_id, string_split(lower(text), ' ') AS w FROM documents))) SELECT DISTINCT a.doc_id AS src, b.doc_id AS dst FROM s a JOIN s b ON a.h = b.h AND a.doc_id < b.doc_id",
     "pagenav": _simple_sql(key_id_sql("'p' || page_id"), key_id_sql("'w' || w"), "(SELECT DISTINCT page_id, unnest(regexp_extract_all(html, 'href=\"/([^\"/]+)\"', 1)) AS w FROM pages) WHERE true"),
     "vecknn": "SELECT DISTINCT LEAST(v, o) AS src, GREATEST(v, o) AS dst FROM (SELECT a.vec_id AS v, b.vec_id AS o, row_number() OVER (PARTITION BY a.vec_id ORDER BY round(-list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 9), b.vec_id) AS r FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id) WHERE r <= 10",
 }

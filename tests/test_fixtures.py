@@ -160,9 +160,9 @@ def test_split_protocol(spark):
     s = linkpred.split(e)
     edges, pos, neg, train = ({tuple(r)[:2] for r in x.select("src", "dst").collect()} for x in (e, s.pos, s.neg, s.train))
     assert s.held == -(-len(edges) // 10) and not neg & edges and not pos & train and pos <= edges
-    assert abs(len(pos) - len(neg)) <= 2
+    assert len(pos) == len(neg) and not s.unmatched
     deg = lambda x: np.bincount(np.array(sorted(x)).ravel(), minlength=60)
-    assert np.abs(deg(pos) - deg(neg)).sum() <= 4
+    assert (deg(pos) == deg(neg)).all()
     c = {r.node for r in s.nodes.collect()}
     assert all(a in c and b in c for a, b in pos | neg | train)
     full = spark.createDataFrame(list(itertools.combinations(range(6), 2)), "src long, dst long")
@@ -174,7 +174,7 @@ def test_partitions(spark):
     g = graph.canonical(e)
     n = g.nodes.count()
     cut = {}
-    for name, p in (("multilevel", partition.multilevel(g, 6, coarse_nodes=60)), ("label_prop", partition.label_prop(g, 6)), ("hash", partition.hashed(g.nodes, 6))):
+    for name, p in (("multilevel", partition.multilevel(g, 6)), ("label_prop", partition.label_prop(g, 6)), ("hash", partition.hashed(g.nodes, 6))):
         assert p.count() == n == p.select("node").distinct().count()
         if name != "hash":
             r = partition.balance(p, 6, 0.03).first()
@@ -222,7 +222,7 @@ def test_warm_start_matters(spark, fig):
 def test_grid_trainer_separates_groups(spark):
     g = graph.canonical(graphs.planted(spark, 2, 12, 0.9, 0.02))
     p = walks.context_pairs(walks.uniform(g.edges, g.nodes, 8, 6), 3)
-    x = {r.node: np.array(r.vec) for r in sgns.fit(p, g.nodes, 8, epochs=3, rate=0.05, mode="grid").collect()}
+    x = {r.node: np.array(r.vec) for r in sgns.fit(p, g.nodes, 8, epochs=3, rate=0.05, blocks=4).collect()}
     cos = lambda a, b: float(x[a] @ x[b] / np.linalg.norm(x[a]) / np.linalg.norm(x[b]))
     same = np.mean([cos(a, b) for a in range(12) for b in range(a)])
     other = np.mean([cos(a, b) for a in range(12) for b in range(12, 24)])
@@ -230,7 +230,7 @@ def test_grid_trainer_separates_groups(spark):
 
 
 def test_learning(spark, tmp_path):
-    xy = hyper.training_set(spark, graphs=6, d=4).cache()
+    xy = hyper.training_set(spark, graphs=6, d=4, n_walks=(5, 10, 20), lengths=(5, 10, 20)).cache()
     assert xy.count() == 54
     exact, sgd = hyper.fit_exact(xy), hyper.fit_sgd(xy)
     assert hyper.sse(xy, exact) <= hyper.sse(xy, sgd) * (1 + 1e-6)
@@ -291,27 +291,124 @@ def test_empty_graph(spark):
     assert abstract.abstract_edges(g.edges, spark.createDataFrame([], "node long, part int")).count() == 0
 
 
-def test_whole_texts_give_edges_beyond_the_prefixes(spark, tmp_path):
+def test_whole_texts_are_read(spark, tmp_path):
     from sketchinit.catalog.graphs import QUERIES
+    from sketchinit.sources.graphs import MIN_COUNT
 
     far = " ".join(f"{a}{b}x" for a in "abcdef" for b in "ghijkl")
-    texts = [(i, " ".join(f"{c}{'abcdefghij'[n % 10]}{'klmnopqrst'[n // 10 % 10]}{'uvwxyzabcd'[n // 100]}" for n in range(500)) + " " + far, lang) for i, c, lang in ((1, "y", "en"), (2, "z", "de"))]
+    texts = [(i, " ".join(f"{c}{'abcdefghij'[n % 10]}{'klmnopqrst'[n // 10 % 10]}{'uvwxyzabcd'[n // 100]}" for n in range(500)) + " " + " ".join([far] * MIN_COUNT), lang) for i, c, lang in ((1, "y", "en"), (2, "z", "de"))]
     spark.createDataFrame(texts, "doc_id long, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
-    got = {tuple(r) for r in QUERIES["graph_docshare_whole"](spark, str(tmp_path)).collect()}
-    assert got == {(1, 2)} and not QUERIES["graph_docshare"](spark, str(tmp_path)).count()
-    assert QUERIES["graph_wordadj_whole"](spark, str(tmp_path)).count() == 35 and not QUERIES["graph_wordadj"](spark, str(tmp_path)).count()
-    assert QUERIES["word_labels_whole"](spark, str(tmp_path)).count() == 1036
+    assert {tuple(r) for r in QUERIES["graph_docshare"](spark, str(tmp_path)).collect()} == {(1, 2)}
+    assert QUERIES["graph_wordadj"](spark, str(tmp_path)).count() == 36  # 35 pairs, and the last word beside the first
 
 
 def test_grid_tries_every_combination(spark, monkeypatch):
     from types import SimpleNamespace
 
-    from sketchinit.operators import hyper, init, metrics
+    from sketchinit.operators import hyper, init
 
     tried = []
-    emb = spark.createDataFrame([(0, [0.0]), (1, [1.0])], "part int, vec array<float>")
-    monkeypatch.setattr(init, "embed_abstract", lambda ag, a, b, d, seed: tried.append((a, b)) or emb)
-    monkeypatch.setattr(metrics, "reconstruction", lambda *a: float(tried[-1][0] * tried[-1][1]))
-    ag = SimpleNamespace(edges=spark.createDataFrame([(0, 1, 1)], "src int, dst int, w long"))
-    assert init.pick(ag, "grid", None, "highest", 4, 1) == (80, 80)
+    monkeypatch.setattr(init, "embed_abstract", lambda ag, a, b, d, seed: tried.append((a, b)) or SimpleNamespace(withColumnRenamed=lambda *x: (a, b)))
+    monkeypatch.setattr(init, "reconstruction", lambda edges, emb, theta: float(abs(emb[0] - 20) + abs(emb[1] - 40)))
+    ag = SimpleNamespace(edges=None)
+    assert init.pick(ag, "grid", None, "highest", 4, 1) == (20, 40)  # the least loss
     assert set(tried) == {(a, b) for a in hyper.WALKS for b in hyper.LENGTHS}
+
+
+@pytest.mark.parametrize("seed", [1, 2, 3, 4, 5])
+def test_negatives_match_every_degree(spark, seed):
+    e = graphs.planted(spark, 4, 15, 0.5, 0.03)
+    s = linkpred.split(e, seed=seed)
+    assert not s.unmatched and s.neg.join(e, ["src", "dst"], "left_semi").count() == 0 and s.neg.distinct().count() == s.pos.count()
+    assert linkpred.negative_degrees(s.pos, s.neg).where("positives <> negatives").count() == 0
+
+
+def test_negatives_that_cannot_be_are_counted(spark):
+    full = spark.createDataFrame(list(itertools.combinations(range(6), 2)), "src long, dst long")
+    neg, left = linkpred.matched_negatives(full, full.where("src = 0"))
+    assert neg.count() == 0 and left == 10
+
+
+def test_bulk_draws_are_those_of_numpy(spark):
+    from sketchinit.functions.rng import draw, draw_np
+
+    got = [r[0] for r in spark.range(-3, 200).select(draw("slot", 7, F.col("id"), F.lit(3))).collect()]
+    assert got == draw_np("slot", 7, np.arange(-3, 200), 3).tolist()
+
+
+@pytest.mark.parametrize("biased", [None, (0.25, 4.0)])
+def test_walks_by_joins_are_those_of_one_task(spark, biased):
+    g = graph.canonical(graphs.planted(spark, 3, 12, 0.4, 0.05), spark.createDataFrame([(99,)], "node long"))
+    pairs = [{tuple(r) for r in target.walk_pairs(g, 2, 6, 2, 5, biased, local).collect()} for local in (True, False)]
+    assert pairs[0] == pairs[1] and pairs[0]
+
+
+def test_weighted_walks_by_joins_are_those_of_one_task(spark, fig):
+    g, parts = fig
+    ag = abstract.build(g, parts)
+    a = Graph(ag.nodes.select(F.col("part").cast("long").alias("node")), ag.edges.select(F.col("src").cast("long").alias("src"), F.col("dst").cast("long").alias("dst"), "w"))
+    pairs = [{tuple(r) for r in target.walk_pairs(a, 6, 5, 2, 1, None, local).collect()} for local in (True, False)]
+    assert pairs[0] == pairs[1]
+
+
+def test_second_order_walks_follow_their_distribution(spark):
+    g = make(spark, [(0, 1), (1, 2), (1, 3), (0, 2)])
+    w = walks.biased(g.edges, spark.createDataFrame([(0,)], "node long"), 3000, 3, 0.1, 5.0, tries=1).collect()
+    from_one = [r.path[2] for r in w if r.path[1] == 1]
+    want = {0: 10 / 11.2, 2: 1 / 11.2, 3: 0.2 / 11.2}
+    for v, p in want.items():
+        assert abs(from_one.count(v) / len(from_one) - p) < 4 * (p * (1 - p) / len(from_one)) ** 0.5
+
+
+def test_hub_blocks_give_the_same_odds(spark, fig):
+    g, parts = fig
+    e = abstract.build(g, parts).edges.select(F.col("src").cast("long").alias("src"), F.col("dst").cast("long").alias("dst"), "w")
+    outer, inner = walks.alias_blocks(walks.transitions(e), 1)
+    w = walks.weighted_blocked(outer, inner, spark.createDataFrame([(1,)], "node long"), 900, 2)
+    assert abs(w.where(F.element_at("path", 2) == 0).count() / 900 - 2 / 3) < 4 * (2 / 9 / 900) ** 0.5
+
+
+def test_propagation_by_blocks_is_that_of_one_task(spark):
+    g = graph.canonical(graphs.planted(spark, 3, 12, 0.4, 0.05), spark.createDataFrame([(99,)], "node long"))
+    parts = partition.hashed(g.nodes, 4)
+    f_a = spark.createDataFrame([(p, [float(p), 1.0, -p / 2]) for p in range(4)], "part int, vec array<double>")
+    (one, a), (many, b) = (propagate.run(g, parts, f_a, max_iter=9, blocks=k) for k in (0, 3))
+    assert [t["delta"] for t in a] == pytest.approx([t["delta"] for t in b])
+    x, y = ({r.node: r.vec for r in e.collect()} for e in (one, many))
+    assert x.keys() == y.keys() and all(x[v] == pytest.approx(y[v]) for v in x)
+    _, trace = propagate.run(g, parts, f_a)
+    assert trace[-1]["converged"] and trace[-1]["delta"] <= 1 / 37
+
+
+def test_every_block_count_trains_both_kinds_of_tables(spark):
+    g = graph.canonical(graphs.planted(spark, 2, 12, 0.9, 0.02))
+    for tie in (False, True):
+        for blocks in (1, 4):
+            x = {r.node: np.array(r.vec) for r in sgns.fit(target.edge_samples(g.edges, 40), g.nodes, 8, epochs=2, rate=0.1, tie=tie, blocks=blocks).collect()}
+            cos = lambda a, b: float(x[a] @ x[b] / np.linalg.norm(x[a]) / np.linalg.norm(x[b]))
+            same, other = ([cos(a, b) for a in range(12) for b in range(*r) if a != b] for r in ((0, 12), (12, 24)))
+            assert len(x) == 24 and np.mean(same) > np.mean(other) + 0.05, (tie, blocks)
+
+
+def test_parts_without_a_task_for_the_coarse_graph(spark):
+    g = graph.canonical(graphs.planted(spark, 6, 20, 0.5, 0.01), spark.range(500, 520).withColumnRenamed("id", "node"))
+    p = partition.multilevel(g, 6, coarse_nodes=1, coarse_edges=1)
+    r = partition.balance(p, 6).first()
+    assert r.ok and r.parts == 6 and r.nodes == 140
+    assert partition.edge_cut(g.edges, p).count() < partition.edge_cut(g.edges, partition.hashed(g.nodes, 6)).count()
+
+
+def test_warm_start_of_new_nodes(spark):
+    from sketchinit.streaming.edges import warm_start
+
+    emb = spark.createDataFrame([(1, [1.0, 0.0]), (2, [0.0, 4.0])], "node long, vec array<double>")
+    new = spark.createDataFrame([(1, 5), (2, 5), (5, 6)], "src long, dst long")
+    assert [(r.node, r.vec) for r in warm_start(emb, new).collect()] == [(5, [0.5, 2.0])]
+
+
+def test_products_let_the_graph_matter():
+    stats = [dict(zip(hyper.FEATURES[2:], map(float, [n, 2 * n, 0.1, 4, 4, 9, 2, 5]))) for n in (10, 1000)]
+    w = np.zeros(26)
+    w[0], w[10] = 1.0, -0.01  # walks are good, but not times many nodes
+    assert hyper.choose(stats[0], w) != hyper.choose(stats[1], w)
+    assert len(hyper.default_model()) == 10 and len(hyper.default_model(True)) == 26
