@@ -6,8 +6,9 @@ has its own logistic regression. In every round each classifier labels the
 unlabelled documents it is surest of for the other one. In the end both are
 calibrated on labelled rows kept aside and combined by adding log-odds.
 
-Fitting uses bounded samples: LABELLED rows with a label and POOL rows
-without, chosen by a hash of the id. Scoring reads every whole text.
+Fitting uses two bounded samples, parameters of fit() and score(): LABELLED
+rows with a label and POOL rows that have none in the labels table, those of
+the lowest hash of the id. Scoring reads every whole text.
 
 Edge cases: null text counts as empty; null source or language is a value of
 its own; without labels of both classes every score is the share of good
@@ -124,17 +125,21 @@ def combined(model: dict, x: list[np.ndarray]) -> tuple[float, float, float]:
     return both, *(float(_sigmoid(np.array(o))) for o in odds)
 
 
-def _fraction(df: DataFrame, rows: int):  # noqa: ANN202
-    n = df.count()
-    draw = F.xxhash64("doc_id", F.lit(29)) / F.lit(float(2**64)) + 0.5
-    return df.where(draw < min(1.0, (rows + 20) / max(1, n)))
+def _least(ids: DataFrame, rows: int, *more: str) -> DataFrame:
+    """At most `rows` rows, those whose ids hash lowest: the same ones whatever the plan is."""
+    return ids.withColumn("_h", F.xxhash64("doc_id", F.lit(29))).orderBy("_h", "doc_id", *more).limit(rows).drop("_h")
 
 
-def fit(docs: DataFrame, labels: DataFrame, target: str = "quality", id_col: str = "doc_id", text_col: str = "text") -> dict:
-    """The model. At most LABELLED + POOL rows reach the driver, as features."""
-    known = labels.where(F.col(target).isNotNull()).select(F.col(id_col).alias("doc_id"), F.col(target).cast("int").alias("y"))
-    some = _fraction(known, LABELLED).dropDuplicates(["doc_id"]).limit(LABELLED)
+def fit(docs: DataFrame, labels: DataFrame, target: str = "quality", id_col: str = "doc_id", text_col: str = "text", labelled: int = LABELLED, pool: int = POOL) -> dict:
+    """The model, from at most `labelled` rows with a label and `pool` rows without: so many reach the driver, as features.
+
+    Rows of one id with several labels count as the smaller one; rows
+    without an id take no part in fitting.
+    """
+    known = labels.where(F.col(target).isNotNull()).groupBy(F.col(id_col).alias("doc_id")).agg(F.min(F.col(target).cast("int")).alias("y")).where("doc_id is not null")
+    some = _least(known, labelled)
     base = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"), "source", "lang")
+    free = _least(base.select("doc_id").where("doc_id is not null").distinct().join(known, "doc_id", "left_anti"), pool)
 
     def seen(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -143,17 +148,21 @@ def fit(docs: DataFrame, labels: DataFrame, target: str = "quality", id_col: str
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("y"), *xs], names=["doc_id", "y", "a", "b"])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    as_views = lambda df, n: sorted(df.mapInArrow(seen, f"doc_id {kind}, y int, a binary, b binary").limit(n).collect(), key=str)
-    rows = as_views(base.join(F.broadcast(some), "doc_id"), LABELLED)  # at most LABELLED rows are broadcast
-    rest = as_views(_fraction(base, POOL).withColumn("y", F.lit(-1)), POOL)
+
+    def as_views(chosen: DataFrame, most: int) -> list:
+        joined = base.join(F.broadcast(chosen), "doc_id").select(*base.columns, "y")  # at most `most` ids are broadcast
+        got = joined.mapInArrow(seen, f"doc_id {kind}, y int, a binary, b binary").orderBy("doc_id", "a", "b").limit(most)
+        return got.collect()
+
+    rows, rest = as_views(some, labelled), as_views(free.withColumn("y", F.lit(-1)), pool)
     stack = lambda rs, c, n: np.stack([np.frombuffer(bytes(r[c]), np.float16) for r in rs]).astype(np.float32) if rs else np.zeros((0, n), np.float32)
-    views, pool = ([stack(rs, "a", TEXT_BUCKETS), stack(rs, "b", META_BUCKETS)] for rs in (rows, rest))
-    return cotrain(views, np.array([r["y"] for r in rows]), pool)
+    views, others = ([stack(rs, "a", TEXT_BUCKETS), stack(rs, "b", META_BUCKETS)] for rs in (rows, rest))
+    return cotrain(views, np.array([r["y"] for r in rows]), others)
 
 
-def score(docs: DataFrame, labels: DataFrame, target: str = "quality", id_col: str = "doc_id", text_col: str = "text", keep_from: float = 0.5) -> DataFrame:
+def score(docs: DataFrame, labels: DataFrame, target: str = "quality", id_col: str = "doc_id", text_col: str = "text", keep_from: float = 0.5, labelled: int = LABELLED, pool: int = POOL) -> DataFrame:
     """(doc_id, score, text_score, meta_score, keep) for every row of docs."""
-    share = docs.sparkSession.sparkContext.broadcast(fit(docs, labels, target, id_col, text_col))
+    share = docs.sparkSession.sparkContext.broadcast(fit(docs, labels, target, id_col, text_col, labelled, pool))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = share.value

@@ -10,13 +10,16 @@ frames. The last frame is filled with 0; the payload's length is in the AVI's
 INFO comment.
 
 Edge cases: null text counts as empty (a payload of 64 zero bytes); equal
-texts give equal files; a damaged file raises ValueError; a one-frame file is
-one shot.
+texts give equal files; a damaged file, or a text too long for a RIFF file,
+raises ValueError; a one-frame file is one shot; frames are coded in groups,
+so a long text takes memory for a few times its size. Files of other writers
+are read too, as grey pixels of their baseline frames.
 """
 
 from __future__ import annotations
 
 import hashlib
+import re
 import struct
 import zlib
 from collections.abc import Iterator
@@ -69,35 +72,178 @@ def _head() -> bytes:
 _HEAD, _TAIL = _head(), b"\xff\xd9"
 
 
+GROUP = 64  # frames that are coded or decoded as one array
+
+
 def encode_frames(samples: np.ndarray) -> list[bytes]:
     """samples: (frames, FRAME) bytes. One JPEG file for each frame."""
-    level = samples.astype(np.int16) - 128
-    diff = np.diff(level, axis=1, prepend=np.int16(0))
-    words = _WORDS[diff + 255]
-    bits = np.unpackbits(words.astype(">u2").view(np.uint8).reshape(*words.shape, 2), axis=2)[:, :, 16 - _BITS :]
-    packed = np.packbits(bits.reshape(len(samples), -1), axis=1)
-    return [_HEAD + row.tobytes().replace(b"\xff", b"\xff\x00") + _TAIL for row in packed]
+    out: list[bytes] = []
+    for lo in range(0, len(samples), GROUP):
+        level = samples[lo : lo + GROUP].astype(np.int16) - 128
+        diff = np.diff(level, axis=1, prepend=np.int16(0))
+        words = _WORDS[diff + 255]
+        bits = np.unpackbits(words.astype(">u2").view(np.uint8).reshape(*words.shape, 2), axis=2)[:, :, 16 - _BITS :]
+        packed = np.packbits(bits.reshape(len(level), -1), axis=1)
+        out += [_HEAD + row.tobytes().replace(b"\xff", b"\xff\x00") + _TAIL for row in packed]
+    return out
+
+
+def parse_jpeg(data: bytes) -> dict:
+    """Tables and scan of a baseline JPEG: {'quant', 'huffman', 'frame', 'scan', 'restart', 'bits'}; bits are the coded bytes without stuffing."""
+    if data[:2] != b"\xff\xd8":
+        raise ValueError("not a JPEG frame")
+    got: dict = {"quant": {}, "huffman": {}, "frame": None, "restart": 0}
+    at = 2
+    while at + 4 <= len(data):
+        if data[at] != 0xFF:
+            raise ValueError("no marker where one must be")
+        mark = data[at + 1]
+        size = struct.unpack_from(">H", data, at + 2)[0]
+        body = data[at + 4 : at + 2 + size]
+        at += 2 + size
+        if mark == 0xDB:
+            while body:
+                wide = body[0] >> 4
+                n = 64 * (1 + wide)
+                got["quant"][body[0] & 15] = np.frombuffer(body[1 : 1 + n], ">u2" if wide else np.uint8).astype(np.int64)
+                body = body[1 + n :]
+        elif mark == 0xC4:
+            while body:
+                n = sum(body[1:17])
+                got["huffman"][body[0]] = (tuple(body[1:17]), body[17 : 17 + n])
+                body = body[17 + n :]
+        elif mark in (0xC0, 0xC1):
+            high, wide, parts = struct.unpack_from(">HHB", body, 1)
+            got["frame"] = (high, wide, [(body[6 + 3 * i], body[7 + 3 * i] >> 4, body[7 + 3 * i] & 15, body[8 + 3 * i]) for i in range(parts)])
+        elif mark in (0xC2, 0xC3, *range(0xC5, 0xC8), *range(0xC9, 0xD0)):
+            raise ValueError("only baseline frames are read")
+        elif mark == 0xDD:
+            got["restart"] = struct.unpack(">H", body)[0]
+        elif mark == 0xDA:
+            got["scan"] = [(body[1 + 2 * i], body[2 + 2 * i] >> 4, body[2 + 2 * i] & 15) for i in range(body[0])]
+            end = data.rfind(b"\xff\xd9")
+            if end < at or got["frame"] is None:
+                raise ValueError("a frame without an end or a size")
+            got["bits"] = data[at:end]
+            return got
+    raise ValueError("a frame without a scan")
+
+
+def _codes(table: tuple[tuple[int, ...], bytes]) -> dict[tuple[int, int], int]:
+    """{(length, code): symbol} of a Huffman table."""
+    out, code, k = {}, 0, 0
+    for length, n in enumerate(table[0], 1):
+        for _ in range(n):
+            out[length, code] = table[1][k]
+            code, k = code + 1, k + 1
+        code <<= 1
+    return out
+
+
+# Places of the 64 coefficients in zigzag order.
+_ZIGZAG = np.array(sorted(range(64), key=lambda i: (i // 8 + i % 8, (i // 8 if (i // 8 + i % 8) % 2 else i % 8))))
+_COS = np.array([[np.cos((2 * x + 1) * u * np.pi / 16) * (np.sqrt(0.125) if u == 0 else 0.5) for u in range(8)] for x in range(8)])
+
+
+def decode_jpeg(data: bytes) -> np.ndarray:
+    """The grey picture (height, width) of any baseline JPEG: Huffman codes, zigzag, quantisers and the inverse transform of its first component."""
+    j = parse_jpeg(data)
+    high, wide, parts = j["frame"]
+    most_h, most_v = max(p[1] for p in parts), max(p[2] for p in parts)
+    if len(j["scan"]) == 1:
+        parts = [(*p[:1], 1, 1, p[3]) for p in parts if p[0] == j["scan"][0][0]]
+        most_h = most_v = 1
+    across, down = -(-wide // (8 * most_h)), -(-high // (8 * most_v))
+    tables = {c: (_codes(j["huffman"][d]), _codes(j["huffman"][16 + a])) for c, d, a in j["scan"]}
+    pieces = re.split(rb"\xff[\xd0-\xd7]", j["bits"]) if j["restart"] else [j["bits"]]
+    first = parts[0]
+    blocks = np.zeros((down * first[2], across * first[1], 64), np.int64)
+    unit = 0
+    for piece in pieces:
+        raw = piece.replace(b"\xff\x00", b"\xff")
+        value, left, at = int.from_bytes(raw, "big"), len(raw) * 8, 0
+
+        def take(n: int) -> int:
+            nonlocal at
+            if at + n > left:
+                raise ValueError("the coded data end too early")
+            at += n
+            return (value >> (left - at)) & ((1 << n) - 1)
+
+        def symbol(codes: dict[tuple[int, int], int]) -> int:
+            code = 0
+            for n in range(1, 17):
+                code = code << 1 | take(1)
+                if (n, code) in codes:
+                    return codes[n, code]
+            raise ValueError("unknown code in a frame")
+
+        def number(n: int) -> int:
+            v = take(n) if n else 0
+            return v if not n or v >> (n - 1) else v - (1 << n) + 1
+
+        last = dict.fromkeys(tables, 0)
+        for _ in range(min(j["restart"] or across * down, across * down - unit)):
+            for c, h, v, _q in parts:
+                for y in range(v):
+                    for x in range(h):
+                        dc, ac = tables[c]
+                        last[c] += number(symbol(dc))
+                        block, k = np.zeros(64, np.int64), 1
+                        block[0] = last[c]
+                        while k < 64:
+                            s = symbol(ac)
+                            if s == 0:
+                                break
+                            k += s >> 4
+                            if s & 15:
+                                if k > 63:
+                                    raise ValueError("a block with too many coefficients")
+                                block[k] = number(s & 15)
+                            k += 1
+                        if c == first[0]:
+                            blocks[unit // across * v + y, unit % across * h + x] = block
+            unit += 1
+    freq = np.zeros(blocks.shape, float)
+    freq[:, :, _ZIGZAG] = blocks * j["quant"][first[3]]
+    tiles = np.einsum("xu,abuv,yv->abxy", _COS, freq.reshape(*blocks.shape[:2], 8, 8), _COS)
+    grey = tiles.transpose(0, 2, 1, 3).reshape(blocks.shape[0] * 8, blocks.shape[1] * 8)
+    return np.clip(np.round(grey + 128), 0, 255).astype(np.uint8)[:high, :wide]
+
+
+def _flat(j: dict) -> bool:
+    """Whether a frame has one component, eight as DC quantiser, and the code lengths under which every flat block takes _BITS bits."""
+    frame, head = j["frame"], parse_jpeg(_HEAD + _TAIL)
+    return frame == head["frame"] and j["scan"] == head["scan"] and j["huffman"] == head["huffman"] and not j["restart"] and int(j["quant"][0][0]) == 8
 
 
 def decode_frames(frames: list[bytes]) -> np.ndarray:
-    """The samples of frames that encode_frames() wrote."""
-    size = FRAME * _BITS // 8
-    rows = []
-    for f in frames:
-        if not (f.startswith(_HEAD) and f.endswith(_TAIL)):
-            raise ValueError("not a flat-block JPEG frame")
-        raw = f[len(_HEAD) : -2].replace(b"\xff\x00", b"\xff")
-        if len(raw) != size:
-            raise ValueError("a frame of another size")
-        rows.append(np.frombuffer(raw, np.uint8))
-    bits = np.unpackbits(np.stack(rows), axis=1).reshape(len(rows), FRAME, _BITS)
-    wide = np.zeros((len(rows), FRAME, 16), np.uint8)
-    wide[:, :, 16 - _BITS :] = bits
-    ten = np.packbits(wide, axis=2).view(">u2").reshape(len(rows), FRAME) >> 1
-    diff = _BACK[ten]
-    if (diff == 9999).any():
-        raise ValueError("unknown code in a frame")
-    return (np.cumsum(diff, axis=1, dtype=np.int32) + 128).astype(np.uint8)
+    """Samples by frame: one for each block of flat frames, decoded as arrays from the tables that the frame carries; the pixels of other frames."""
+    parsed = [parse_jpeg(f) for f in frames[:1]]
+    if not frames or not _flat(parsed[0]):
+        return np.stack([decode_jpeg(f).ravel() for f in frames]) if frames else np.zeros((0, 0), np.uint8)
+    size, out = FRAME * _BITS // 8, []
+    head = frames[0][: len(frames[0]) - len(parsed[0]["bits"]) - 2]
+    for lo in range(0, len(frames), GROUP):
+        rows = []
+        for f in frames[lo : lo + GROUP]:
+            same = f.startswith(head) and f.endswith(_TAIL)
+            j = None if same else parse_jpeg(f)
+            if j is not None and not _flat(j):
+                raise ValueError("flat frames and others in one file")
+            raw = (f[len(head) : -2] if same else j["bits"]).replace(b"\xff\x00", b"\xff")
+            if len(raw) != size:
+                raise ValueError("a frame of another size")
+            rows.append(np.frombuffer(raw, np.uint8))
+        bits = np.unpackbits(np.stack(rows), axis=1).reshape(len(rows), FRAME, _BITS)
+        full = np.zeros((len(rows), FRAME, 16), np.uint8)
+        full[:, :, 16 - _BITS :] = bits
+        ten = np.packbits(full, axis=2).view(">u2").reshape(len(rows), FRAME) >> 1
+        diff = _BACK[ten]
+        if (diff == 9999).any():
+            raise ValueError("unknown code in a frame")
+        out.append((np.cumsum(diff, axis=1, dtype=np.int32) + 128).astype(np.uint8))
+    return np.concatenate(out)
 
 
 # ---------------------------------------------------------------- RIFF
@@ -113,6 +259,8 @@ def write_avi(payload: bytes) -> bytes:
     samples = np.zeros(n * FRAME, np.uint8)
     samples[: len(payload)] = np.frombuffer(payload, np.uint8)
     frames = encode_frames(samples.reshape(n, FRAME))
+    if sum(map(len, frames)) + 24 * n > (1 << 32) - 4096:
+        raise ValueError("a RIFF file holds less than 4 GiB: about 3 GiB of text")
     most, px = max(map(len, frames)), SIDE * 8
     avih = struct.pack("<10I16x", 1_000_000 // FPS, most * FPS, 0, 0x10, n, 0, 1, most, px, px)
     strh = b"vidsMJPG" + struct.pack("<IHHIIIIIIII4H", 0, 0, 0, 0, 1, FPS, 0, n, most, 10_000, 0, 0, 0, px, px)
@@ -191,9 +339,13 @@ def read_payload(data: bytes) -> tuple[bytes, np.ndarray, float]:
 
 def histograms(samples: np.ndarray, bins: int = 32) -> np.ndarray:
     """Share of the samples in each grey bin, by frame."""
-    n = len(samples)
-    at = (samples >> (8 - bins.bit_length() + 1)).astype(np.int64) + np.arange(n)[:, None] * bins
-    return np.bincount(at.ravel(), minlength=n * bins).reshape(n, bins) / samples.shape[1]
+    out = []
+    for lo in range(0, len(samples), GROUP):
+        some = samples[lo : lo + GROUP]
+        n = len(some)
+        at = (some >> (8 - bins.bit_length() + 1)).astype(np.int64) + np.arange(n)[:, None] * bins
+        out.append(np.bincount(at.ravel(), minlength=n * bins).reshape(n, bins) / samples.shape[1])
+    return np.concatenate(out) if out else np.zeros((0, bins))
 
 
 def shots(hist: np.ndarray, window: int = 8, factor: float = 2.0, least: float = 0.15) -> list[tuple[int, int]]:

@@ -16,6 +16,7 @@ from __future__ import annotations
 
 import math
 import re
+from bisect import bisect_right
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -67,10 +68,21 @@ def windows_over(s: str, width: int, bits: float) -> list[tuple[int, int]]:
     return out
 
 
+def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    """Disjoint ranges, in order, that cover the same places."""
+    out: list[tuple[int, int]] = []
+    for a, b in sorted(spans):
+        if out and a <= out[-1][1]:
+            out[-1] = out[-1][0], max(out[-1][1], b)
+        else:
+            out.append((a, b))
+    return out
+
+
 def outside(start: int, end: int, base: list[tuple[int, int]]) -> list[tuple[int, int]]:
-    """The parts of a range that no span of base (sorted by start) has told already."""
+    """The parts of a range that no span of base (disjoint, in order) has told already."""
     out = []
-    for a, b in base:
+    for a, b in _from(base, start):
         if a >= end:
             break
         if a > start:
@@ -79,6 +91,11 @@ def outside(start: int, end: int, base: list[tuple[int, int]]) -> list[tuple[int
     return [*out, (start, end)] if start < end else out
 
 
+def _from(base: list[tuple[int, int]], start: int) -> Iterator[tuple[int, int]]:
+    for i in range(max(0, bisect_right(base, (start, start)) - 1), len(base)):
+        yield base[i]
+
+
 def find(text: str | None) -> list[tuple[str, int, int]]:
     """All spans (kind, start, end) of one text, by start, then kind as listed."""
     t = text or ""
@@ -89,7 +106,7 @@ def find(text: str | None) -> list[tuple[str, int, int]]:
     if "AKIA" in t:
         spans += [("access", m.start(), m.end()) for m in _ACCESS.finditer(t) if m.end() - m.start() >= LEAST["access"]]
     spans += [("hex", m.start(), m.end()) for m in _HEX.finditer(t)]
-    base = sorted((s, e) for _, s, e in spans)
+    base = merged([(s, e) for _, s, e in spans])
     for m in _CANDIDATE.finditer(t):
         word = m[0]
         if any(a.fullmatch(word) for a in ALLOWED):

@@ -22,6 +22,7 @@ from ..plans.storage import stash
 WORDS = 5
 FRACTION_BITS = 3  # one hash in 2 ** FRACTION_BITS is kept
 IDS_PER_RANGE = 4_000
+KNOTS = 8_192  # quantiles of the ids that the plan holds
 MAX_RANGES = 500_000  # bounds the one broadcast: two longs a range
 
 
@@ -69,17 +70,36 @@ def as_text(s: Column) -> Column:
     return F.array_join(F.transform(s, lambda v: F.lpad(F.lower(F.hex(v)), 16, "0")), "")
 
 
+def place(knots: list[int], value: Column) -> Column:
+    """Index of the last knot that is not above value (0 where all are): a binary search inside one expression."""
+    k = F.array(*[F.lit(v).cast("long") for v in knots]) if len(knots) < 3 else F.lit(knots)
+    steps = F.array(*[F.lit(1 << s) for s in reversed(range(max(1, (len(knots) - 1).bit_length())))])
+    hit = lambda i, p: F.when((i + p < len(knots)) & (F.get(k, i + p) <= value), i + p).otherwise(i)
+    return F.aggregate(steps, F.lit(0), hit)
+
+
 def ranges(docs: DataFrame) -> tuple[Column, DataFrame]:
     """(range of a row, ends) for docs(id, ...): ends(top, to) holds the largest id of each range and the range that follows it.
 
-    Ids are cut in ranges of equal width, at most MAX_RANGES of them, so that
-    ends may be broadcast whatever the table's size. After the last range
-    comes the first. Rows with a null id are dealt over ranges of their own.
+    Ids are cut at approximate quantiles, so outliers and clusters of ids do
+    not crowd a range; where there are more ranges than KNOTS, the space
+    between two quantiles is cut in equal widths. There are at most
+    MAX_RANGES, so that ends may be broadcast whatever the table's size.
+    After the last range comes the first. Rows with a null id are dealt over
+    ranges of their own.
     """
-    r = docs.agg(F.min("id"), F.max("id"), F.count("id")).first()
-    low, count = r[0] or 0, max(1, min(MAX_RANGES, -(-r[2] // IDS_PER_RANGE)))
-    width = max(1, -(-((r[1] or 0) - low + 1) // count))
-    own = ((F.col("id").cast("double") - F.lit(float(low))) / F.lit(float(width))).cast("long")
+    n = docs.agg(F.count("id")).first()[0]
+    count = max(1, min(MAX_RANGES, -(-n // IDS_PER_RANGE)))
+    size = min(KNOTS, count)
+    found = docs.agg(F.percentile_approx("id", [i / size for i in range(size)] + [1.0], 4 * size + 1000)).first()[0] if n else None
+    knots, top = (sorted(set(found[:-1])), found[-1]) if found else ([0], 0)
+    at, inner = place(knots, F.col("id")), -(-count // size)
+    own = F.when(F.col("id").isNotNull(), at.cast("long"))
+    if inner > 1:
+        k = F.lit([*knots, top + 1])
+        low, high = F.get(k, at), F.get(k, at + 1)
+        share = (F.col("id").cast("double") - low.cast("double")) / F.greatest(high.cast("double") - low.cast("double"), F.lit(1.0))
+        own = own * inner + F.least(F.greatest(F.floor(share * inner), F.lit(0)), F.lit(inner - 1))
     ends = docs.where("id is not null").groupBy(own.alias("range")).agg(F.max("id").alias("top"))
     over = Window.orderBy("range")  # one row a range
     whole = over.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)

@@ -557,6 +557,7 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     # bucketed by batch: the later joins move only what is told to the batches, never their texts
     _blobs(base).write.bucketBy(parts, "batch").option("path", stash_path(spark, "blobs")).option("compression", "zstd").saveAsTable(name)
     blobs = spark.table(name)
+    spark.sql(f"DROP TABLE {name}")  # the name only: the plan holds the files, whose folder goes with the session
     buckets = max(4, -(-total // 14 // BUCKET_ENTRIES))
     run, kind = _sent(buckets)
     told = stash(blobs.mapInArrow(run, kind).groupBy("bucket").applyInArrow(_meet, _TOLD), "told")

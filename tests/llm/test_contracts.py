@@ -284,6 +284,22 @@ def test_edited_pairs_over_ranges(spark, monkeypatch):
     assert sorted((-1 if r.doc_id is None else r.doc_id, r.edited) for r in got) == sorted(want)
 
 
+def test_outlying_ids_do_not_crowd_a_range(spark, monkeypatch):
+    monkeypatch.setattr(sketches, "IDS_PER_RANGE", 10)
+    for knots in (sketches.KNOTS, 8):
+        monkeypatch.setattr(sketches, "KNOTS", knots)
+        ids = [*range(300), 10**18, -(10**17), *range(5_000_000, 5_000_100)]
+        df = spark.createDataFrame([(i, f"text {i} and so on") for i in ids], "id long, text string")
+        home, ends = sketches.ranges(df)
+        sizes = [r["n"] for r in df.groupBy(home.alias("r")).count().withColumnRenamed("count", "n").collect()]
+        assert max(sizes) <= (30 if knots > 8 else 80) and ends.count() == len(sizes)
+        pairs = {r.doc_id: r.edited for r in sketches.edited_pairs(df.withColumnRenamed("id", "doc_id")).collect()}
+        order = sorted(ids, reverse=True)
+        for a, b in zip(order, [*order[1:], order[0]]):
+            t, u = f"text {a} and so on", f"text {b} and so on"
+            assert pairs[a] == t[: len(t) - len(t) // 2] + u[: len(t) // 2]
+
+
 def test_sketch_union(spark):
     a, b = "one two three four five six seven eight nine ten", "one two three four five six seven zwei drei vier"
     df = spark.createDataFrame([(a, b)], "a string, b string")
@@ -303,6 +319,68 @@ def test_media(spark, sf_dir, docs):
         assert (r.media_bytes, r.media_sha256) == (len(file), hashlib.sha256(file).hexdigest()) and r.feature
 
 
+def test_frames_of_other_writers_are_decoded():
+    """A picture with all coefficients, other quantisers and other codes: decoded as the inverse transform says."""
+    import struct
+
+    import numpy as np
+
+    rng = np.random.default_rng(2)
+    quant = rng.integers(1, 9, 64)
+    coef = np.where(rng.random((6, 64)) < 0.3, rng.integers(-5, 6, (6, 64)), 0)
+    coef[:, 0] = rng.integers(-40, 40, 6)
+    symbols = [0, 0xF0, *(r << 4 | s for r in range(16) for s in range(1, 4))]
+    dc_code, ac_code = {s: (4, i) for i, s in enumerate(range(12))}, {s: (7, i) for i, s in enumerate(symbols)}
+    bits, last = [], 0
+    put = lambda n, v: bits.extend(int(b) for b in f"{v:0{n}b}") if n else None
+
+    def number(v):
+        n = abs(int(v)).bit_length()
+        return n, int(v) if v >= 0 else int(v) + (1 << n) - 1
+
+    for block in coef:
+        n, v = number(block[0] - last)
+        last = block[0]
+        put(*dc_code[n])
+        put(n, v)
+        run = 0
+        for x in block[1:]:
+            if not x:
+                run += 1
+                continue
+            while run > 15:
+                put(*ac_code[0xF0])
+                run -= 16
+            n, v = number(x)
+            put(*ac_code[run << 4 | n])
+            put(n, v)
+            run = 0
+        if run:
+            put(*ac_code[0])
+    bits += [1] * (-len(bits) % 8)
+    scan = np.packbits(np.array(bits, np.uint8)).tobytes().replace(b"\xff", b"\xff\x00")
+    seg = lambda m, b: struct.pack(">BBH", 0xFF, m, len(b) + 2) + b
+    count = lambda codes: bytes(sum(n == k for n, _ in codes.values()) for k in range(1, 17))
+    tables = b"\x00" + count(dc_code) + bytes(dc_code) + b"\x10" + count(ac_code) + bytes(ac_code)
+    data = b"\xff\xd8" + seg(0xE0, b"JFIF") + seg(0xDB, b"\x00" + bytes(quant.tolist())) + seg(0xC0, struct.pack(">BHHB", 8, 15, 24, 1) + bytes([1, 0x11, 0])) + seg(0xC4, tables) + seg(0xDA, bytes([1, 1, 0, 0, 63, 0])) + scan + b"\xff\xd9"
+    got = media.decode_jpeg(data)
+    assert got.shape == (15, 24)
+    order = sorted(((i, j) for i in range(8) for j in range(8)), key=lambda q: (sum(q), q[0] if sum(q) % 2 else q[1]))
+    for k, block in enumerate(coef):
+        for x in range(8):
+            for y in range(8):
+                if k // 3 * 8 + x >= 15:
+                    continue
+                v = sum(block[n] * quant[n] * (0.5**0.5 if a == 0 else 1) * (0.5**0.5 if b == 0 else 1) / 4 * np.cos((2 * x + 1) * a * np.pi / 16) * np.cos((2 * y + 1) * b * np.pi / 16) for n, (a, b) in enumerate(order))
+                assert abs(int(got[k // 3 * 8 + x, k % 3 * 8 + y]) - min(255, max(0, v + 128))) <= 0.51
+    own = rng.integers(0, 256, (1, media.FRAME)).astype(np.uint8)
+    flat = media.decode_jpeg(media.encode_frames(own)[0])
+    assert (flat[::8, ::8].ravel() == own[0]).all() and (media.decode_frames(media.encode_frames(own)) == own).all()
+    assert media.decode_frames([data, data]).shape == (2, 360)
+    with pytest.raises(ValueError):
+        media.decode_jpeg(data[: len(data) - 40] + b"\xff\xd9")
+
+
 def test_shots_find_scene_changes():
     import numpy as np
 
@@ -338,13 +416,62 @@ def test_surrogates(spark):
     assert s.surrogate("Иван Петров", "name", "m").istitle()
 
 
-def test_clashing_surrogates_get_another_attempt(spark, monkeypatch):
+def test_clashing_words_get_another_attempt(spark, monkeypatch):
+    from sketchinit.llm import surrogates as s
+
+    found = spark.createDataFrame([("name", "f", f"Anna F{chr(97 + i // 26)}{chr(97 + i % 26)}") for i in range(400)], "kind string, gender string, entity string")
+    monkeypatch.setitem(s.LEAST, "family", 2)  # 1600 words for 400 names: many clash
+    w = s.checked(found)
+    made = {w.word("family", "latin", f"f{chr(97 + i // 26)}{chr(97 + i % 26)}", s.KEY) for i in range(400)}
+    assert len(made) == 400 and w.again
+    monkeypatch.setattr(s, "MAX_RETRIED", 3)
+    longer = s.checked(found, most=3)
+    assert longer.length["family", "latin"] > 2
+
+
+def test_permutation_has_no_fixed_point():
+    from sketchinit.llm import surrogates as s
+
+    for size in (2, 10, 97):
+        got = [s.moved(x, size, b"k", "t") for x in range(size)]
+        assert sorted(got) == list(range(size)) and all(x != y for x, y in enumerate(got))
+        assert all(s.permuted(s.permuted(x, size, b"k", "t"), size, b"k", "t", back=True) == x for x in range(size))
+    cards = [c for c in (f"4{i:014d}{d}" for i in range(60) for d in range(10)) if s.luhn(c)]
+    assert len({s.surrogate(c, "card") for c in cards}) == len(cards) == 60
+
+
+def test_surrogates_over_a_corpus_are_distinct_and_agree(spark):
+    """Against a dictionary of all entities: one surrogate for each, no two alike, whatever the form of address."""
     from sketchinit.llm import surrogates as s
 
-    monkeypatch.setattr(s, "surrogate", lambda e, k, g="", a=0, key=b"", length=5: f"same{a}" if e in ("u", "v") and a < 1 else f"{e}-{a}")
-    found = spark.createDataFrame([("email", "", e) for e in ("u", "v", "w")], "kind string, gender string, entity string")
-    retried, _ = s.attempts(found)
-    assert list(retried.values()) == [1] and len(retried) == 1
+    rng = random.Random(8)
+    given, family = ["Anna", "Boris", "Clara", "Иван", "Ольга"], [f"{a}{b}er" for a in ("Schmidt", "Weber", "Klein") for b in "abcdefgh"]
+    texts = []
+    for i in range(300):
+        g, f = rng.choice(given), rng.choice(family)
+        texts.append(f"{rng.choice(['Mrs', 'Dr', 'Prof'])} {g} {f} wrote to {g.lower() if g.isascii() else 'x'}.{i % 40}@host{i % 7}.org, then {rng.choice(['Mrs', 'Dr'])} {f} called +1 (555) 010-{i % 90:04d} from 10.0.{i % 5}.{i % 11}; SSN {100 + i % 30}-20-3000.")
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(5)
+    seen: dict[tuple[str, str], set[str]] = {}
+    for r in s.replace(df).collect():
+        old = [(k, texts[r.doc_id][a:b]) for a, b, k, _ in s.find(texts[r.doc_id])]
+        new = [r.text[e.start : e.end] for e in r.entities]
+        assert len(old) == len(new) == r.n_entities == 6
+        for o, n in zip(old, new):
+            seen.setdefault(o, set()).add(n)
+        assert new[0].split()[1] == new[2]  # the surname of the full name
+    assert all(len(v) == 1 for v in seen.values())
+    assert len({(k, *v) for (k, _), v in seen.items()}) == len(seen) and all(o not in v for (_, o), v in seen.items())
+
+
+def test_many_entities_of_one_text():
+    import time
+
+    from sketchinit.llm import secrets, surrogates as s
+
+    t = time.time()
+    assert len(s.find("a@b.cc " * 60_000)) == 60_000
+    assert len(secrets.find("token=abcdef123 x9Kq2Lm8Zr4Tv6Wp1Yb3Nd " * 20_000)) > 20_000
+    assert time.time() - t < 60
 
 
 def test_cotraining_uses_the_other_view():
@@ -368,6 +495,61 @@ def test_quality(spark, sf_dir, docs):
     assert len(rows) == len(docs) and all(0 <= r.score <= 1 for r in rows)
 
 
+def test_quality_against_a_whole_cotraining_in_memory(spark, sf_dir, docs, tmp_path):
+    """All views, rounds, exchanged labels, calibration and the combination, written out once more without Spark."""
+    import numpy as np
+
+    from sketchinit.llm import cotrain as c
+
+    half = lambda v: v.astype(np.float16).astype(np.float32)
+    view = {d["doc_id"]: (half(c.text_view(d["text"])), half(c.meta_view(d["text"], d["source"], d["lang"]))) for d in docs}
+    told = {d["doc_id"]: int("the" in (d["text"] or "")) for d in docs if d["doc_id"] % 2 == 0}
+    spark.read.parquet(f"{sf_dir}/documents.parquet").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(i, q, 0) for i, q in told.items()], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    labelled, free = sorted(told), sorted(set(view) - set(told))
+    y = np.array([told[i] for i in labelled])
+    aside = np.arange(len(y)) % 4 == 3
+    if len(set(y[aside].tolist())) < 2:
+        aside[:] = False
+    teach = [[(view[i][v], 2.0 * t - 1) for i, t, a in zip(labelled, y, aside) if not a] for v in (0, 1)]
+    learn = lambda v: c.fit_bits(np.stack([x for x, _ in teach[v]]), np.array([[t] for _, t in teach[v]], np.float32))
+    p = lambda i, v: float(1 / (1 + np.exp(-np.clip(view[i][v] @ w[v][:-1, 0] + w[v][-1, 0], -30, 30))))
+    w, share, prior = [learn(0), learn(1)], max(1, int(c.SHARE * len(free) / 2)), float(y.mean())
+    for _ in range(c.ROUNDS):
+        if not free:
+            break
+        for mine in (0, 1):
+            order = sorted(free, key=lambda i: -p(i, mine))
+            good = [i for i in order[: int(share * 2 * prior) + 1] if p(i, mine) > 0.9]
+            order = sorted(free, key=lambda i: p(i, mine))
+            bad = [i for i in order[: int(share * 2 * (1 - prior)) + 1] if p(i, mine) < 0.1]
+            teach[1 - mine] += [(view[i][1 - mine], 1.0) for i in good] + [(view[i][1 - mine], -1.0) for i in bad]
+            free = [i for i in free if i not in good and i not in bad]
+        w = [learn(0), learn(1)]
+    held = aside if aside.any() else np.ones(len(y), bool)
+    curve = [c.calibrate(np.array([view[i][v] @ w[v][:-1, 0] + w[v][-1, 0] for i, h in zip(labelled, held) if h]), y[held]) for v in (0, 1)]
+    assert 0 < prior < 1
+    for r in queries.op2_quality(spark, str(tmp_path)).collect():
+        d = next(d for d in docs if d["doc_id"] == r.doc_id)
+        full = (c.text_view(d["text"]), c.meta_view(d["text"], d["source"], d["lang"]))
+        odds = [a * float(full[v] @ w[v][:-1, 0] + w[v][-1, 0]) + b for v, (a, b) in enumerate(curve)]
+        want = 1 / (1 + np.exp(-np.clip(sum(odds) - np.log(prior / (1 - prior)), -30, 30)))
+        assert r.score == pytest.approx(want, abs=2e-3)
+
+
+def test_pool_and_labels_do_not_share_rows(spark, sf_dir, docs):
+    from sketchinit.llm import cotrain as c
+
+    seen = {}
+    df, labels = spark.read.parquet(f"{sf_dir}/documents.parquet"), spark.read.parquet(f"{sf_dir}/labels.parquet")
+    with pytest.MonkeyPatch.context() as m:
+        m.setattr(c, "cotrain", lambda views, y, pool: seen.update(n=len(y), pool=len(pool[0])) or {"prior": 0.5, "w": None})
+        c.fit(df, labels)
+        assert seen == {"n": labels.count(), "pool": len(docs) - labels.count()}
+        c.fit(df, labels, labelled=5, pool=7)
+        assert seen == {"n": 5, "pool": 7}
+
+
 def test_pipeline(spark, sf_dir, docs):
     import corpus_pipeline
 
