@@ -20,12 +20,12 @@ QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
 
 #: Budgets of the registered tables; the functions take any others (the published settings are d=128, 80 walks of 40, window 10, 10 runs).
-DIM, WALKS, SEEDS = 32, {"r": 10, "length": 10, "window": 5}, (1, 2)
+DIM, WALKS, SEEDS = 16, {"r": 8, "length": 10, "window": 4}, (1,)
 RATE = 0.05
-OPTIONS = {"uniform-walk": {**WALKS, "rate": RATE}, "biased-walk": {**WALKS, "p": 0.5, "q": 2.0, "rate": RATE}, "edge-proximity": {"rounds": 30, "rate": RATE}}
+OPTIONS = {"uniform-walk": {**WALKS, "rate": RATE}, "biased-walk": {**WALKS, "p": 0.5, "q": 2.0, "rate": RATE}, "edge-proximity": {"rounds": 8, "rate": RATE}}
 LINK_GRAPHS, CLASS_GRAPHS = ("wordadj", "docshare", "trade", "copurchase"), ("wordadj", "docshare")
 RESULT = "workload string, dataset string, target string, init string, measure string, value double, stderr double, runs int"
-JOBS = 6  # jobs of an experiment that run side by side
+JOBS = 8  # jobs of an experiment that run side by side
 
 Row = tuple[str, str, str, str, str, float, float, int]
 
