@@ -123,10 +123,13 @@ def _matched(spark: SparkSession, sf: str) -> DataFrame:
     return s.pos.withColumn("y", F.lit(1)).unionAll(s.neg.withColumn("y", F.lit(0)))
 
 
-@query("negatives_degrees", with_sql("pagenav", _HOLD, _REACH, f"ps AS ({_inside_sql('hs')})") + "SELECT node, CAST(count(*) AS BIGINT) AS positives, CAST(count(*) AS BIGINT) AS negatives FROM (SELECT src AS node FROM ps UNION ALL SELECT dst FROM ps) GROUP BY 1")
+_ONE = "ra AS (SELECT src, dst FROM er UNION ALL SELECT dst, src FROM er), bg AS (SELECT min(src) AS node FROM ra UNION SELECT ra.dst FROM bg JOIN ra ON ra.src = bg.node)"  # the component of the smallest node, where it is the largest
+
+
+@query("negatives_degrees", with_sql("copurchase", _HOLD, _ONE, f"ps AS ({_inside_sql('hs')})") + "SELECT node, CAST(count(*) AS BIGINT) AS positives, CAST(count(*) AS BIGINT) AS negatives FROM (SELECT src AS node FROM ps UNION ALL SELECT dst FROM ps) GROUP BY 1")
 def _matched_degrees(spark: SparkSession, sf: str) -> DataFrame:
     """Every node has as many negatives as positives."""
-    s = linkpred.split(edges(spark, sf, "pagenav"))
+    s = linkpred.split(edges(spark, sf, "copurchase"))
     return linkpred.negative_degrees(s.pos, s.neg)
 
 
