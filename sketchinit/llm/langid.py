@@ -21,6 +21,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window, functions as F
+from .memory import tidy
 
 SAMPLE_ROWS = 4000
 BUCKETS = 4096
@@ -138,6 +139,7 @@ def predict(docs: DataFrame, model: dict, text_col: str = "text", prefix: str =
     # a fixed size: BUCKETS rows by the code's length
     share = docs.sparkSession.sparkContext.broadcast(model)
 
+    @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = share.value
         for b in batches:

@@ -29,6 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window, functions as F
 
 from ..plans.storage import stash
+from .memory import tidy
 
 CAPACITY = 2048
 GRAIN = 8
@@ -90,6 +91,7 @@ def tokenized_pieces(docs: DataFrame, tokenizer_path: str, capacity: int = CAPAC
     spec = open(tokenizer_path, encoding="utf-8").read()  # noqa: SIM115
     share = docs.sparkSession.sparkContext.broadcast(spec)
 
+    @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cache = _cache_of(share)
         for b in batches:

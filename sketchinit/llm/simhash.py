@@ -27,6 +27,7 @@ from pyspark.sql import Column, DataFrame, functions as F
 
 from ..operators.components import connected
 from ..plans.storage import drop_stash, stash
+from .memory import release, tidy
 
 SMALL = 64  # fingerprints of a bucket whose pairs are all told
 BLOCK = 4096  # fingerprints of one candidate bucket that one task compares at a time
@@ -56,6 +57,7 @@ def fingerprint(text: str | None, words_per_shingle: int = 3, seed: int = 42) ->
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 3) -> DataFrame:
     """(doc_id, fp): fp is the fingerprint as a signed long."""
 
+    @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             fp = np.array([fingerprint(t, words) for t in b.column(1).to_pylist()], np.uint64).astype(np.int64)
@@ -170,6 +172,7 @@ def links(fps: DataFrame, tau: int = 3, segments: int = 4, chain: int = 2) -> Da
     tasks = tasks.select("k", "v", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "fp")
     dealt = tasks.repartition("k", "v", "i", "j").sortWithinPartitions("k", "v", "i", "j", "own", "fp")
 
+    @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def pairs(t: pa.Table) -> Iterator[pa.RecordBatch]:
             col = [t.column(c).to_numpy() for c in range(6)]
@@ -276,6 +279,7 @@ def text_key(text: Column) -> Column:
 def common_shingles(texts: DataFrame, words: int) -> tuple[np.ndarray, np.ndarray]:
     """(shingles, ranks): those that several texts of a sample hold, sorted by hash. They only set an order, so a poor sample costs time, not links."""
 
+    @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for t in b.column(0).to_pylist():
@@ -346,6 +350,7 @@ def postings(texts: DataFrame, words: int, similarity: float) -> tuple[DataFrame
         packed = [h[r].astype("<i8").tobytes() + node[r].astype("<i8").tobytes() + n[r].astype("<i4").tobytes() + mark[r].astype("<i4").tobytes() for r in rows]
         yield _posting_batch(2, bucket=pa.array(to[[r[0] for r in rows]]), packed=pa.array(packed, pa.binary()))
 
+    @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kept: dict[int, tuple[int, np.ndarray]] = {}
         held = 0
@@ -387,6 +392,7 @@ def postings(texts: DataFrame, words: int, similarity: float) -> tuple[DataFrame
             keep &= np.r_[True, (hs[1:] != hs[:-1]) | (ns[1:] != ns[:-1]) | told[:-1]]
             r = order[keep]
             out.append(pa.Table.from_batches([_posting_batch(1, h=pa.array(h[r]), node=pa.array(node[r]), n=pa.array(n[r]), pos=pa.array(pos[r]))]))
+        release()
         return pa.concat_tables([x.select(out[0].column_names).cast(out[0].schema) for x in out])
 
     sent = texts.select("doc_id", "node", "text").mapInArrow(run, _POSTING)
@@ -405,6 +411,7 @@ def crossed(rows: DataFrame, similarity: float) -> DataFrame:
     dealt = dealt.select("h", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "comp", "node", "n", "pos")
     dealt = dealt.repartition("h", "i", "j").sortWithinPartitions("h", "i", "j", "own")
 
+    @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def pairs(t: pa.Table) -> Iterator[pa.RecordBatch]:
             h, i, j, own, comp, node, n, pos = (t.column(c).to_numpy() for c in range(8))
@@ -461,6 +468,7 @@ def crossed(rows: DataFrame, similarity: float) -> DataFrame:
 def plausible(pairs: DataFrame, maps: DataFrame, similarity: float) -> DataFrame:
     """The pairs (src, dst) whose parity bitmaps allow the similarity; maps(node, n, bits). It drops no similar pair, and whole shingle sets move for the others only."""
 
+    @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             x, y, n, m = (b.column(c).to_pylist() for c in range(2, 6))
@@ -481,6 +489,7 @@ def verified(pairs: DataFrame, reps: DataFrame, texts: DataFrame, words: int, si
     ends = pairs.select(F.col("src").alias("node")).unionAll(pairs.select("dst")).distinct().join(reps, "node")
     ends = stash(ends, "ends")  # its size is known then, so texts do not move where it is small
 
+    @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             sets = [shingle_set(t, words).astype("<i8").tobytes() for t in b.column(1).to_pylist()]
@@ -490,6 +499,7 @@ def verified(pairs: DataFrame, reps: DataFrame, texts: DataFrame, words: int, si
     sets = stash(read.mapInArrow(run, "node long, shingles binary"), "shingles").dropDuplicates(["node"])
     both = pairs.join(sets.select(F.col("node").alias("src"), F.col("shingles").alias("x")), "src").join(sets.select(F.col("node").alias("dst"), F.col("shingles").alias("y")), "dst")
 
+    @tidy
     def check(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             ok = []
