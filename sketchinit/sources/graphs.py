@@ -12,7 +12,7 @@ import math
 from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
 from ..functions.rng import key_id, key_id_sql, u01, u01_sql
-from .tables import table
+from .tables import spread, table
 
 WORD = r"^\p{L}+$"
 
@@ -67,7 +67,7 @@ MIN_COUNT = 5  # times that two words must stand side by side
 
 def word_pairs(spark: SparkSession, sf_dir: str, *by: str) -> DataFrame:
     """(a, b, *by, n): how often two letter-only words stand side by side in the whole texts, a < b. Pairs are counted before they are looked at."""
-    d = table(spark, sf_dir, "documents").select(*by, F.split(F.lower("text"), " ").alias("w"))
+    d = spread(table(spark, sf_dir, "documents").select(*by, "text")).select(*by, F.split(F.lower("text"), " ").alias("w"))
     pair = F.zip_with(F.slice("w", 1, F.greatest(F.size("w") - 1, F.lit(0))), F.slice("w", 2, F.greatest(F.size("w") - 1, F.lit(1))), lambda x, y: F.struct(F.least(x, y).alias("a"), F.greatest(x, y).alias("b")))
     n = d.select(*by, F.explode(pair).alias("p")).groupBy("p.a", "p.b", *by).agg(F.count("*").alias("n"))
     return n.where((F.col("a") != F.col("b")) & F.col("a").rlike(WORD) & F.col("b").rlike(WORD))
@@ -104,7 +104,7 @@ def pairs_within(postings: DataFrame, key: str, member: str) -> DataFrame:
 
 def docshare(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Documents that share 5 consecutive tokens anywhere in their texts."""
-    d = table(spark, sf_dir, "documents").select("doc_id", F.split(F.lower("text"), " ").alias("w"))
+    d = spread(table(spark, sf_dir, "documents").select("doc_id", "text")).select("doc_id", F.split(F.lower("text"), " ").alias("w"))
     each = F.transform(F.sequence(F.lit(0), F.size("w") - 5), lambda i: F.md5(F.array_join(F.slice("w", i + 1, 5), " ").cast("binary")))
     s = d.where(F.size("w") >= 5).select("doc_id", F.explode(F.array_distinct(each)).alias("h")).distinct()
     p = pairs_within(s, "h", "doc_id")

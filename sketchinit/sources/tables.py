@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import json
+import re
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
@@ -14,6 +15,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def spread(df: DataFrame) -> DataFrame:
+    """df over all cores where its files give fewer parts than there are cores; large tables come split already and do not move."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(2 * cores) if df.rdd.getNumPartitions() < cores else df
+
+
 def views(spark: SparkSession, sf_dir: str, *names: str) -> None:
     for n in names:
         table(spark, sf_dir, n).createOrReplaceTempView(n)
@@ -30,8 +37,18 @@ def edges_json(spark: SparkSession, path: str) -> DataFrame:
 
 def edges_text(spark: SparkSession, path: str) -> DataFrame:
     """White-space separated pairs, comments behind # or %; whatever does not parse is dropped."""
-    part = F.regexp_extract_all(F.regexp_replace("value", "[#%].*", ""), F.lit(r"(\d+)"), 1)
-    return spark.read.text(path).select(F.try_element_at(part, F.lit(1)).cast("long").alias("src"), F.try_element_at(part, F.lit(2)).cast("long").alias("dst")).where("src is not null and dst is not null")
+    part = F.split(F.btrim(F.regexp_replace("value", "[#%].*", "")), r"\s+")
+    whole = lambda i: F.when(F.get(part, i).rlike(r"^[+-]?\d{1,19}$"), F.get(part, i).try_cast("long"))
+    return spark.read.text(path).select(whole(0).alias("src"), whole(1).alias("dst")).where("src is not null and dst is not null")
+
+
+def parse_edge(line: str) -> tuple[int, int] | None:
+    """The first two fields of a line as ids; None where they are not whole numbers of 64 bits. The same rule as edges_text()."""
+    p = re.sub("[#%].*", "", line).split()
+    if len(p) < 2 or not all(re.fullmatch(r"[+-]?[0-9]{1,19}", x) for x in p[:2]):
+        return None
+    a, b = int(p[0]), int(p[1])
+    return (a, b) if all(-(1 << 63) <= x < 1 << 63 for x in (a, b)) else None
 
 
 def edges_of(spark: SparkSession, pairs: list[tuple[int, int]]) -> DataFrame:
@@ -77,9 +94,9 @@ class _EdgeReader(DataSourceReader):
                 line = f.readline()
                 if not line:
                     break
-                p = line.split(b"#")[0].split()
-                if len(p) >= 2:
-                    yield int(p[0]), int(p[1])
+                edge = parse_edge(line.decode("utf-8", "replace"))
+                if edge:
+                    yield edge
 
 
 def write_embeddings(emb: DataFrame, path: str, kind: str = "parquet", by: str | None = None) -> None:
