@@ -385,9 +385,11 @@ def test_every_block_count_trains_both_kinds_of_tables(spark):
     for tie in (False, True):
         for blocks in (1, 4):
             x = {r.node: np.array(r.vec) for r in sgns.fit(target.edge_samples(g.edges, 40), g.nodes, 8, epochs=2, rate=0.1, tie=tie, blocks=blocks).collect()}
+            middle = np.mean(list(x.values()), axis=0)  # negatives give all vectors one common part
+            x = {k: v - middle for k, v in x.items()}
             cos = lambda a, b: float(x[a] @ x[b] / np.linalg.norm(x[a]) / np.linalg.norm(x[b]))
             same, other = ([cos(a, b) for a in range(12) for b in range(*r) if a != b] for r in ((0, 12), (12, 24)))
-            assert len(x) == 24 and np.mean(same) > np.mean(other) + 0.05, (tie, blocks)
+            assert len(x) == 24 and np.mean(same) > np.mean(other) + 0.1, (tie, blocks)
 
 
 def test_parts_without_a_task_for_the_coarse_graph(spark):
