@@ -189,7 +189,7 @@ def _times(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame(time_rows(graphs, SEEDS[:1]), RESULT)
 
 
-def loss_rows(gr: Graph, dataset: str, d: int = DIM, epochs: int = 4, seed: int = 1, options: dict = OPTIONS["uniform-walk"]) -> list[Row]:
+def loss_rows(gr: Graph, dataset: str, d: int = DIM, epochs: int = 2, seed: int = 1, options: dict = OPTIONS["uniform-walk"]) -> list[Row]:
     """End-to-end seconds (start and training) until the loss that the random start reaches after `epochs`, for each start; -1 where it is not reached."""
     pairs = stash(target.walk_pairs(gr, options["r"], options["length"], options["window"], seed), "pairs")
     rows: list[Row] = []
