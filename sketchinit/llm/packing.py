@@ -34,7 +34,8 @@ from .memory import tidy
 CAPACITY = 2048
 GRAIN = 8
 END_ID = 1
-CACHE_WORDS = 600_000  # bound of one worker's word cache
+CACHE_WORDS = 200_000  # bound of one worker's word cache
+BATCH_IDS = 1 << 20  # ids after which a batch of pieces is handed on
 RANKED_ROWS = 50_000  # rows of one sub-group that is ranked in one task
 
 _PLAIN = re.compile(r"[\t\n\r -~À-ÖØ-öø-ÿ]*")
@@ -49,11 +50,11 @@ class WordCache:
     encoded together, one call a batch.
     """
 
-    def __init__(self, path: str) -> None:
+    def __init__(self, path: str | None = None, spec: str | None = None) -> None:
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
-        self.tok = Tokenizer.from_file(path)
+        self.tok = Tokenizer.from_str(spec) if spec else Tokenizer.from_file(path)
         self.ids: dict[str, bytes] = {}
 
     def _learn(self, words: list[str]) -> None:
@@ -94,9 +95,15 @@ def tokenized_pieces(docs: DataFrame, tokenizer_path: str, capacity: int = CAPAC
     @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cache = _cache_of(share)
+        types = [pa.int64()] * 4 + [pa.int64() if payload == "crc32" else pa.list_(pa.int32())]
+
+        def batch(out: list[list]) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(o, t) for o, t in zip(out, types)], names=["doc_id", "start", "length", "doc_tokens", kind.split()[0]])
+
+        out: list[list] = [[], [], [], [], []]
+        held = 0
         for b in batches:
             keys, texts = b.column(0).cast(pa.int64()).to_pylist(), b.column(1)
-            out: list[list] = [[], [], [], [], []]
             for key, text in zip(keys, texts):
                 raw = cache.encode(text.as_py() or "") + END_ID.to_bytes(4, "little")
                 n = len(raw) // 4
@@ -104,8 +111,12 @@ def tokenized_pieces(docs: DataFrame, tokenizer_path: str, capacity: int = CAPAC
                     part = raw[4 * start : 4 * (start + capacity)]
                     for o, v in zip(out, (key, start, len(part) // 4, n, zlib.crc32(part) if payload == "crc32" else np.frombuffer(part, "<i4"))):
                         o.append(v)
-            types = [pa.int64()] * 4 + [pa.int64() if payload == "crc32" else pa.list_(pa.int32())]
-            yield pa.RecordBatch.from_arrays([pa.array(o, t) for o, t in zip(out, types)], names=["doc_id", "start", "length", "doc_tokens", kind.split()[0]])
+                held += n
+                if held >= BATCH_IDS:
+                    yield batch(out)
+                    out, held = [[], [], [], [], []], 0
+        if out[0]:
+            yield batch(out)
 
     return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, f"doc_id long, start long, length long, doc_tokens long, {kind}")
 
@@ -118,12 +129,7 @@ def _cache_of(share) -> WordCache:  # noqa: ANN001
     spec = share.value
     key = zlib.crc32(spec.encode())
     if key not in _caches:
-        import tempfile
-
-        with tempfile.NamedTemporaryFile("w", suffix=".json", encoding="utf-8") as f:
-            f.write(spec)
-            f.flush()
-            _caches[key] = WordCache(f.name)
+        _caches[key] = WordCache(spec=spec)
     return _caches[key]
 
 
