@@ -32,6 +32,7 @@ from .memory import release, tidy
 SMALL = 64  # fingerprints of a bucket whose pairs are all told
 BLOCK = 4096  # fingerprints of one candidate bucket that one task compares at a time
 BUCKET_ENTRIES, HELD = 500_000, 200_000  # prefix shingles of one bucket, and those that a task packs together
+MARK = 1024  # least bits of a bitmap, a power of two; what rows of a bucket carry
 SAMPLE, RANKED = 10_000, 50_000  # texts read for the order of shingles, and shingles whose rank is sent to the tasks
 
 
@@ -250,15 +251,20 @@ def shingle_set(text: str | None, words: int) -> np.ndarray:
 
 
 def parity(shingles: np.ndarray) -> bytes:
-    """A bitmap of about one bit a shingle, each bit the parity of the shingles that fall on it.
+    """A bitmap of MARK bits or about one bit a shingle, if more, each bit the parity of the shingles that fall on it.
 
     Two bitmaps differ in no more bits than the two sets differ in shingles. Sizes are powers of two: a larger bitmap folds to a smaller one.
     """
-    size = 1 << max(6, (len(shingles) - 1).bit_length())
+    size = max(MARK, 1 << (len(shingles) - 1).bit_length())
     odd = np.bincount((shingles & (size - 1)).astype(np.int64), minlength=size) & 1
     return np.packbits(odd.astype(np.uint8), bitorder="little").tobytes()
 
 
+def folded(bits: bytes) -> bytes:
+    """The bitmap folded to MARK bits: rows of one width, to be compared many at a time."""
+    return np.bitwise_xor.reduce(np.frombuffer(bits, np.uint64).reshape(-1, MARK // 64), axis=0).tobytes()
+
+
 def may_reach(x: bytes, y: bytes, n: int, m: int, similarity: float) -> bool:
     """False only where sets of n and m shingles with these bitmaps cannot have so high a Jaccard similarity."""
     a, b = (x, y) if len(x) >= len(y) else (y, x)
@@ -297,7 +303,7 @@ _POSTING = "kind int, bucket long, doc_id long, node long, n int, bits binary, h
 
 
 def _posting_batch(kind: int, **cols: pa.Array) -> pa.RecordBatch:
-    """Rows of one kind: 0 a text, 1 a shingle that several texts share, 2 packed shingles of a bucket."""
+    """Rows of one kind: 0 a text, with its folded bitmap, 1 a shingle that several texts share, 2 packed shingles of a bucket."""
     size = len(next(iter(cols.values())))
     types = {"kind": pa.int32(), "bucket": pa.int64(), "doc_id": pa.int64(), "node": pa.int64(), "n": pa.int32(), "bits": pa.binary(), "h": pa.int64(), "pos": pa.int32(), "packed": pa.binary()}
     cols["kind"] = pa.array(np.full(size, kind, np.int32))
@@ -305,7 +311,7 @@ def _posting_batch(kind: int, **cols: pa.Array) -> pa.RecordBatch:
 
 
 def postings(texts: DataFrame, words: int, similarity: float) -> tuple[DataFrame, DataFrame]:
-    """(doc_id, node, n, bits) of each text, and (h, node, n, pos) of the prefix shingles that texts of several nodes share.
+    """(doc_id, node, n, bits, mark) of each text, and (h, node, n, pos) of the prefix shingles that texts of several nodes share.
 
     texts(doc_id, node, text). Shingles stand in one order for all texts,
     common ones last. A text with n shingles shares at least similarity * n
@@ -368,7 +374,7 @@ def postings(texts: DataFrame, words: int, similarity: float) -> tuple[DataFrame
                     kept, held = {}, 0
             node = b.column(1)
             bucket = (node.to_numpy().view(np.uint64) % np.uint64(buckets)).astype(np.int64)
-            yield _posting_batch(0, bucket=pa.array(bucket), doc_id=b.column(0), node=node, n=pa.array(sizes, pa.int32()), bits=pa.array(maps, pa.binary()))
+            yield _posting_batch(0, bucket=pa.array(bucket), doc_id=b.column(0), node=node, n=pa.array(sizes, pa.int32()), bits=pa.array(maps, pa.binary()), packed=pa.array(map(folded, maps), pa.binary()))
         if kept:
             yield from dealt(kept)
 
@@ -397,18 +403,30 @@ def postings(texts: DataFrame, words: int, similarity: float) -> tuple[DataFrame
 
     sent = texts.select("doc_id", "node", "text").mapInArrow(run, _POSTING)
     met = stash(sent.groupBy("bucket").applyInArrow(meet, _POSTING), "postings")
-    return met.where("kind = 0").select("doc_id", "node", "n", "bits"), met.where("kind = 1").select("h", "node", "n", "pos")
+    return met.where("kind = 0").select("doc_id", "node", "n", "bits", F.col("packed").alias("mark")), met.where("kind = 1").select("h", "node", "n", "pos")
+
+
+def spokes(rows: DataFrame, similarity: float) -> DataFrame:
+    """Pairs (src, dst) of each row's node with its bucket's head, rows(node, n, low); one row a bucket member at most."""
+    fit = F.least("n", "low.n") >= similarity * F.greatest("n", "low.n") - 1e-9
+    return rows.where((F.col("node") != F.col("low.node")) & fit).select(F.least("node", "low.node").alias("src"), F.greatest("node", "low.node").alias("dst")).distinct()
+
+
+def undecided(rows: DataFrame) -> DataFrame:
+    """The rows of buckets h that hold nodes of several components."""
+    size = rows.groupBy("h").agg(F.min("comp").alias("low"), F.max("comp").alias("high")).where("low < high").select("h")
+    return rows.join(size, "h")
 
 
 def crossed(rows: DataFrame, similarity: float) -> DataFrame:
-    """Pairs (src, dst) of rows(h, comp, node, n, pos) that share h, are of different comp and may reach the similarity.
+    """Pairs (src, dst) of rows(h, comp, node, n, pos, mark) that share h, are of different comp and may reach the similarity; a pair may come once for each h.
 
     Buckets of over BLOCK rows are compared in pairs of blocks in separate tasks, so none is cut short.
     """
     size = rows.groupBy("h").agg(F.count("*").alias("m"), F.min("comp").alias("low"), F.max("comp").alias("high")).where("low < high").select("h", "m")
     shared = rows.join(size, "h").withColumn("blocks", F.ceil(F.col("m") / BLOCK).cast("int"))
     dealt = shared.withColumn("own", F.pmod(F.xxhash64(F.lit(7), "node"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    dealt = dealt.select("h", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "comp", "node", "n", "pos")
+    dealt = dealt.select("h", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "comp", "node", "n", "pos", "mark")
     dealt = dealt.repartition("h", "i", "j").sortWithinPartitions("h", "i", "j", "own")
 
     @tidy
@@ -416,13 +434,19 @@ def crossed(rows: DataFrame, similarity: float) -> DataFrame:
         def pairs(t: pa.Table) -> Iterator[pa.RecordBatch]:
             h, i, j, own, comp, node, n, pos = (t.column(c).to_numpy() for c in range(8))
             left = n - pos  # with h the first shared shingle, no more than so many are shared
+            mark = np.frombuffer(b"".join(t.column(8).to_pylist()), np.uint64).reshape(-1, MARK // 64)
 
             def told(a: np.ndarray, b: np.ndarray) -> Iterator[pa.RecordBatch]:
                 big, small = np.maximum(n[a], n[b]), np.minimum(n[a], n[b])
                 need = similarity / (1 + similarity) * (big.astype(np.int64) + small)
                 ok = (comp[a] != comp[b]) & (small >= similarity * big - 1e-9) & (np.minimum(left[a], left[b]) >= need - 1e-6)
-                if ok.any():
-                    x, y = node[a[ok]], node[b[ok]]
+                a, b, need = a[ok], b[ok], need[ok]
+                if len(a):
+                    apart = np.bitwise_count(mark[a] ^ mark[b]).sum(axis=1, dtype=np.int64)
+                    near = apart <= (1 - similarity) / similarity * need + 1e-6
+                    a, b = a[near], b[near]
+                if len(a):
+                    x, y = node[a], node[b]
                     yield pa.RecordBatch.from_arrays([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y))], names=["src", "dst"])
 
             starts = np.flatnonzero(np.r_[True, (h[1:] != h[:-1]) | (i[1:] != i[:-1]) | (j[1:] != j[:-1])])
@@ -462,7 +486,7 @@ def crossed(rows: DataFrame, similarity: float) -> DataFrame:
         if held is not None and held.num_rows:
             yield from pairs(held)
 
-    return dealt.mapInArrow(run, "src long, dst long").distinct()
+    return dealt.mapInArrow(run, "src long, dst long")
 
 
 def plausible(pairs: DataFrame, maps: DataFrame, similarity: float) -> DataFrame:
@@ -519,26 +543,36 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words
     Groups are the components of all pairs of texts whose `words`-word
     shingles reach `similarity`. The search is exact: similar texts share a
     shingle of their prefixes. First each text is compared with one of each
-    bucket it is in, then with all of its buckets that are not in its group
-    already. Equal texts are one node. Rows with a null id stay; rows of one
+    bucket it is in, twice, then with all of its buckets that are not in its
+    group already. Equal texts are one node. Rows with a null id stay; rows of one
     id with different texts are told apart.
     """
     keyed = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_key(F.col(text_col)).alias("node"), F.col(text_col).alias("text")).where("doc_id is not null")
     texts, rows = postings(keyed, words, similarity)
     first = stash(texts.groupBy("node").agg(F.min("doc_id").alias("doc_id")), "first")
-    maps = texts.select("node", "n", "bits")
+    maps = texts.select("node", "n", "bits", "mark")
     if texts.count() != first.count():  # equal texts stand in several rows
         maps, rows = maps.dropDuplicates(["node"]), rows.dropDuplicates(["h", "node"])
-    heads = rows.groupBy("h").agg(F.min(F.struct("node", "n")).alias("low"), F.max("node").alias("high"), F.count("*").alias("m")).where("low.node < high")
-    shared = stash(rows.join(stash(heads.select("h", "low", "m"), "heads"), "h"), "shared")
-    star = shared.where((F.col("node") != F.col("low.node")) & (F.least("n", "low.n") >= similarity * F.greatest("n", "low.n") - 1e-9))
-    star = stash(star.select(F.col("low.node").alias("src"), F.col("node").alias("dst")).distinct(), "star")
+    told = F.struct(F.xxhash64("h", "node").alias("o"), "node", "n")  # another head in each bucket: a text meets many heads
+    heads = rows.groupBy("h").agg(F.min(told).alias("low"), F.count("*").alias("m")).where("m > 1")
+    shared = stash(rows.join(stash(heads, "heads"), "h"), "shared")
+    star = stash(spokes(shared, similarity), "star")
     links = stash(verified(plausible(star, maps, similarity), first, keyed, words, similarity), "links")
     label = stash(connected(links).withColumnRenamed("root", "comp"), "label")
-    open_ = shared.where("m > 2").select("h", "node", "n", "pos").join(label, "node", "left")
-    open_ = stash(open_.select("h", F.coalesce("comp", "node").alias("comp"), "node", "n", "pos"), "open")
+    named = lambda x: x.join(label, "node", "left").select("h", F.coalesce("comp", "node").alias("comp"), "node", "n", "pos")
+    open_ = stash(undecided(named(shared.where("m > 2"))), "open")
     drop_stash(shared)
-    rest = stash(crossed(open_, similarity).join(star, ["src", "dst"], "left_anti"), "rest")
+    # once more, with the head whose shingles are the least its own: others that were edited from one text are near it
+    heads = open_.groupBy("h").agg(F.min(F.struct("pos", "node", "n", "comp")).alias("low"))
+    again = spokes(open_.join(heads, "h").where("comp <> low.comp"), similarity).join(star, ["src", "dst"], "left_anti")
+    again = stash(again, "star")
+    found = stash(verified(plausible(again, maps, similarity), first, keyed, words, similarity), "links")
+    links, star = links.unionAll(found), star.unionAll(again)
+    if found.limit(1).count():
+        label = stash(connected(links).withColumnRenamed("root", "comp"), "label")
+        before, open_ = open_, stash(undecided(named(open_.drop("comp"))), "open")
+        drop_stash(before)
+    rest = stash(crossed(open_.join(maps.select("node", "mark"), "node"), similarity).distinct().join(star, ["src", "dst"], "left_anti"), "rest")
     drop_stash(open_)
     more = stash(verified(plausible(rest, maps, similarity), first, keyed, words, similarity), "links")
     if more.limit(1).count():
