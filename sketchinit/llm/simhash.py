@@ -32,7 +32,7 @@ from .memory import release, tidy
 SMALL = 64  # fingerprints of a bucket whose pairs are all told
 BLOCK = 4096  # fingerprints of one candidate bucket that one task compares at a time
 BUCKET_ENTRIES, HELD = 500_000, 200_000  # prefix shingles of one bucket, and those that a task packs together
-MARK = 1024  # least bits of a bitmap, a power of two; what rows of a bucket carry
+MARK, WIDE = 1024, 8192  # bits of the bitmaps that rows of a bucket carry, for texts of up to 2 * MARK shingles and for longer ones; MARK is the least of any
 SAMPLE, RANKED = 10_000, 50_000  # texts read for the order of shingles, and shingles whose rank is sent to the tasks
 
 
@@ -250,19 +250,24 @@ def shingle_set(text: str | None, words: int) -> np.ndarray:
     return np.unique(np.array([digest(joined[s:e]) for s, e in zip(starts, ends)], np.uint64)).astype(np.int64)
 
 
+def width(n: int) -> int:
+    """Bits of the bitmap that a row of a text with n shingles carries."""
+    return MARK if n <= 2 * MARK else WIDE
+
+
 def parity(shingles: np.ndarray) -> bytes:
-    """A bitmap of MARK bits or about one bit a shingle, if more, each bit the parity of the shingles that fall on it.
+    """A bitmap of width() bits or about one bit a shingle, if more, each bit the parity of the shingles that fall on it.
 
     Two bitmaps differ in no more bits than the two sets differ in shingles. Sizes are powers of two: a larger bitmap folds to a smaller one.
     """
-    size = max(MARK, 1 << (len(shingles) - 1).bit_length())
+    size = max(width(len(shingles)), 1 << (len(shingles) - 1).bit_length())
     odd = np.bincount((shingles & (size - 1)).astype(np.int64), minlength=size) & 1
     return np.packbits(odd.astype(np.uint8), bitorder="little").tobytes()
 
 
-def folded(bits: bytes) -> bytes:
-    """The bitmap folded to MARK bits: rows of one width, to be compared many at a time."""
-    return np.bitwise_xor.reduce(np.frombuffer(bits, np.uint64).reshape(-1, MARK // 64), axis=0).tobytes()
+def folded(bits: bytes, to: int) -> bytes:
+    """The bitmap folded to that many bits, if it has more: rows of one width can be compared many at a time."""
+    return np.bitwise_xor.reduce(np.frombuffer(bits, np.uint64).reshape(-1, min(to, 8 * len(bits)) // 64), axis=0).tobytes()
 
 
 def may_reach(x: bytes, y: bytes, n: int, m: int, similarity: float) -> bool:
@@ -374,7 +379,7 @@ def postings(texts: DataFrame, words: int, similarity: float) -> tuple[DataFrame
                     kept, held = {}, 0
             node = b.column(1)
             bucket = (node.to_numpy().view(np.uint64) % np.uint64(buckets)).astype(np.int64)
-            yield _posting_batch(0, bucket=pa.array(bucket), doc_id=b.column(0), node=node, n=pa.array(sizes, pa.int32()), bits=pa.array(maps, pa.binary()), packed=pa.array(map(folded, maps), pa.binary()))
+            yield _posting_batch(0, bucket=pa.array(bucket), doc_id=b.column(0), node=node, n=pa.array(sizes, pa.int32()), bits=pa.array(maps, pa.binary()), packed=pa.array([folded(m, width(k)) for m, k in zip(maps, sizes)], pa.binary()))
         if kept:
             yield from dealt(kept)
 
@@ -434,17 +439,26 @@ def crossed(rows: DataFrame, similarity: float) -> DataFrame:
         def pairs(t: pa.Table) -> Iterator[pa.RecordBatch]:
             h, i, j, own, comp, node, n, pos = (t.column(c).to_numpy() for c in range(8))
             left = n - pos  # with h the first shared shingle, no more than so many are shared
-            mark = np.frombuffer(b"".join(t.column(8).to_pylist()), np.uint64).reshape(-1, MARK // 64)
+            marks = t.column(8).to_pylist()
+            mark = np.frombuffer(b"".join([folded(m, MARK) if len(m) * 8 > MARK else m for m in marks]), np.uint64).reshape(-1, MARK // 64)
+            big_rows = [k for k, m in enumerate(marks) if len(m) * 8 == WIDE]
+            wide = np.frombuffer(b"".join([marks[k] for k in big_rows]), np.uint64).reshape(-1, WIDE // 64)
+            spot = np.full(len(marks), -1)
+            spot[big_rows] = np.arange(len(big_rows))
+
+            def near(of: np.ndarray, a: np.ndarray, b: np.ndarray, need: np.ndarray) -> np.ndarray:
+                ok = [np.bitwise_count(of[a[k : k + 8192]] ^ of[b[k : k + 8192]]).sum(axis=1, dtype=np.int64) for k in range(0, len(a), 8192)]
+                return np.concatenate([*ok, np.zeros(0, np.int64)]) <= (1 - similarity) / similarity * need + 1e-6
 
             def told(a: np.ndarray, b: np.ndarray) -> Iterator[pa.RecordBatch]:
                 big, small = np.maximum(n[a], n[b]), np.minimum(n[a], n[b])
                 need = similarity / (1 + similarity) * (big.astype(np.int64) + small)
                 ok = (comp[a] != comp[b]) & (small >= similarity * big - 1e-9) & (np.minimum(left[a], left[b]) >= need - 1e-6)
                 a, b, need = a[ok], b[ok], need[ok]
-                if len(a):
-                    apart = np.bitwise_count(mark[a] ^ mark[b]).sum(axis=1, dtype=np.int64)
-                    near = apart <= (1 - similarity) / similarity * need + 1e-6
-                    a, b = a[near], b[near]
+                ok = near(mark, a, b, need)
+                both = np.flatnonzero(ok & (spot[a] >= 0) & (spot[b] >= 0))
+                ok[both] = near(wide, spot[a[both]], spot[b[both]], need[both])
+                a, b = a[ok], b[ok]
                 if len(a):
                     x, y = node[a], node[b]
                     yield pa.RecordBatch.from_arrays([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y))], names=["src", "dst"])
