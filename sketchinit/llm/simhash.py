@@ -557,8 +557,8 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words
     Groups are the components of all pairs of texts whose `words`-word
     shingles reach `similarity`. The search is exact: similar texts share a
     shingle of their prefixes. First each text is compared with one of each
-    bucket it is in, twice, then with all of its buckets that are not in its
-    group already. Equal texts are one node. Rows with a null id stay; rows of one
+    bucket it is in, then with all of its buckets that are not in its group
+    already. Equal texts are one node. Rows with a null id stay; rows of one
     id with different texts are told apart.
     """
     keyed = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_key(F.col(text_col)).alias("node"), F.col(text_col).alias("text")).where("doc_id is not null")
@@ -573,19 +573,9 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words
     star = stash(spokes(shared, similarity), "star")
     links = stash(verified(plausible(star, maps, similarity), first, keyed, words, similarity), "links")
     label = stash(connected(links).withColumnRenamed("root", "comp"), "label")
-    named = lambda x: x.join(label, "node", "left").select("h", F.coalesce("comp", "node").alias("comp"), "node", "n", "pos")
-    open_ = stash(undecided(named(shared.where("m > 2"))), "open")
+    open_ = shared.where("m > 2").join(label, "node", "left").select("h", F.coalesce("comp", "node").alias("comp"), "node", "n", "pos")
+    open_ = stash(undecided(open_), "open")
     drop_stash(shared)
-    # once more, with the head whose shingles are the least its own: others that were edited from one text are near it
-    heads = open_.groupBy("h").agg(F.min(F.struct("pos", "node", "n", "comp")).alias("low"))
-    again = spokes(open_.join(heads, "h").where("comp <> low.comp"), similarity).join(star, ["src", "dst"], "left_anti")
-    again = stash(again, "star")
-    found = stash(verified(plausible(again, maps, similarity), first, keyed, words, similarity), "links")
-    links, star = links.unionAll(found), star.unionAll(again)
-    if found.limit(1).count():
-        label = stash(connected(links).withColumnRenamed("root", "comp"), "label")
-        before, open_ = open_, stash(undecided(named(open_.drop("comp"))), "open")
-        drop_stash(before)
     rest = stash(crossed(open_.join(maps.select("node", "mark"), "node"), similarity).distinct().join(star, ["src", "dst"], "left_anti"), "rest")
     drop_stash(open_)
     more = stash(verified(plausible(rest, maps, similarity), first, keyed, words, similarity), "links")
