@@ -21,7 +21,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window, functions as F
-from .memory import tidy
+from .memory import release_driver, tidy
 
 SAMPLE_ROWS = 4000
 BUCKETS = 4096
@@ -72,13 +72,13 @@ def codewords(n: int, seed: int = 11) -> np.ndarray:
 
 def fit_bits(x: np.ndarray, y: np.ndarray, rounds: int = 150, l2: float = 1e-5) -> np.ndarray:
     """Logistic regressions for all bits at once: accelerated full gradients. Last row: intercepts."""
-    x = np.hstack([x, np.ones((len(x), 1), np.float32)])
-    w = np.zeros((x.shape[1], y.shape[1]), np.float32)
-    back, rate = w.copy(), 4.0 / float((x * x).sum(axis=1).mean())  # from the curvature's bound
+    w = np.zeros((x.shape[1] + 1, y.shape[1]), np.float32)
+    back, rate = w.copy(), 4.0 / (float(np.einsum("ij,ij->", x, x, dtype=np.float64)) / len(x) + 1)  # from the curvature's bound
     for t in range(rounds):
-        ahead = w + (t / (t + 3)) * (w - back)
-        margin = np.clip((x @ ahead) * y, -30, 30)
-        grad = x.T @ (-y / (1 + np.exp(margin))) / len(x) + l2 * ahead
+        ahead = w + np.float32(t / (t + 3)) * (w - back)
+        margin = np.clip((x @ ahead[:-1] + ahead[-1]) * y, -30, 30)
+        slope = -y / (1 + np.exp(margin))
+        grad = np.vstack([x.T @ slope, slope.sum(axis=0)]) / len(x) + l2 * ahead
         back, w = w, ahead - rate * grad
     return w
 
@@ -108,12 +108,14 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_co
 
     kind = docs.schema[id_col].dataType.simpleString()
     counted = few.mapInArrow(count, f"doc_id {kind}, lang string, v binary").withColumn("nth", nth).where(F.col("nth") <= each)
-    got = sorted(((r["lang"], bytes(r["v"])) for r in counted.select("lang", "v").collect()), key=lambda r: r)
-    if not got:
+    got = counted.select("lang", "v").toArrow().sort_by([("lang", "ascending"), ("v", "ascending")])
+    if not got.num_rows:
         return {"langs": langs, "codes": codewords(len(langs)), "w": None}
-    x = np.stack([np.frombuffer(v, np.float16) for _, v in got]).astype(np.float32)
+    x = np.stack([np.frombuffer(v.as_buffer(), np.float16) for v in got.column("v")]).astype(np.float32)
     codes = codewords(len(langs))
-    y = codes[[langs.index(k) for k, _ in got]].astype(np.float32)
+    y = codes[[langs.index(k) for k in got.column("lang").to_pylist()]].astype(np.float32)
+    del got
+    release_driver(docs.sparkSession)
     return {"langs": langs, "codes": codes, "w": fit_bits(x, y) if len(langs) > 1 else None}
 
 

@@ -7,6 +7,8 @@ from collections.abc import Callable, Iterator
 from functools import wraps
 
 import pyarrow as pa
+from py4j.protocol import Py4JError
+from pyspark.sql import SparkSession
 
 
 def release() -> None:
@@ -26,3 +28,19 @@ def tidy(fn: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iterator]:
         release()
 
     return run
+
+
+def release_driver(spark: SparkSession) -> None:
+    """What the driver holds for finished jobs goes: its own memory, its JVM's heap and what the JVM's allocator keeps for threads
+    that ended, and the shuffle files that Spark keeps as long as a plan is reachable."""
+    jvm = spark.sparkContext._jvm
+    jvm.java.lang.System.gc()
+    release()
+    try:  # the virtual machine's own command; older ones lack it
+        call = next(m for m in jvm.java.lang.Class.forName("javax.management.MBeanServer").getMethods() if m.getName() == "invoke")
+        args = spark.sparkContext._gateway.new_array(jvm.java.lang.Object, 4)
+        args[0] = jvm.javax.management.ObjectName("com.sun.management:type=DiagnosticCommand")
+        args[1] = "systemTrimNativeHeap"
+        call.invoke(jvm.java.lang.management.ManagementFactory.getPlatformMBeanServer(), args)
+    except Py4JError:
+        pass

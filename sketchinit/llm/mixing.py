@@ -25,6 +25,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
 from ..plans.storage import stash
+from .memory import release_driver
 
 BLOCK = 4000  # documents of one block of the flight phase
 FAN = 500  # blocks whose leftovers fly together at the next level
@@ -152,6 +153,7 @@ def plan(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), most: int = 3, i
     units = stash(sized(docs, id_col, text_col, source_col).withColumn("nth", nth), "mix")
     goal = targets(units, weights, most)
     goal = stash(goal, "mix")  # one row a source
+    release_driver(docs.sparkSession)
     ratio = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
     r = F.when(ratio > most - 1e-9, F.lit(float(most))).otherwise(ratio)
     with_goal = units.withColumnRenamed("source", "_s").join(goal, F.col("_s").eqNullSafe(F.col("source"))).drop("_s")

@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window, functions as F
 
 from ..plans.storage import stash
-from .memory import tidy
+from .memory import release_driver, tidy
 
 CAPACITY = 2048
 GRAIN = 8
@@ -268,6 +268,7 @@ def pack(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, grain:
     """Pieces with their place: adds (sequence_id, offset) to the columns of tokenized_pieces()."""
     pieces = stash(tokenized_pieces(docs, tokenizer_path, capacity, payload, id_col, text_col), "pieces")
     spark = docs.sparkSession
+    release_driver(spark)
     size = F.ceil(F.col("length") / F.lit(grain)).cast("int")
     total = pieces.count()
     salts = max(1, -(-total // RANKED_ROWS))

@@ -27,7 +27,7 @@ from pyspark.sql import Column, DataFrame, functions as F
 
 from ..operators.components import connected
 from ..plans.storage import drop_stash, stash
-from .memory import release, tidy
+from .memory import release, release_driver, tidy
 
 SMALL = 64  # fingerprints of a bucket whose pairs are all told
 BLOCK = 4096  # fingerprints of one candidate bucket that one task compares at a time
@@ -301,6 +301,7 @@ def common_shingles(texts: DataFrame, words: int) -> tuple[np.ndarray, np.ndarra
     seen = some.mapInArrow(run, "h long").groupBy("h").agg(F.count("*").alias("n")).where("n > 2").orderBy(F.desc("n"), "h").limit(RANKED).collect()
     h = np.array([r["h"] for r in seen], np.int64)
     order = np.argsort(h)
+    release_driver(texts.sparkSession)
     return h[order], np.arange(len(h), 0, -1)[order]
 
 
@@ -562,7 +563,9 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words
     id with different texts are told apart.
     """
     keyed = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_key(F.col(text_col)).alias("node"), F.col(text_col).alias("text")).where("doc_id is not null")
+    spark = docs.sparkSession
     texts, rows = postings(keyed, words, similarity)
+    release_driver(spark)
     first = stash(texts.groupBy("node").agg(F.min("doc_id").alias("doc_id")), "first")
     maps = texts.select("node", "n", "bits", "mark")
     if texts.count() != first.count():  # equal texts stand in several rows
@@ -572,13 +575,17 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words
     shared = stash(rows.join(stash(heads, "heads"), "h"), "shared")
     star = stash(spokes(shared, similarity), "star")
     links = stash(verified(plausible(star, maps, similarity), first, keyed, words, similarity), "links")
+    release_driver(spark)
     label = stash(connected(links).withColumnRenamed("root", "comp"), "label")
+    release_driver(spark)
     open_ = shared.where("m > 2").join(label, "node", "left").select("h", F.coalesce("comp", "node").alias("comp"), "node", "n", "pos")
     open_ = stash(undecided(open_), "open")
     drop_stash(shared)
+    release_driver(spark)
     rest = stash(crossed(open_.join(maps.select("node", "mark"), "node"), similarity).distinct().join(star, ["src", "dst"], "left_anti"), "rest")
     drop_stash(open_)
     more = stash(verified(plausible(rest, maps, similarity), first, keyed, words, similarity), "links")
+    release_driver(spark)
     if more.limit(1).count():
         label = connected(links.unionAll(more)).withColumnRenamed("root", "comp")
     named = first.join(label, "node", "left").select("node", "doc_id", F.coalesce("comp", "node").alias("comp"))
