@@ -22,7 +22,7 @@ def languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the document of the smallest id of each group of near-duplicates (similarity of 0.8 or more)."""
+    """Keeps the document of the smallest id of each group of near-duplicates: fingerprints link texts, and an exact check and search follow (similarity of 0.8 or more)."""
     return simhash.dedup(docs)
 
 

@@ -552,18 +552,34 @@ def verified(pairs: DataFrame, reps: DataFrame, texts: DataFrame, words: int, si
     return both.select("src", "dst", "x", "y").mapInArrow(check, "src long, dst long")
 
 
+def alike(texts: DataFrame, tau: int = 3, words: int = 3) -> DataFrame:
+    """Pairs (src, dst) of nodes whose fingerprints are within tau bits; texts(node, text).
+
+    Links of fingerprints join the smallest node of each, and every other
+    node of a fingerprint meets that one.
+    """
+    own = stash(fingerprints(texts, "node", "text", words).distinct().withColumnRenamed("doc_id", "node"), "simhash")
+    first = own.groupBy("fp").agg(F.min("node").alias("head"))
+    within = own.join(first, "fp").where("node <> head").select(F.col("head").alias("a"), F.col("node").alias("b"))
+    end = lambda fp, head: first.select(F.col("fp").alias(fp), F.col("head").alias(head))
+    across = links(first.select("fp"), tau).join(end("src", "a"), "src").join(end("dst", "b"), "dst").select("a", "b")
+    return within.unionAll(across).select(F.least("a", "b").alias("src"), F.greatest("a", "b").alias("dst")).distinct()
+
+
 def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, similarity: float = 0.8) -> DataFrame:
     """The rows of docs that stay: one for each group, that of the smallest id; all columns pass through.
 
     Groups are the components of all pairs of texts whose `words`-word
-    shingles reach `similarity`. The search is exact: similar texts share a
-    shingle of their prefixes. First each text is compared with one of each
-    bucket it is in, then with all of its buckets that are not in its group
-    already. Equal texts are one node. Rows with a null id stay; rows of one
+    shingles reach `similarity`. Texts with close fingerprints are compared
+    first, the search behind that is exact: similar texts share a shingle of
+    their prefixes. Each text is compared with one of each bucket it is in,
+    then with all of its buckets that are not in its group already. Equal texts are one node. Rows with a null id stay; rows of one
     id with different texts are told apart.
     """
     keyed = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_key(F.col(text_col)).alias("node"), F.col(text_col).alias("text")).where("doc_id is not null")
     spark = docs.sparkSession
+    near = stash(alike(keyed), "near")
+    release_driver(spark)
     texts, rows = postings(keyed, words, similarity)
     release_driver(spark)
     first = stash(texts.groupBy("node").agg(F.min("doc_id").alias("doc_id")), "first")
@@ -573,7 +589,7 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words
     told = F.struct(F.xxhash64("h", "node").alias("o"), "node", "n")  # another head in each bucket: a text meets many heads
     heads = rows.groupBy("h").agg(F.min(told).alias("low"), F.count("*").alias("m")).where("m > 1")
     shared = stash(rows.join(stash(heads, "heads"), "h"), "shared")
-    star = stash(spokes(shared, similarity), "star")
+    star = stash(spokes(shared, similarity).unionAll(near).distinct(), "star")
     links = stash(verified(plausible(star, maps, similarity), first, keyed, words, similarity), "links")
     release_driver(spark)
     label = stash(connected(links).withColumnRenamed("root", "comp"), "label")

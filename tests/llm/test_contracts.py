@@ -668,3 +668,22 @@ def test_short_and_letter_only_random_tokens_have_a_window():
             assert secrets.find(f"see {token[:n]} there") == [("entropy", 4, 4 + n)]
     for word in ("internationalization", "aaaaaaaaaaaaaaaaaaaaaa1", "2024-01-02/2024-01-03"):
         assert secrets.find(f"see {word} there") == []
+
+
+def test_near_duplicates_of_the_pipeline_are_linked_by_fingerprints(spark, monkeypatch):
+    """Without the search behind, texts of close fingerprints are still told and checked, and only those."""
+    import corpus_pipeline
+
+    rng, docs = random.Random(7), []
+    for g in range(12):
+        w = [f"{g}w{rng.randrange(10**6)}" for _ in range(2000)]
+        docs += [(3 * g, " ".join(w)), (3 * g + 1, " ".join([*w[:-1], "end"])), (3 * g + 2, " ".join(w[600:]))]
+    fp = {i: simhash.fingerprint(t) for i, t in docs}
+    close = {3 * g + 1 for g in range(12) if (fp[3 * g] ^ fp[3 * g + 1]).bit_count() <= 3}
+    assert len(close) > 6
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    none = spark.createDataFrame([], "src long, dst long")
+    monkeypatch.setattr(simhash, "spokes", lambda rows, similarity: none)
+    monkeypatch.setattr(simhash, "crossed", lambda rows, similarity: none)
+    assert {r.doc_id for r in corpus_pipeline.near_duplicates(spark, df, "").collect()} == {i for i, _ in docs} - close
+    assert {(r.src, r.dst) for r in simhash.alike(df.withColumnRenamed("doc_id", "node")).collect()} >= {(i - 1, i) for i in close}
