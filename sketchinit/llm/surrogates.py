@@ -17,8 +17,9 @@ Words come from keyed hashes. A check over all distinct parts of the corpus
 finds words that two parts share, or that are parts of real entities, and
 gives those parts a further attempt, until none is left. Words grow with the
 number of parts, so that few clash however large the corpus is: what the
-driver and the tasks hold of them is bounded by MAX_RETRIED. The entities of
-several genders are bounded by MAX_GENDERS; beyond it no name has an ending.
+driver and the tasks hold of them is bounded by MAX_RETRIED. The genders of
+entities that were met under several reach their texts by a join, however many
+there are.
 
 Edge cases: null text stays null; empty tables give no rows; repeated rows
 give equal rows; all columns pass through but n_entities and entities, which
@@ -35,13 +36,12 @@ from bisect import bisect_left
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window, functions as F, types as T
+from pyspark.sql import Column, DataFrame, Window, functions as F, types as T
 
 from ..plans.storage import stash
 
 KEY = b"replace-this-key"
 MAX_RETRIED = 20_000  # parts with a further attempt that are sent to all executors; more lengthen the words
-MAX_GENDERS = 1_000_000  # entities with several genders that are sent to all executors
 LEAST = {"given": 3, "family": 4, "local": 5, "domain": 4}  # syllables of words, by role
 
 _DIGIT = re.compile(r"[0-9]")
@@ -148,8 +148,8 @@ def _script(word: str) -> str:
 class Words:
     """Words of parts: their length by (role, script), and the attempts of parts whose first word clashed."""
 
-    def __init__(self, length: dict[tuple[str, str], int] | None = None, again: dict[tuple[str, str, str], int] | None = None, genders: dict[str, str] | None = None, endings: bool = True) -> None:
-        self.length, self.again, self.genders, self.endings = length or {}, again or {}, genders or {}, endings
+    def __init__(self, length: dict[tuple[str, str], int] | None = None, again: dict[tuple[str, str, str], int] | None = None) -> None:
+        self.length, self.again = length or {}, again or {}
 
     def word(self, role: str, script: str, part: str, key: bytes) -> str:
         n = _number(key, role, part, str(self.again.get((role, script, part), 0)))
@@ -187,7 +187,6 @@ def surrogate(entity: str, kind: str, gender: str = "", words: Words | None = No
         new = moved(value, 1 << 32, key, "ip")
         return ".".join(str(new >> s & 255) for s in (24, 16, 8, 0))
     if kind == "name":
-        given = w.genders.get(entity.lower(), gender) if w.endings else ""
         parts = iter(name_parts(entity))
         out = []
         for p in re.split(r"([ -])", entity):
@@ -195,7 +194,7 @@ def surrogate(entity: str, kind: str, gender: str = "", words: Words | None = No
                 out.append(p)
                 continue
             role, script, part = next(parts)
-            new = w.word(role, script, part, key) + (ENDINGS[script][given or "n"] if role == "given" else "")
+            new = w.word(role, script, part, key) + (ENDINGS[script][gender or "n"] if role == "given" else "")
             out.append(new.upper() if len(p) > 1 and p.isupper() else new.capitalize())
         return "".join(out)
     if kind == "card":  # a valid check digit; the other digits decide it
@@ -206,18 +205,35 @@ def surrogate(entity: str, kind: str, gender: str = "", words: Words | None = No
     return _digits(entity, key, kind, len(country[1]) if country else 0)
 
 
-_ENTITY = "kind string, gender string, entity string"
+_ENTITY = "key string, kind string, gender string, entity string"
+
+
+def text_key(text: Column) -> Column:
+    return F.md5(text.cast("binary"))
 
 
 def entities(docs: DataFrame, text_col: str = "text") -> DataFrame:
-    """Every name and e-mail address found, once a batch: (kind, gender, entity). Other kinds need no look at the corpus."""
+    """Every name and e-mail address of a text, once a batch: (key, kind, gender, entity), key that of the text. Other kinds need no look at the corpus."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            seen = {(k, g, t[s:e]) for t in b.column(0).to_pylist() for s, e, k, g in find(t) if k in ("email", "name")}
-            yield pa.RecordBatch.from_arrays([pa.array(list(c), pa.string()) for c in (zip(*sorted(seen)) if seen else ([], [], []))], names=["kind", "gender", "entity"])
+            seen = {(h, k, g, t[s:e]) for h, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist()) for s, e, k, g in find(t) if k in ("email", "name")}
+            yield pa.RecordBatch.from_arrays([pa.array(list(c), pa.string()) for c in (zip(*sorted(seen)) if seen else ([], [], [], []))], names=["key", "kind", "gender", "entity"])
+
+    return docs.select(text_key(F.col(text_col)).alias("key"), F.col(text_col).alias("text")).mapInArrow(run, _ENTITY)
+
+
+def voted(found: DataFrame) -> DataFrame:
+    """(name, gender) of the names, in lower case, that were met under several genders: the one that most of their forms tell."""
+    votes = found.where("kind = 'name'").select("gender", "entity").distinct().groupBy(F.lower("entity").alias("name"))
+    n = votes.agg(F.count_if(F.col("gender") == "m").alias("m"), F.count_if(F.col("gender") == "f").alias("f"), F.count_distinct("gender").alias("n"))
+    return n.where("n > 1 and m + f > 0").select("name", F.when(F.col("f") >= F.col("m"), "f").otherwise("m").alias("gender"))
+
 
-    return docs.select(F.col(text_col).alias("text")).mapInArrow(run, _ENTITY)
+def genders_of(found: DataFrame) -> DataFrame:
+    """(key, genders) of the texts that hold voted names: pairs of a name and its gender."""
+    held = found.where("kind = 'name'").select("key", F.lower("entity").alias("name")).distinct()
+    return held.join(voted(found), "name").groupBy("key").agg(F.collect_list(F.struct("name", "gender")).alias("genders"))
 
 
 def _named(parts: DataFrame, words: Words, key: bytes) -> DataFrame:
@@ -242,8 +258,8 @@ def clashes(parts: DataFrame, words: Words, key: bytes) -> DataFrame:
 
 
 def checked(found: DataFrame, key: bytes = KEY, most: int = MAX_RETRIED) -> Words:
-    """The words of all parts of found(kind, gender, entity), without clashes, and the genders of entities that were met under several."""
-    found = stash(found.distinct(), "pii")
+    """The words of all parts of found(kind, entity), without clashes."""
+    found = found.select("kind", "entity").distinct()
 
     def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -255,11 +271,8 @@ def checked(found: DataFrame, key: bytes = KEY, most: int = MAX_RETRIED) -> Word
     for r in parts.groupBy("role", "script").count().collect():  # at most four roles in three scripts
         need = math.log(max(1.0, r["count"] ** 2 / 2000)) / math.log(len(SYLLABLES[r["script"]]))  # about a thousand clashes
         length[r["role"], r["script"]] = max(LEAST[r["role"]], math.ceil(need))
-    votes = found.where("kind = 'name'").groupBy(F.lower("entity").alias("entity")).agg(F.count_if(F.col("gender") == "m").alias("m"), F.count_if(F.col("gender") == "f").alias("f"), F.count_distinct("gender").alias("n"))
-    several = votes.where("n > 1 and m + f > 0").select("entity", F.when(F.col("f") >= F.col("m"), "f").otherwise("m").alias("gender")).limit(MAX_GENDERS + 1).collect()
-    endings = len(several) <= MAX_GENDERS
     while True:
-        words = Words(length, {}, {r["entity"]: r["gender"] for r in several} if endings else {}, endings)
+        words = Words(length)
         state = parts.withColumn("attempt", F.lit(0))
         for attempt in range(1, 12):
             marked = stash(clashes(state, words, key), "pii")
@@ -275,9 +288,12 @@ def checked(found: DataFrame, key: bytes = KEY, most: int = MAX_RETRIED) -> Word
 
 def replace(docs: DataFrame, text_col: str = "text", key: bytes = KEY) -> DataFrame:
     """docs with entities in text_col replaced; adds n_entities and entities (kind and the surrogate's place in the new text)."""
-    share = docs.sparkSession.sparkContext.broadcast(checked(entities(docs, text_col), key))
+    found = stash(entities(docs, text_col), "pii")
+    share = docs.sparkSession.sparkContext.broadcast(checked(found, key))
     at = docs.columns.index(text_col)
     names = docs.columns
+    several = stash(genders_of(found), "pii").withColumnRenamed("key", "__text_key").withColumnRenamed("genders", "__genders")  # its size is known then, so texts do not move where it is small
+    keyed = docs.withColumn("__text_key", text_key(F.col(text_col))).join(several, "__text_key", "left").select(*names, "__genders")
     keep = [c for c in names if c not in ("n_entities", "entities")]
     span = pa.struct([("kind", pa.string()), ("start", pa.int32()), ("end", pa.int32())])
 
@@ -285,10 +301,11 @@ def replace(docs: DataFrame, text_col: str = "text", key: bytes = KEY) -> DataFr
         words = share.value
         for b in batches:
             texts, spans = [], []
-            for t in b.column(at).to_pylist():
+            for t, told in zip(b.column(at).to_pylist(), b.column(len(names)).to_pylist()):
                 out, done, marks, n = [], 0, [], 0
+                most = {r["name"]: r["gender"] for r in told or ()}
                 for s, e, kind, gender in find(t):
-                    new = surrogate(t[s:e], kind, gender, words, key)
+                    new = surrogate(t[s:e], kind, most.get(t[s:e].lower(), gender) if most else gender, words, key)
                     out += [t[done:s], new]
                     n += s - done
                     marks.append({"kind": kind, "start": n, "end": n + len(new)})
@@ -300,4 +317,4 @@ def replace(docs: DataFrame, text_col: str = "text", key: bytes = KEY) -> DataFr
 
     place = T.StructType([T.StructField("kind", T.StringType()), T.StructField("start", T.IntegerType()), T.StructField("end", T.IntegerType())])
     added = [T.StructField("n_entities", T.IntegerType()), T.StructField("entities", T.ArrayType(place))]
-    return docs.mapInArrow(run, T.StructType([*(docs.schema[c] for c in keep), *added]))
+    return keyed.mapInArrow(run, T.StructType([*(docs.schema[c] for c in keep), *added]))

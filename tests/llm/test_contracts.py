@@ -687,3 +687,13 @@ def test_near_duplicates_of_the_pipeline_are_linked_by_fingerprints(spark, monke
     monkeypatch.setattr(simhash, "crossed", lambda rows, similarity: none)
     assert {r.doc_id for r in corpus_pipeline.near_duplicates(spark, df, "").collect()} == {i for i, _ in docs} - close
     assert {(r.src, r.dst) for r in simhash.alike(df.withColumnRenamed("doc_id", "node")).collect()} >= {(i - 1, i) for i in close}
+
+
+def test_genders_of_names_do_not_depend_on_how_many_there_are(spark, monkeypatch):
+    from sketchinit.llm import surrogates as s
+
+    monkeypatch.setattr(s, "MAX_GENDERS", 0, raising=False)
+    docs = [(i, f"{title} {name} came") for i, (title, name) in enumerate((t, n) for n in ("Anna Schmidt", "Boris Klein", "Иван Петров") for t in ("Dr", "Prof", "Mrs" if n[0] == "A" else "Mr"))]
+    out = {r.doc_id: r.text.split()[1] for r in s.replace(spark.createDataFrame(docs, "doc_id long, text string")).collect()}
+    for first, end in ((0, "a"), (3, "n"), (6, "н")):
+        assert len({out[first + i] for i in range(3)}) == 1 and out[first].endswith(end)
