@@ -29,7 +29,7 @@ _add("stream_tumbling", "SELECT date_trunc('hour', ts) AS start, event_type, cou
 _add("stream_sliding", "SELECT CAST(h AS TIMESTAMP) AS start, event_type, count(*) AS n, round(sum(value), 4) AS total FROM (SELECT event_type, value, unnest([date_trunc('hour', ts), date_trunc('hour', ts) - INTERVAL 1 HOUR]) AS h FROM events) GROUP BY 1, 2",
      lambda s, sf: _run(st.tumbling(st.source(s, sf), "2 hours", "1 hour")).withColumn("start", F.col("start").cast("timestamp_ntz")))
 _add("stream_session", "SELECT user_id, min(ts) AS start, max(ts) + INTERVAL 30 MINUTE AS \"end\", count(*) AS n FROM (SELECT user_id, ts, sum(k) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS g FROM (SELECT user_id, ts, event_id, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS k FROM events)) GROUP BY user_id, g",
-     lambda s, sf: _run(st.sessions(st.source(s, sf))).withColumn("start", F.col("start").cast("timestamp_ntz")).withColumn("end", F.col("end").cast("timestamp_ntz")))
+     lambda s, sf: st.run_to_close(st.sessions, s, sf, stash_path(s, "sessions"), stash_path(s, "stream"), stash_path(s, "close")).withColumn("start", F.col("start").cast("timestamp_ntz")).withColumn("end", F.col("end").cast("timestamp_ntz")))
 _add("stream_abstract_edges", "SELECT CAST(a.user_id % 7 AS INTEGER) AS src, CAST(b.user_id % 7 AS INTEGER) AS dst, count(*) AS w FROM (SELECT DISTINCT date_trunc('hour', ts) AS h, user_id FROM events) a JOIN (SELECT DISTINCT date_trunc('hour', ts) AS h, user_id FROM events) b ON a.h = b.h AND a.user_id % 7 < b.user_id % 7 GROUP BY 1, 2",
      lambda s, sf: _abstract(s, sf))
 _add("stream_part_traffic", "SELECT date_trunc('hour', ts) AS start, CAST(user_id % 7 AS INTEGER) AS part, count(*) AS n FROM events GROUP BY 1, 2",

@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from datetime import datetime
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, functions as F
@@ -10,9 +11,10 @@ from pyspark.sql import DataFrame, SparkSession, functions as F
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
 
-def source(spark: SparkSession, sf_dir: str, late: str = "1 hour") -> DataFrame:
-    """The events table as a stream with a watermark."""
+def source(spark: SparkSession, sf_dir: str, late: str = "1 hour", close: str | None = None) -> DataFrame:
+    """The events table as a stream with a watermark; close: a folder of rows that follow the events."""
     raw = spark.readStream.schema(EVENTS).option("pathGlobFilter", "events.parquet").parquet(sf_dir)
+    raw = raw if close is None else raw.unionAll(spark.readStream.schema(EVENTS).parquet(close))
     return raw.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", late)
 
 
@@ -74,6 +76,21 @@ def run_to_parquet(stream: DataFrame, path: str, checkpoint: str) -> DataFrame:
     return stream.sparkSession.read.schema(stream.schema).parquet(path)
 
 
+def run_to_close(make: Callable[[DataFrame], DataFrame], spark: SparkSession, sf_dir: str, path: str, checkpoint: str, close: str) -> DataFrame:
+    """Run a windowed append stream of the events to its end into Parquet, open windows included.
+
+    Only when all events are read, one row of a far time follows them from
+    the folder `close`: it moves the watermark past every window but its own.
+    """
+    row = lambda ts: spark.createDataFrame(ts, "ts timestamp_ntz").selectExpr("null event_id", "ts", "null user_id", "null event_type", "null value", "null props").selectExpr(*(f"cast({c.split()[0]} as {c.split()[1]}) {c.split()[0]}" for c in EVENTS.split(", ")))
+    row([]).write.parquet(close)
+    for ts in ([], [(datetime(9000, 1, 1),)]):
+        if ts:
+            row(ts).write.mode("append").parquet(close)
+        out = run_to_parquet(make(source(spark, sf_dir, close=close)), path, checkpoint)
+    return out
+
+
 def warm_start(emb: DataFrame, new_edges: DataFrame) -> DataFrame:
     """(node, vec) of nodes that emb lacks: the mean of their known neighbours."""
     from ..functions.vec import sum_vectors
