@@ -10,6 +10,7 @@ import zlib
 import pytest
 import xxhash
 from pyspark.sql import Row, SparkSession
+from pyspark.sql.functions import lit
 
 from sketchinit.llm import media, packing, queries, secrets, simhash, sketches, suffixes
 
@@ -697,3 +698,26 @@ def test_genders_of_names_do_not_depend_on_how_many_there_are(spark, monkeypatch
     out = {r.doc_id: r.text.split()[1] for r in s.replace(spark.createDataFrame(docs, "doc_id long, text string")).collect()}
     for first, end in ((0, "a"), (3, "n"), (6, "н")):
         assert len({out[first + i] for i in range(3)}) == 1 and out[first].endswith(end)
+
+
+def test_the_pipeline_sends_long_texts_to_python_in_short_batches(spark):
+    import pyarrow as pa
+
+    import corpus_pipeline
+    from sketchinit.llm import memory
+
+    def sizes(batches):
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([pa.array([b.nbytes])], names=["n"])
+
+    docs = spark.range(4_000, numPartitions=1).selectExpr("id AS doc_id", "repeat('some words ', 500) AS text", "'en' AS lang")
+    for name, stage in corpus_pipeline.STAGES[:1] + corpus_pipeline.STAGES[2:3]:
+        spark.conf.unset(memory.BATCH)
+        stage(spark, docs.withColumn("n_chars", lit(5500)).limit(3), "")
+        got = [r.n for r in docs.mapInArrow(sizes, "n long").collect()]
+        assert max(got) <= (memory.BATCH_MB + 1) << 20 and sum(got) > 20 << 20, name
+    spark.conf.unset(memory.BATCH)
+    spark.conf.set(memory.BATCH, "7m")
+    memory.short_batches(spark)
+    assert spark.conf.get(memory.BATCH) == "7m"
+    spark.conf.unset(memory.BATCH)
