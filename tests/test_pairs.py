@@ -45,3 +45,13 @@ def test_pairs_of_many_keys_are_not_sent(spark, tmp_path):
     assert e.count() == e.distinct().count() == 60 * 59 // 2
     plan = e._jdf.queryExecution().executedPlan().toString()
     assert "Exchange" not in plan[: plan.index("MapInArrow")]
+
+
+def test_documents_of_one_passage_are_not_sent_as_pairs(spark, tmp_path):
+    """40 documents share 60 runs of five words: each pair is found 60 times and is in no exchange."""
+    words = " ".join(f"w{i}" for i in range(64))
+    spark.createDataFrame([(i, f"x{i} {words} y{i}") for i in range(40)] + [(40, "a b c d"), (41, None)], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    e = graphs.docshare(spark, str(tmp_path))
+    assert sorted(map(tuple, e.collect())) == list(combinations(range(40), 2))
+    plan = e._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange" not in plan[: plan.index("MapInArrow")]
