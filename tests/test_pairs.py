@@ -7,6 +7,7 @@ from itertools import combinations
 import numpy as np
 import pytest
 
+from sketchinit.functions.rng import key_id_py
 from sketchinit.sources import graphs
 from sketchinit.sources.pairs import block_pairs, pairs_within
 
@@ -55,3 +56,13 @@ def test_documents_of_one_passage_are_not_sent_as_pairs(spark, tmp_path):
     assert sorted(map(tuple, e.collect())) == list(combinations(range(40), 2))
     plan = e._jdf.queryExecution().executedPlan().toString()
     assert "Exchange" not in plan[: plan.index("MapInArrow")]
+
+
+def test_adjacent_words_are_counted_in_whole_texts(spark, tmp_path):
+    """Repeats, one word beside itself, ends of texts, empty and null texts and languages, and words before a line's end, which are none."""
+    rows = [("Élan vital élan  vital", "fr"), ("vital", "fr"), ("élan", None), ("vital Élan", None), ("x\n y", "en"), ("x y\n", "en"), ("a1 y ß y", "en"), ("", "en"), (None, "en"), ("z z y", "en")]
+    spark.createDataFrame([(i, *r) for i, r in enumerate(rows)], "doc_id long, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
+    want = {("vital", "élan", "fr"): 2, ("vital", "élan", None): 1, ("y", "ß", "en"): 2, ("y", "z", "en"): 1}
+    ids = lambda a, b: tuple(sorted((key_id_py(a), key_id_py(b))))
+    assert {tuple(r)[:3]: r["n"] for r in graphs.word_pairs(spark, str(tmp_path), "lang").collect()} == {(*ids(a, b), c): n for (a, b, c), n in want.items()}
+    assert {tuple(r) for r in graphs.word_pairs(spark, str(tmp_path)).collect()} == {(*ids(a, b), n) for a, b, n in (("vital", "élan", 3), ("y", "ß", 2), ("y", "z", 1))}
